@@ -6,7 +6,9 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .bpe_transducer import round_trip_digests
 from .encoding import public_path
+from .language_id import predict
 from .packing import pack_documents
 from .shared import load
 from .token_files import token_file_report
@@ -16,12 +18,22 @@ def op3_lexical_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pack_documents(load(spark, sf_dir, "documents"), public_path("byte_bpe_50k.json"))
 
 
+def op4_bpe_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return round_trip_digests(load(spark, sf_dir, "documents"), public_path("byte_bpe_multi_50k.tiktoken"))
+
+
+def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return predict(load(spark, sf_dir, "documents"), public_path("piece_bpe_32k.model"))
+
+
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
     return token_file_report(load(spark, sf_dir, "documents"), public_path("byte_bpe_50k.json"))
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_lexical_packing": op3_lexical_packing,
+    "op4_bpe_transducer": op4_bpe_transducer,
+    "op9_language_id": op9_language_id,
     "op10_token_files": op10_token_files,
 }
 
