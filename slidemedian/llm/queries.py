@@ -8,6 +8,8 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .bpe_transducer import round_trip_digests
 from .encoding import public_path
+from .exact_dedup import SQL as EXACT_DEDUP_SQL
+from .exact_dedup import exact_duplicates
 from .language_id import predict
 from .packing import pack_documents
 from .shared import load
@@ -22,6 +24,10 @@ def op4_bpe_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip_digests(load(spark, sf_dir, "documents"), public_path("byte_bpe_multi_50k.tiktoken"))
 
 
+def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return exact_duplicates(load(spark, sf_dir, "documents"))
+
+
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return predict(load(spark, sf_dir, "documents"), public_path("piece_bpe_32k.model"))
 
@@ -33,8 +39,11 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_lexical_packing": op3_lexical_packing,
     "op4_bpe_transducer": op4_bpe_transducer,
+    "op6_exact_dedup": op6_exact_dedup,
     "op9_language_id": op9_language_id,
     "op10_token_files": op10_token_files,
 }
 
-ORACLE_SQL: dict[str, str] = {}
+ORACLE_SQL: dict[str, str] = {
+    "op6_exact_dedup": EXACT_DEDUP_SQL,
+}
