@@ -14,6 +14,11 @@ from .language_id import predict
 from .packing import pack_documents
 from .shared import load
 from .token_files import token_file_report
+from .toxicity import score_documents
+
+
+def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return score_documents(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
 
 def op3_lexical_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -37,6 +42,7 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op2_toxicity": op2_toxicity,
     "op3_lexical_packing": op3_lexical_packing,
     "op4_bpe_transducer": op4_bpe_transducer,
     "op6_exact_dedup": op6_exact_dedup,
