@@ -16,10 +16,11 @@ from collections.abc import Callable, Sequence
 
 #: White space other than space, line feed, carriage return and tab.
 _RARE_SPACE = re.compile("[\x0b\x0c\x1c-\x1f\x85\xa0  -     　]")
+_STOPS = frozenset(".,;:!?")
 _SAFE_SPACE = re.compile(r"(?<=\S) (?=\S)")
 
-#: Chunks, and matches of the pattern, that a worker remembers before it starts anew (about 60 MB).
-MEMO_CHUNKS = 200_000
+#: Chunks, and matches of the pattern, that a worker remembers before it starts anew (about 120 MB).
+MEMO_CHUNKS = 400_000
 
 
 def chunks_of(text: str) -> list[str]:
@@ -45,7 +46,16 @@ class ChunkEncoder:
 
     def _fresh(self, text: str) -> bytes:
         known, out = self.pieces, []
-        for piece in (text,) if text[0] == " " and text[1:].isalpha() else self.split(text):
+        body = text[1:]
+        if text[0] != " ":
+            pieces = self.split(text)
+        elif body.isalpha():
+            pieces = (text,)
+        elif body[-1:] in _STOPS and body[:-1].isalpha():
+            pieces = (text[:-1], body[-1])
+        else:
+            pieces = self.split(text)
+        for piece in pieces:
             ids = known.get(piece)
             if ids is None:
                 if len(known) >= self.limit:

@@ -9,7 +9,8 @@ examples vote, weighted by closeness; a monotone curve, fitted on the examples
 themselves with each left out of its own search, turns votes into calibrated
 scores. The examples found are the evidence.
 
-Terms are the maximal runs of letters, lower-cased. A term is taken if its
+Terms are the maximal runs of letters, lower-cased, and their stems: the first
+letters of longer ones. A term is taken if its
 association with the label (log-likelihood ratio) exceeds what the best of as
 many unrelated terms would reach by chance.
 
@@ -34,9 +35,11 @@ from pyspark.sql import functions as F
 from .shared import bucket_of
 
 #: Bound of the labelled sample in texts; terms kept at most; examples that vote; examples in a block.
-SAMPLE_TEXTS, MOST_TERMS, NEAREST, BLOCK = 20_000, 4096, 15, 64
+SAMPLE_TEXTS, MOST_TERMS, NEAREST, BLOCK = 6_000, 4096, 15, 64
 #: Vote of the base rate, so that few or far examples say little.
 PRIOR_VOTES = 0.5
+#: Letters of a stem.
+STEM = 5
 #: Score from which a text counts as toxic.
 THRESHOLD = 0.7
 #: Vectors whose score a worker remembers before it starts anew.
@@ -45,8 +48,13 @@ MEMO_VECTORS = 100_000
 _WORDS = re.compile(r"[^\W\d_]+").findall
 
 
-def terms_of(text: str | None) -> Counter:
-    return Counter(_WORDS(text.lower())) if text else Counter()
+def terms_of(text: str | None, among: dict[str, int] | None = None) -> Counter:
+    """Counts of the words and stems of a text; with ``among``, of those only."""
+    words = _WORDS(text.lower()) if text else []
+    stems = [w[:STEM] + "*" for w in words if len(w) > STEM]
+    if among is not None:
+        words, stems = [w for w in words if w in among], [t for t in stems if t in among]
+    return Counter(words) + Counter(stems)
 
 
 def association(toxic_with: np.ndarray, other_with: np.ndarray, toxic: int, other: int) -> np.ndarray:
@@ -151,12 +159,11 @@ class ToxicityModel:
 
 def fit(examples: list[tuple[int, str | None, int]]) -> ToxicityModel:
     """Learn from (doc_id, text, label)."""
-    counted = [terms_of(text) for _, text, _ in examples]
     labels = np.array([label for _, _, label in examples], dtype=float)
     toxic, other = int(labels.sum()), int(len(labels) - labels.sum())
     held = [Counter(), Counter()]
-    for counts, label in zip(counted, labels, strict=True):
-        held[int(label)].update(counts.keys())
+    for _, text, label in examples:
+        held[label].update(terms_of(text).keys())
     names = sorted(t for t in held[0].keys() | held[1].keys() if held[0][t] + held[1][t] > 1)
     terms: dict[str, int] = {}
     if toxic and other and names:
@@ -168,7 +175,7 @@ def fit(examples: list[tuple[int, str | None, int]]) -> ToxicityModel:
         terms = {names[i]: n for n, i in enumerate(chosen)}
     df = np.array([held[0][t] + held[1][t] for t in terms], dtype=float)
     model = ToxicityModel(terms, np.log((1 + len(examples)) / (1 + df)) + 1, BlockMaxIndex([], 0), labels, [], 0.0)
-    vectors = [model.vector(c) for c in counted]
+    vectors = [model.vector(terms_of(text, terms)) for _, text, _ in examples]
     full = [i for i, v in enumerate(vectors) if v]
     bare = [i for i, v in enumerate(vectors) if not v]
     model.base = float((labels[bare].sum() + 0.01) / (len(bare) + 1))
@@ -207,7 +214,7 @@ def score_documents(docs: DataFrame, labels: DataFrame, folds: int = 3, held_out
             _MODELS[name] = shared.value
         known = _MODELS[name]
         for batch in batches:
-            found = [known.score(terms_of(text.as_py())) for text in batch.column(2)]
+            found = [known.score(terms_of(text.as_py(), known.terms)) for text in batch.column(2)]
             scores = [s for s, _ in found]
             yield pa.RecordBatch.from_arrays(
                 [batch.column(0), batch.column(1), pa.array(scores, pa.float64()), pa.array([int(s >= THRESHOLD) for s in scores], pa.int32()), pa.array([e for _, e in found], pa.list_(pa.int64()))],
