@@ -8,9 +8,8 @@ bucket; it starts with one bucket and doubles until no bucket holds more than
 its share, from a histogram of bounded size. The index is written to shared
 files, one range of keys for each owner, and every row then looks up its entry.
 
-Rows look up frequent texts in a broadcast part of the index. A text is
-frequent if it has more than 1/``FREQUENT`` of all rows, so there are fewer
-than ``FREQUENT`` of them at any size; the others are joined by their keys.
+Rows look up frequent texts in a broadcast part of the index, which is bounded
+at any size, and the others by a join (see ``shared.look_up``).
 
 Defined cases: null counts as empty text; of equal texts the largest
 ``doc_id`` stays (a null ``doc_id`` is the smallest); rows that repeat both
@@ -23,12 +22,10 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import settle
+from .shared import look_up, settle
 
 #: Rows that an owner's bucket aims at; leading bits that the histogram tells apart.
 BUCKET_ROWS, DIRECTORY_BITS = 200_000, 12
-#: Bound on the entries that are broadcast.
-FREQUENT = 10_000
 
 
 def text_key(text: Column) -> list[Column]:
@@ -74,25 +71,11 @@ def build_index(docs: DataFrame, capacity: int = BUCKET_ROWS) -> DataFrame:
     return settle(chained.select("bucket", "hash", "chain", "digest", "keep_id", "group_size").sortWithinPartitions("bucket", "hash"), "dedup-index")
 
 
-def look_up(docs: DataFrame, index: DataFrame) -> DataFrame:
-    """``docs``, which have the columns of ``text_key``, with the ``entry`` of each row's text."""
-    rows = F.lit(index.agg(F.sum("group_size")).first()[0] or 0)
-    often = F.col("group_size") * FREQUENT > rows
-    entry = ["hash", "digest", "keep_id", "group_size"]
-    frequent = index.where(often).select(*entry)
-    rare = index.where(~often).select(*entry)
-    hot = docs.join(F.broadcast(frequent.select("hash", "digest", F.struct("keep_id", "group_size").alias("hot"))), ["hash", "digest"], "left")
-    # Rows that are served get a key of their own, and so no join partition of theirs.
-    salted = hot.withColumn("cold_hash", F.when(F.col("hot").isNull(), F.col("hash")).otherwise(F.xxhash64("doc_id"))).withColumn("cold_digest", F.when(F.col("hot").isNull(), F.col("digest")))
-    joined = salted.join(rare.select(F.col("hash").alias("cold_hash"), F.col("digest").alias("cold_digest"), F.struct("keep_id", "group_size").alias("cold")), ["cold_hash", "cold_digest"], "left")
-    return joined.withColumn("entry", F.coalesce("hot", "cold")).drop("hot", "cold", "cold_hash", "cold_digest")
-
-
 def exact_duplicates(docs: DataFrame) -> DataFrame:
     """(doc_id, keep_id, group_size, kept, text_sha256) of every row."""
     index = build_index(docs)
     keyed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), *text_key(F.col("text")))
-    found = look_up(keyed, index)
+    found = look_up(keyed, index.select("hash", "digest", "keep_id", "group_size"), ["hash", "digest"], "group_size", "entry")
     return found.select(
         "doc_id",
         F.col("entry.keep_id").alias("keep_id"),

@@ -12,9 +12,11 @@ from .exact_dedup import SQL as EXACT_DEDUP_SQL
 from .exact_dedup import exact_duplicates
 from .language_id import predict
 from .packing import pack_documents
+from .quality import resample
 from .shared import load
 from .token_files import token_file_report
 from .toxicity import score_documents
+from .url_filter import judge_urls
 
 
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -33,6 +35,14 @@ def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_duplicates(load(spark, sf_dir, "documents"))
 
 
+def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return resample(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
+
+
+def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return judge_urls(load(spark, sf_dir, "pages"))
+
+
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
     return predict(load(spark, sf_dir, "documents"), public_path("piece_bpe_32k.model"))
 
@@ -46,6 +56,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op3_lexical_packing": op3_lexical_packing,
     "op4_bpe_transducer": op4_bpe_transducer,
     "op6_exact_dedup": op6_exact_dedup,
+    "op7_quality": op7_quality,
+    "op8_url_filter": op8_url_filter,
     "op9_language_id": op9_language_id,
     "op10_token_files": op10_token_files,
 }

@@ -62,3 +62,30 @@ def shuffle_width(spark: SparkSession) -> int:
 
 def struct_schema(fields: Iterable[tuple[str, T.DataType]]) -> T.StructType:
     return T.StructType([T.StructField(name, kind) for name, kind in fields])
+
+
+#: Bound on the entries of a lookup table that are broadcast.
+FREQUENT = 10_000
+
+
+def look_up(rows: DataFrame, entries: DataFrame, keys: list[str], weight: str, name: str) -> DataFrame:
+    """Left join of ``rows`` with their entry, as the struct column ``name``, whatever the skew of the keys.
+
+    ``entries`` has one row for each value of ``keys`` and tells in ``weight``
+    how many rows have it. Keys with more than 1/``FREQUENT`` of all rows are
+    fewer than ``FREQUENT`` at any size, so they are broadcast; rows served by
+    them join nothing else, and spread over the partitions of the second join.
+    """
+    total = entries.agg(F.sum(weight)).first()[0] or 0
+    often = F.col(weight) * FREQUENT > F.lit(total)
+    payload = F.struct(*[c for c in entries.columns if c not in keys])
+    frequent = entries.where(often).select(*keys, payload.alias("__hot"))
+    rare = entries.where(~often).select(*[F.col(k).alias(f"__{k}") for k in keys], F.lit(0).alias("__salt"), payload.alias("__cold"))
+    served = rows.join(F.broadcast(frequent), keys, "left")
+    salt = F.when(F.col("__hot").isNotNull(), F.monotonically_increasing_id() + 1).otherwise(0)
+    own = [F.when(F.col("__hot").isNull(), F.col(k)).alias(f"__{k}") for k in keys]
+    salted = served.select("*", *own, F.xxhash64(salt).alias("__spread"), F.when(F.col("__hot").isNull(), F.lit(0)).alias("__salt"))
+    # A null key finds no partner; the spread keeps null keys out of one partition.
+    rare = rare.withColumn("__spread", F.xxhash64(F.lit(0).cast("long")))
+    joined = salted.join(rare, [f"__{k}" for k in keys] + ["__salt", "__spread"], "left")
+    return joined.withColumn(name, F.coalesce("__hot", "__cold")).drop("__hot", "__cold", "__salt", "__spread", *[f"__{k}" for k in keys])
