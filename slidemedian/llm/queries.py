@@ -11,6 +11,7 @@ from .encoding import public_path
 from .exact_dedup import SQL as EXACT_DEDUP_SQL
 from .exact_dedup import exact_duplicates
 from .language_id import predict
+from .near_dedup import near_duplicates
 from .packing import pack_documents
 from .quality import resample
 from .shared import load
@@ -19,6 +20,10 @@ from .toxicity import score_documents
 from .url_filter import judge_urls
 
 
+def op1_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicates(load(spark, sf_dir, "documents"), words_each=2)
+
+
 def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_documents(load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels"))
 
@@ -52,6 +57,7 @@ def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
+    "op1_near_dedup": op1_near_dedup,
     "op2_toxicity": op2_toxicity,
     "op3_lexical_packing": op3_lexical_packing,
     "op4_bpe_transducer": op4_bpe_transducer,
