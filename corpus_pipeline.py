@@ -1,11 +1,58 @@
-"""Corpus pipeline."""
+"""Corpus pipeline: five stages from raw documents to packed training sequences.
 
+Each stage takes (spark, docs, sf_dir) and returns a DataFrame that is written
+as Parquet and read again as the next stage's ``docs``. All but the last return
+the columns of ``documents``.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+
+from slidemedian.llm import exact_dedup, language_id, near_dedup, packing, quality
+from slidemedian.llm.encoding import public_path
+from slidemedian.llm.shared import load, settle
+
+
+def recognised_language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows whose language is recognised stay."""
+    return language_id.keep_known(docs, public_path("piece_bpe_32k.model"))
+
+
+def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Rows that importance resampling draws stay."""
+    return quality.keep_drawn(docs, load(spark, sf_dir, "labels"))
+
+
+def distinct_texts(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One row of each group of equal texts stays."""
+    return exact_dedup.drop_exact(docs)
+
+
+def distinct_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """One document of each group of near-duplicates stays: five-word shingles, similarity 0.8 or more."""
+    return near_dedup.keep_one_each(docs)
+
+
+def packed_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The pieces of all documents in sequences of 1024 tokens."""
+    return packing.pack_documents(docs, public_path("byte_bpe_50k.json"))
+
+
+STAGES = [
+    ("language id", recognised_language),
+    ("quality classifier", good_quality),
+    ("exact dedup", distinct_texts),
+    ("near dedup", distinct_documents),
+    ("packing", packed_sequences),
+]
+
+#: Trained models, hashing and packing have no SQL form; tests hold the stages against brute force.
 ORACLE_SQL = None
-STAGES = []
 
 
-def run(spark, sf_dir):
-    docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
-    for _, stage in STAGES:
-        docs = stage(spark, docs, sf_dir)
-    return docs
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = load(spark, sf_dir, "documents")
+    for name, stage in STAGES[:-1]:
+        docs = settle(stage(spark, docs, sf_dir), name.replace(" ", "-"))
+    return STAGES[-1][1](spark, docs, sf_dir)

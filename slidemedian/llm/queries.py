@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .bpe_transducer import round_trip_digests
+from .embedding_dedup import near_duplicate_vectors
 from .encoding import public_path
 from .exact_dedup import SQL as EXACT_DEDUP_SQL
 from .exact_dedup import exact_duplicates
@@ -36,6 +37,10 @@ def op4_bpe_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
     return round_trip_digests(load(spark, sf_dir, "documents"), public_path("byte_bpe_multi_50k.tiktoken"))
 
 
+def op5_embedding_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return near_duplicate_vectors(load(spark, sf_dir, "embeddings"))
+
+
 def op6_exact_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
     return exact_duplicates(load(spark, sf_dir, "documents"))
 
@@ -61,6 +66,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_toxicity": op2_toxicity,
     "op3_lexical_packing": op3_lexical_packing,
     "op4_bpe_transducer": op4_bpe_transducer,
+    "op5_embedding_dedup": op5_embedding_dedup,
     "op6_exact_dedup": op6_exact_dedup,
     "op7_quality": op7_quality,
     "op8_url_filter": op8_url_filter,
