@@ -13,7 +13,8 @@ from ..plans.spec import SlidingSpec, median_rank, names
 
 
 def _spec(value: str, k: int, order_by, partition_by, **options) -> SlidingSpec:
-    return SlidingSpec(value, k, tuple(names(order_by)), tuple(names(partition_by)), **options)
+    keys = names(partition_by)
+    return SlidingSpec(value, k, tuple(c for c in names(order_by) if c not in keys), tuple(keys), **options)
 
 
 def sliding_median(df: DataFrame, value: str, k: int, order_by: str | Sequence[str], partition_by: str | Sequence[str] = (), *, even: str = "mean", out: str = "med", out_range: tuple[int, int] | None = None, pre_filter: Column | None = None, hints: dict[str, int] | None = None, **options) -> DataFrame:
@@ -30,6 +31,8 @@ def sliding_median(df: DataFrame, value: str, k: int, order_by: str | Sequence[s
     if even not in ("mean", "lower", "upper"):
         raise ValueError(f"even must be mean, lower or upper, not {even!r}")
     rank, share = median_rank(k, even) if k >= 1 else (0, 1.0)
+    if options.get("edges") == "partial" and even == "mean":
+        share = 0.5  # incomplete windows may have two middle items
     rows = df if pre_filter is None else df.where(pre_filter)
     found = plan(rows, _spec(value, k, order_by, partition_by, ranks=(rank,), outputs=(out,), shares=(share,), **options), hints)
     return found if out_range is None else found.where((F.col("pos") >= out_range[0]) & (F.col("pos") < out_range[1]))
