@@ -73,6 +73,8 @@ def wide(df: DataFrame, spec: SlidingSpec, tile: int | None = None) -> DataFrame
     # Row p lies in windows p - k + 1 ... p, hence in these tiles of windows.
     tiles = F.sequence(F.greatest(F.expr(f"(pos - {k - 1}) div {w}"), F.lit(0)).cast("long"), F.expr(f"pos div {w}"))
     spread = placed.withColumn("tile", F.explode(tiles))
+    ends = placed.groupBy(*keys).agg(F.max("pos").alias("end"))
+    spread = spread.join(ends, keys) if keys else spread.crossJoin(F.broadcast(ends))  # one row
     first, last = F.col("tile") * w, F.col("tile") * w + w - 1
     spread = spread.withColumn("core", (F.col("pos") >= last) & (F.col("pos") <= first + k - 1))
     unit = [*keys, "tile"]
@@ -87,8 +89,7 @@ def wide(df: DataFrame, spec: SlidingSpec, tile: int | None = None) -> DataFrame
     order = Window.partitionBy(*unit, "cell").orderBy(spec.value, "pos")
     kept = kept.withColumn("rank", F.col("less") + F.row_number().over(order) - 1).where((F.col("rank") <= rank) & (F.col("rank") >= rank - (w - 1)))
     changing = spread.where("NOT core").withColumn("rank", F.lit(None).cast("long"))
-    columns = [*unit, "pos", *[c for c in (*spec.order_by, *spec.extra) if c not in keys], spec.value, "core", "rank"]
-    columns = list(dict.fromkeys(columns))
+    columns = [*unit, "pos", "end", spec.value, "core", "rank"]
     rows = kept.select(*columns).unionByName(changing.select(*columns))
 
     def run(batches):
@@ -120,15 +121,14 @@ def walk_core(part: pa.Table, spec: SlidingSpec, w: int):
     core = np.asarray(part.column("core"))
     k, rank = spec.window, spec.ranks[0]
     start = int(part.column("tile")[0].as_py()) * w
-    last_pos = int(pos.max())
-    windows = min(w, last_pos - k + 2 - start)
+    windows = min(w, part.column("end")[0].as_py() - k + 2 - start)
     if windows < 1:
         return
     below = np.asarray(part.column("rank").combine_chunks().fill_null(-1))[core]
     offset = int(below.min()) if len(below) else min(rank, max(0, k - w + 1))
     held = sorted(codes[core].tolist())
     changing = dict(zip(pos[~core].tolist(), codes[~core].tolist(), strict=True))
-    for p in range(start, start + w - 1):
+    for p in range(start, start + min(w - 1, k)):
         bisect.insort(held, changing[p])
     # ``offset`` core rows lie below every survivor; a changing value may too.
     out = np.empty(windows, dtype=np.int64)
