@@ -302,7 +302,8 @@ def resolve_clusters(docs: DataFrame, clusters: DataFrame, words_each: int, simi
     own = F.pmod(F.xxhash64("v"), F.col("chunks")).cast("int")
     units = placed.select("v", "component", F.explode(F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda o: F.struct(F.least(o, own).alias("i"), F.greatest(o, own).alias("j")))).alias("unit"))
     texts = docs.select(F.col("doc_id").cast("long").alias("v"), "text")
-    rows = texts.join(units, "v").select("component", F.col("unit.i").alias("i"), F.col("unit.j").alias("j"), "v", "text")
+    # Shuffled at every size: how many documents are in clusters has no bound.
+    rows = texts.join(units.hint("shuffle_hash"), "v").select("component", F.col("unit.i").alias("i"), F.col("unit.j").alias("j"), "v", "text")
 
     def resolve(batches):
         unit, ids, sets, links = None, [], [], []
