@@ -14,7 +14,7 @@ from __future__ import annotations
 
 import base64
 import hashlib
-from collections.abc import Iterable, Iterator
+from collections.abc import Iterator, Sequence
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -37,7 +37,9 @@ def read_ranks(path: str) -> dict[bytes, int]:
 class MergeTransducer:
     def __init__(self, ranks: dict[bytes, int], limit: int = TRANSITIONS):
         self.ranks, self.limit = ranks, limit
-        self.tokens = {rank: token for token, rank in ranks.items()}
+        self.tokens = [b""] * (max(ranks.values()) + 1)
+        for token, rank in ranks.items():
+            self.tokens[rank] = token
         self.trie: dict[int, int] = {}
         self.token_at, self.inner = [-1], [True]
         for token, rank in ranks.items():
@@ -180,14 +182,10 @@ class Utf8Machine:
         return rest.decode("utf-8", "surrogateescape")
 
 
-def decode_stream(ids: Iterable[int], table: dict[int, bytes]) -> Iterator[str]:
-    machine, block = Utf8Machine(), []
-    for i in ids:
-        block.append(table[i])
-        if len(block) == DECODE_BLOCK:
-            yield machine.feed(b"".join(block))
-            block = []
-    yield machine.feed(b"".join(block))
+def decode_stream(ids: Sequence[int], table: Sequence[bytes]) -> Iterator[str]:
+    machine, token = Utf8Machine(), table.__getitem__
+    for low in range(0, len(ids), DECODE_BLOCK):
+        yield machine.feed(b"".join(map(token, ids[low : low + DECODE_BLOCK])))
     yield machine.close()
 
 
