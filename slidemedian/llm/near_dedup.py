@@ -50,7 +50,7 @@ BRANCHING = 60
 #: Estimated similarity from which a pair is looked at exactly, and from which a task lets one document stand for another.
 LOOK, ABSORB = 0.58, 0.93
 #: Documents of a node that are compared exhaustively; documents of a chunk.
-NODE, CHUNK = 4096, 16_384
+NODE, CHUNK = 4096, 1024
 #: Words that a worker remembers before it starts anew.
 MEMO_WORDS = 400_000
 
