@@ -9,7 +9,8 @@ and documents are drawn without replacement in proportion to their weights:
 the k largest of log-weight plus Gumbel noise stay.
 
 k is the number of documents whose log-weight reaches a cut-off, the
-``SPARED`` quantile of labelled good documents that the model has not seen.
+``SPARED`` quantile of labelled good documents that the model has not seen, but
+never more than 0: text without evidence against it is not rejected.
 
 Defined cases: a text that is null or has no word has log-weight 0; rows that
 tie at the k-th key all stay; labels that are null or of no document are not
@@ -165,7 +166,7 @@ def drawn(docs: DataFrame, labels: DataFrame, columns: list[str], folds: int = 3
     good = docs.sparkSession.createDataFrame([(int(i),) for i, q in zip(ids, quality, strict=True) if q] or [(-1,)], "doc_id long")
     unseen = keyed.where(fold).select(F.col("doc_id").cast("long").alias("doc_id"), "__log_weight").join(F.broadcast(good), "doc_id")
     cut = unseen.agg(F.percentile_approx("__log_weight", SPARED, 10_000)).first()[0]
-    k = keyed.where(F.col("__log_weight") >= cut).count() if cut is not None else keyed.count()
+    k = keyed.where(F.col("__log_weight") >= min(cut, 0.0)).count() if cut is not None else keyed.count()
     threshold = kth_largest(keyed, "__key", k)
     return keyed.withColumn("__selected", F.lit(False) if threshold is None else F.col("__key") >= threshold)
 

@@ -20,11 +20,7 @@ LOCAL_FALLBACK = "file:/tmp/slidemedian-shared"
 
 def shared_root(spark: SparkSession) -> str:
     """The folder that driver and executors share."""
-    root = spark.conf.get("spark.checkpoint.dir", None)
-    if not root:
-        spark.conf.set("spark.checkpoint.dir", LOCAL_FALLBACK)
-        root = LOCAL_FALLBACK
-    return root.rstrip("/")
+    return (spark.conf.get("spark.checkpoint.dir", None) or LOCAL_FALLBACK).rstrip("/")
 
 
 def fresh_path(spark: SparkSession, label: str) -> str:
