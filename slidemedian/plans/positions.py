@@ -8,6 +8,7 @@ order keys act there.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Sequence
 
 from pyspark.sql import DataFrame, Window
@@ -16,6 +17,8 @@ from pyspark.sql import types as T
 
 #: Accuracy of the quantile sketch behind the bounds; values sampled for keys that have no quantiles.
 SKETCH, SAMPLED = 4096, 10_000
+#: Bounds from which a row's bucket is searched in two steps.
+TWO_STEPS = 32
 
 
 def bucket_bounds(df: DataFrame, lead: str, buckets: int) -> list:
@@ -34,10 +37,21 @@ def bucket_bounds(df: DataFrame, lead: str, buckets: int) -> list:
 
 
 def bucket_number(lead: str, bounds: list) -> F.Column:
-    """How many bounds a row's leading key has reached; null keys are before all."""
+    """How many bounds a row's leading key has reached; null keys are before all.
+
+    Many bounds are searched in two steps of about the square root of their
+    number: every so many bounds first, then the run that follows the one found.
+    """
     if not bounds:
         return F.lit(0)
-    return F.coalesce(F.size(F.filter(F.array(*[F.lit(b) for b in bounds]), lambda b: b <= F.col(lead))), F.lit(0))
+    reached = lambda held: F.size(F.filter(held, lambda b: b <= F.col(lead)))
+    if len(bounds) <= TWO_STEPS:
+        return F.coalesce(reached(F.array(*[F.lit(b) for b in bounds])), F.lit(0))
+    run = math.isqrt(len(bounds))
+    runs = [bounds[i : i + run] for i in range(0, len(bounds), run)]
+    at = reached(F.array(*[F.lit(r[0]) for r in runs]))
+    inner = F.element_at(F.array(*[F.array(*[F.lit(b) for b in r]) for r in runs]), F.greatest(at, F.lit(1)))
+    return F.coalesce(F.when(at > 0, (at - 1) * run + reached(inner)).otherwise(0), F.lit(0))
 
 
 def global_positions(df: DataFrame, order_by: Sequence[str], partition_by: Sequence[str] = (), buckets: int | None = None) -> DataFrame:

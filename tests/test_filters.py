@@ -159,6 +159,15 @@ def test_positions_and_halo(spark):
     assert len(tiled) == 40 + 9 and sum(r["halo"] for r in tiled) == 9
 
 
+def test_buckets_by_two_steps(spark):
+    bounds = list(range(10, 1010, 10))
+    df = spark.range(1100).select((F.col("id") - 50).alias("x")).unionByName(spark.createDataFrame([(None,)], "x long"))
+    for r in df.select("x", positions.bucket_number("x", bounds).alias("b")).collect():
+        assert r["b"] == (0 if r["x"] is None else sum(b <= r["x"] for b in bounds))
+    wide = spark.range(5000).select(F.expr("(id * 7919) % 5000").alias("i"))
+    assert positions.global_positions(wide, ["i"], buckets=100).where("pos != i").count() == 0
+
+
 def test_batches_cut_anywhere(spark):
     df, data = series(spark, GROUPS)
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "7")
