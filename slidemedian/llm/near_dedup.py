@@ -11,9 +11,8 @@ unlike sets rarely meet.
 
 Small nodes are compared exhaustively by their traces, larger ones against
 leaders. That yields coarse clusters, and every cluster is then resolved
-exactly on the full sets: a leader is compared with all members; members that
-it links need each other only for bridges between leaders, which the triangle
-inequality of the Jaccard distance confines. No list of pairs is ever made.
+exactly on the full sets, by an inverted index of its shingles; sets that are
+known to be connected are not compared again. No list of pairs is ever made.
 
 Hot groups: documents with equal sets are combined into one before anything
 else; tasks replace very similar documents of one path by one of them before
@@ -49,8 +48,8 @@ COORDINATES, MISS = 64, 1e-4
 BRANCHING = 60
 #: Estimated similarity from which a pair is looked at exactly, and from which a task lets one document stand for another.
 LOOK, ABSORB = 0.58, 0.93
-#: Documents of a node that are compared exhaustively; documents of a chunk.
-NODE, CHUNK = 4096, 1024
+#: Documents of a node that are compared exhaustively; documents, and shingles, of a chunk.
+NODE, CHUNK, CHUNK_SHINGLES = 4096, 1024, 2_000_000
 #: Words that a worker remembers before it starts anew.
 MEMO_WORDS = 400_000
 
@@ -233,71 +232,50 @@ def _pairs(links: list[tuple[int, int]]) -> pa.RecordBatch:
 
 
 class ClusterResolver:
-    """Exact links, up to connectivity, among the sets of one cluster."""
+    """Exact links, up to connectivity, among the sets of one cluster.
+
+    Each set in turn is compared with those after it that are not in its
+    component yet: postings of its shingles give all intersection sizes at
+    once. Where everything is linked, the first set settles the cluster.
+    """
 
     def __init__(self, sets: list[np.ndarray], similarity: tuple[int, int] = SIMILARITY):
-        self.sets, (self.part, self.whole) = sets, similarity
+        self.part, self.whole = similarity
         self.sizes = np.array([len(s) for s in sets])
-        self.flat = np.concatenate(sets)
-        self.owner = np.repeat(np.arange(len(sets)), self.sizes)
-        self.bounds = np.concatenate([[0], np.cumsum(self.sizes)])
+        self.ends = np.concatenate([[0], np.cumsum(self.sizes)])
+        _, self.shingle, counts = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+        order = np.argsort(self.shingle, kind="stable")
+        self.owner = np.repeat(np.arange(len(sets)), self.sizes)[order]
+        self.bounds = np.concatenate([[0], np.cumsum(counts)])
         self.group = np.arange(len(sets))
 
-    def overlaps(self, one: int, among: np.ndarray | None = None) -> np.ndarray:
-        """Intersection sizes of one set and all, or those ``among``."""
-        own = self.sets[one]
-        if among is None:
-            flat, owner, count = self.flat, self.owner, len(self.sets)
-        else:
-            flat = np.concatenate([self.sets[i] for i in among])
-            owner, count = np.repeat(np.arange(len(among)), self.sizes[among]), len(among)
-        place = np.minimum(np.searchsorted(own, flat), len(own) - 1)
-        return np.bincount(owner[own[place] == flat], minlength=count)
-
-    def _linked(self, one: int, overlap: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-        return self.whole * overlap >= self.part * (len(self.sets[one]) + sizes - overlap)
-
-    def _join(self, i: int, j: int) -> None:
-        if self.group[i] != self.group[j]:
-            self.group[self.group == self.group[j]] = self.group[i]
+    def overlaps(self, one: int) -> np.ndarray:
+        """Intersection sizes of one set and all."""
+        own = self.shingle[self.ends[one] : self.ends[one + 1]]
+        starts, counts = self.bounds[own], self.bounds[own + 1] - self.bounds[own]
+        shared = counts > 1
+        starts, counts = starts[shared], counts[shared]
+        place = np.repeat(starts - np.concatenate([[0], np.cumsum(counts)[:-1]]), counts) + np.arange(counts.sum())
+        return np.bincount(self.owner[place], minlength=len(self.sizes))
 
     def resolve(self) -> np.ndarray:
         """Component number of each set."""
-        covered = np.zeros(len(self.sets), dtype=bool)
-        leaders: list[int] = []
-        distances: list[np.ndarray] = []
-        for i in range(len(self.sets)):
-            if covered[i]:
+        for i in range(len(self.sizes)):
+            if not (self.group[i + 1 :] != self.group[i]).any():
                 continue
             overlap = self.overlaps(i)
-            linked = self._linked(i, overlap, self.sizes)
-            leaders.append(i)
-            distances.append((1 - overlap / (self.sizes[i] + self.sizes - overlap)).astype(np.float32))
-            covered |= linked
+            linked = self.whole * overlap >= self.part * (self.sizes[i] + self.sizes - overlap)
+            linked[: i + 1] = False
             for j in np.flatnonzero(linked & (self.group != self.group[i])):
-                self._join(i, int(j))
-        self._bridge(leaders, distances)
+                if self.group[j] != self.group[i]:
+                    self.group[self.group == self.group[j]] = self.group[i]
         return self.group
 
-    def _bridge(self, leaders: list[int], distances: list[np.ndarray]) -> None:
-        """Links between sets that are no leaders, where they join two components."""
-        radius = 1 - self.part / self.whole + 1e-6
-        for p, leader in enumerate(leaders):
-            for q in range(p + 1, len(leaders)):
-                other = leaders[q]
-                if self.group[leader] == self.group[other] or distances[p][other] > 3 * radius:
-                    continue
-                ours = np.flatnonzero((distances[p] <= radius) & (distances[q] <= 2 * radius))
-                theirs = np.flatnonzero((distances[q] <= radius) & (distances[p] <= 2 * radius))
-                for i in ours if len(theirs) else ():
-                    if self._linked(i, self.overlaps(i, theirs), self.sizes[theirs]).any():
-                        self._join(leader, other)
-                        break
-
 
 def resolve_clusters(docs: DataFrame, clusters: DataFrame, words_each: int, similarity: tuple[int, int]) -> DataFrame:
-    """(a, b): exact links up to connectivity, from clusters (v, component) of documents."""
-    sizes = clusters.groupBy("component").agg(F.ceil(F.count("*") / CHUNK).cast("int").alias("chunks"))
+    """(a, b): exact links up to connectivity, from clusters (v, component, n_shingles) of documents."""
+    parts = F.greatest(F.ceil(F.count("*") / CHUNK), F.ceil(F.sum("n_shingles") / CHUNK_SHINGLES))
+    sizes = clusters.groupBy("component").agg(parts.cast("int").alias("chunks"))
     placed = clusters.join(sizes, "component")
     own = F.pmod(F.xxhash64("v"), F.col("chunks")).cast("int")
     units = placed.select("v", "component", F.explode(F.transform(F.sequence(F.lit(0), F.col("chunks") - 1), lambda o: F.struct(F.least(o, own).alias("i"), F.greatest(o, own).alias("j")))).alias("unit"))
@@ -341,9 +319,10 @@ def near_duplicates(docs: DataFrame, words_each: int = SHINGLE_WORDS, similarity
     depth, trees = depth_and_trees(docs.count(), similarity)
     traced = settle(traces(docs, words_each, depth, trees), "traces")
     linkable = traced.where(F.col("trace").isNotNull() & F.col("doc_id").isNotNull())
-    sets = settle(linkable.groupBy("d1", "d2").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("copies"), F.min_by("trace", "doc_id").alias("trace")), "sets")
+    sets = settle(linkable.groupBy("d1", "d2").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("copies"), F.min("n_shingles").alias("n_shingles"), F.min_by("trace", "doc_id").alias("trace")), "sets")
     coarse = components(candidate_links(sets, trees))
-    exact = components(resolve_clusters(docs, settle(coarse, "clusters"), words_each, similarity))
+    sized = coarse.join(sets.select(F.col("doc_id").alias("v"), "n_shingles"), "v")
+    exact = components(resolve_clusters(docs, settle(sized, "clusters"), words_each, similarity))
     named = sets.select("d1", "d2", "copies", F.col("doc_id").alias("v")).join(exact, "v", "left")
     entries = settle(named.select("d1", "d2", "copies", F.coalesce("component", "v").alias("component")), "classes")
     found = look_up(traced.select("doc_id", "n_shingles", "d1", "d2"), entries, ["d1", "d2"], "copies", "class")
