@@ -3,8 +3,8 @@
 A space that stands between two characters that are not white space always
 starts a new match of the split pattern, so a text may be cut there and each
 chunk encoded by itself. Chunks repeat far more often than texts: the encoder
-behind (a library, or the transducer of ``bpe_transducer``) sees each once per
-worker and memo generation. Ids travel as little-endian unsigned 32-bit bytes,
+behind (a library, or the transducer of ``bpe_transducer``) sees the frequent ones
+once per worker. Ids travel as little-endian unsigned 32-bit bytes,
 ready for digests.
 """
 
@@ -19,7 +19,7 @@ _RARE_SPACE = re.compile("[\x0b\x0c\x1c-\x1f\x85\xa0  -     　]")
 _STOPS = frozenset(".,;:!?")
 _SAFE_SPACE = re.compile(r"(?<=\S) (?=\S)")
 
-#: Chunks, and matches of the pattern, that a worker remembers before it starts anew (about 120 MB).
+#: Chunks, and matches of the pattern, that a worker remembers at most (about 120 MB).
 MEMO_CHUNKS = 400_000
 
 
@@ -34,6 +34,26 @@ def chunks_of(text: str) -> list[str]:
     return _SAFE_SPACE.split(text)
 
 
+class Memo(dict):
+    """A bounded memo that keeps what recurs.
+
+    When it is full, only entries that the generation before had too survive,
+    so that the many strings that come once do not drive out the frequent ones.
+    """
+
+    def __init__(self, limit: int):
+        self.limit, self.before = limit, frozenset()
+
+    def make_room(self, count: int) -> None:
+        if len(self) + count <= self.limit:
+            return
+        lasting = {k: v for k, v in self.items() if k in self.before}
+        self.before = frozenset(self)
+        self.clear()
+        if len(lasting) + count <= self.limit * 3 // 4:
+            self.update(lasting)
+
+
 class ChunkEncoder:
     """``encode_piece`` turns one match of the split pattern into its ids."""
 
@@ -41,7 +61,7 @@ class ChunkEncoder:
         import public_tokenizers
         import regex
 
-        self.encode_piece, self.limit, self.memo, self.pieces = encode_piece, limit, {}, {}
+        self.encode_piece, self.memo, self.pieces = encode_piece, Memo(limit), Memo(limit)
         self.split = regex.compile(public_tokenizers.PATTERN).findall
 
     def _fresh(self, text: str) -> bytes:
@@ -58,8 +78,7 @@ class ChunkEncoder:
         for piece in pieces:
             ids = known.get(piece)
             if ids is None:
-                if len(known) >= self.limit:
-                    known.clear()
+                known.make_room(1)
                 ids = known[piece] = array("I", self.encode_piece(piece)).tobytes()
             out.append(ids)
         return b"".join(out)
@@ -70,9 +89,9 @@ class ChunkEncoder:
         rest = chunks[1:]
         missing = {c for c in rest if c not in memo}
         if missing:
-            if len(memo) + len(missing) > self.limit:
-                memo.clear()
-                missing = set(rest)
+            if len(memo) + len(missing) > memo.limit:
+                memo.make_room(len(missing))
+                missing = {c for c in rest if c not in memo}
             for chunk in missing:
                 memo[chunk] = self._fresh(" " + chunk)
         head = self._fresh(chunks[0]) if chunks[0] else b""
