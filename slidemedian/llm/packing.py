@@ -1,12 +1,17 @@
 """Lexical retrieval packing.
 
-Documents are dealt into shards; each shard holds a BM25 inverted index over
-the token ids of its documents. A seed document opens a window; the index
-returns the unused neighbours of the seed, best first, and they fill the rest
-of the window. A neighbour that does not fit is cut; what is left of it seeds
+Documents are dealt into shards by lexical content; each shard holds a BM25
+inverted index over the token ids of its documents, weighted by the counts of
+the whole table. A seed document opens a window; the index returns the unused
+neighbours of the seed, best first, and they fill the rest of the window. A neighbour that does not fit is cut; what is left of it seeds
 the next window. So every window but a shard's last is full, and the last is
 cut into pieces whose lengths are powers of two, which need no padding.
 
+Dealing: weighted terms of a document are projected to ``AXES`` numbers; a tree
+of splits, grown on a sample, gives its leaf; shards are ranges of
+leaves in tree order. Documents of a leaf beyond a shard spill into the next.
+A seed asks its own shard only, so neighbours across a border are missed.
+
 A shard is a partition of the exchange or a part of one: a task packs what it
 has buffered whenever that reaches ``SHARD_TOKENS``, so its memory is bounded.
 
@@ -18,19 +23,26 @@ has no lexical neighbour is followed by the next unused one of its shard.
 from __future__ import annotations
 
 import zlib
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .encoding import library_encoder
+from .shared import settle, shuffle_width
 
 #: Window in tokens; documents that a shard aims at; buffered tokens at which a task packs.
 WINDOW, SHARD_DOCS, SHARD_TOKENS = 1024, 2000, 4_000_000
-#: BM25 saturation and length normalisation; heaviest terms of the seed that query the index.
-K1, B, QUERY_TERMS = 1.2, 0.75, 8
+#: BM25 saturation and length normalisation.
+K1, B = 1.2, 0.75
+#: Terms of at least one in so many documents have dense rows in an index.
+DENSE = 4
+#: Numbers that a document is projected to; documents on which the tree is grown; leaves for each shard; sampled documents that a split needs.
+AXES, TREE_SAMPLE, LEAVES_EACH, LEAST_SPLIT = 128, 20_000, 4, 8
 
 PIECES = T.StructType(
     [
@@ -45,41 +57,113 @@ PIECES = T.StructType(
 )
 
 
+@dataclass(frozen=True)
+class Statistics:
+    """Of the whole table: documents, mean length, and documents of each term id."""
+
+    documents: int
+    mean: float
+    df: np.ndarray
+
+    def idf(self, terms: np.ndarray) -> np.ndarray:
+        df = self.df[terms]
+        return np.log1p((self.documents - df + 0.5) / (df + 0.5))
+
+
+def statistics_of(documents: list[np.ndarray]) -> Statistics:
+    flat = np.concatenate([np.unique(d) for d in documents]).astype(np.int64)
+    return Statistics(len(documents), float(np.mean([len(d) for d in documents])), np.bincount(flat))
+
+
+def bm25(idf: np.ndarray, tf: np.ndarray, length, mean: float) -> np.ndarray:
+    return idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length / max(mean, 1e-9)))
+
+
 class LexicalIndex:
-    """BM25 postings of one shard; terms are token ids."""
+    """BM25 postings of one shard; terms are token ids. ``whole`` counts the table, else the shard does."""
 
-    def __init__(self, documents: list[np.ndarray]):
+    def __init__(self, documents: list[np.ndarray], whole: Statistics | None = None):
+        whole = whole or statistics_of(documents)
         terms, counts = zip(*(np.unique(d, return_counts=True) for d in documents), strict=True)
         sizes = np.array([len(t) for t in terms])
         lengths = np.array([len(d) for d in documents], dtype=np.float64)
         flat, tf = np.concatenate(terms), np.concatenate(counts).astype(np.float64)
         owner = np.repeat(np.arange(len(documents)), sizes)
-        vocabulary, place, df = np.unique(flat, return_inverse=True, return_counts=True)
-        idf = np.log1p((len(documents) - df + 0.5) / (df + 0.5))
-        norm = K1 * (1 - B + B * lengths / lengths.mean())
-        weight = (idf[place] * tf * (K1 + 1) / (tf + norm[owner])).astype(np.float32)
+        vocabulary, place, held = np.unique(flat, return_inverse=True, return_counts=True)
+        weight = bm25(whole.idf(vocabulary)[place], tf, lengths[owner], whole.mean).astype(np.float32)
         order = np.argsort(place, kind="stable")
         self.owner, self.weight = owner[order], weight[order]
-        self.bounds = np.concatenate([[0], np.cumsum(df)])
+        self.bounds = np.concatenate([[0], np.cumsum(held)])
         self.first = np.concatenate([[0], np.cumsum(sizes)])
-        self.place, self.by_document, self.df, self.size = place, weight, df, len(documents)
+        self.place, self.held, self.size = place, held, len(documents)
+        often = (held * DENSE >= self.size) & (held > 1)
+        self.row = np.where(often, np.cumsum(often) - 1, -1)
+        self.dense = np.zeros((int(often.sum()), self.size), dtype=np.float32)
+        chosen = self.row[place]
+        self.dense[chosen[chosen >= 0], owner[chosen >= 0]] = weight[chosen >= 0]
 
     def scores(self, seed: int) -> np.ndarray:
-        """BM25 of every document for the seed's heaviest terms that another document has too."""
-        low, high = self.first[seed], self.first[seed + 1]
-        place = self.place[low:high]
-        weight = np.where(self.df[place] > 1, self.by_document[low:high], 0)
-        if len(place) > QUERY_TERMS:
-            place = place[np.argpartition(weight, -QUERY_TERMS)[-QUERY_TERMS:]]
-        spans = [slice(self.bounds[p], self.bounds[p + 1]) for p in place]
-        return np.bincount(np.concatenate([self.owner[s] for s in spans]), np.concatenate([self.weight[s] for s in spans]), self.size)
-
-
-def pack_shard(documents: list[np.ndarray], window: int = WINDOW):
-    """Yield (document, start, length, sequence, offset); sequences count from 0."""
+        """BM25 of every document for all terms of the seed that another document of the shard has too."""
+        place = self.place[self.first[seed] : self.first[seed + 1]]
+        row = self.row[place]
+        out = self.dense[row[row >= 0]].sum(axis=0)
+        spans = [slice(self.bounds[p], self.bounds[p + 1]) for p in place[(row < 0) & (self.held[place] > 1)]]
+        if spans:
+            out = out + np.bincount(np.concatenate([self.owner[s] for s in spans]), np.concatenate([self.weight[s] for s in spans]), self.size)
+        return out
+
+
+_AXES: dict[int, np.ndarray] = {}
+
+
+def projected(terms: np.ndarray, whole: Statistics) -> np.ndarray:
+    """The weighted terms of one document, scaled to length 1, on ``AXES`` random axes."""
+    size = len(whole.df)
+    if size not in _AXES:
+        _AXES.clear()
+        _AXES[size] = np.random.default_rng(1).standard_normal((size, AXES), dtype=np.float32)
+    own, tf = np.unique(terms, return_counts=True)
+    # The root of the idf on both sides makes inner products weigh a shared term once by it.
+    weight = bm25(np.sqrt(whole.idf(own)), tf, len(terms), whole.mean).astype(np.float32)
+    norm = float(np.linalg.norm(weight))
+    return weight @ _AXES[size][own] / norm if norm else np.zeros(AXES, dtype=np.float32)
+
+
+class SplitTree:
+    """Splits at the widest gap near the median along the main axis of each node's sample; leaves are numbered in tree order."""
+
+    def __init__(self, sample: np.ndarray, leaves: int):
+        self.depth = max(0, int(np.ceil(np.log2(leaves))))
+        self.axes, self.cuts = {}, {}
+        nodes = {1: sample}
+        for _ in range(self.depth):
+            grown = {}
+            for node, rows in nodes.items():
+                if len(rows) < LEAST_SPLIT:
+                    continue
+                centred = rows - rows.mean(axis=0)
+                axis = np.linalg.eigh(centred.T @ centred)[1][:, -1].astype(np.float32)
+                along = rows @ axis
+                middle = np.sort(along)[int(0.3 * len(rows)) : int(0.7 * len(rows)) + 1]
+                at = int(np.diff(middle).argmax())
+                cut = (middle[at] + middle[at + 1]) / 2
+                self.axes[node], self.cuts[node] = axis, cut
+                grown[2 * node], grown[2 * node + 1] = rows[along <= cut], rows[along > cut]
+            nodes = grown
+
+    def leaf(self, row: np.ndarray) -> int:
+        node = 1
+        for _ in range(self.depth):
+            axis = self.axes.get(node)
+            node = 2 * node + int(axis is not None and row @ axis > self.cuts[node])
+        return node - (1 << self.depth)
+
+
+def pack_shard(documents: list[np.ndarray], window: int = WINDOW, whole: Statistics | None = None):
+    """Yield (document, start, length, sequence, offset); sequences count from 0. The end id is no term."""
     if not documents:
         return
-    index = LexicalIndex(documents)
+    index = LexicalIndex([d[:-1] for d in documents], whole)
     unused = np.ones(len(documents), dtype=bool)
     following, sequence, offset = 0, 0, 0
     opening: list[tuple[int, int, int]] = []  # pieces of the window that is being filled
@@ -127,6 +211,59 @@ def pack_shard(documents: list[np.ndarray], window: int = WINDOW):
         begun, sequence = end, sequence + 1
 
 
+def table_statistics(encoded: DataFrame) -> Statistics:
+    """One pass over (doc_id, ids); each task sends at most one row for each term id."""
+
+    def count(batches):
+        df, documents, length = np.zeros(0, dtype=np.int64), 0, 0
+        for batch in batches:
+            for ids in batch.column(0):
+                terms = np.frombuffer(ids.as_py(), dtype="<u4")[:-1]
+                own = np.unique(terms).astype(np.int64)
+                if len(own) and own[-1] >= len(df):
+                    df = np.concatenate([df, np.zeros(int(own[-1]) + 1 - len(df), dtype=np.int64)])
+                df[own] += 1
+                documents, length = documents + 1, length + len(terms)
+        held = np.flatnonzero(df)
+        yield pa.RecordBatch.from_arrays([pa.array([-2, -1, *held.tolist()], pa.int64()), pa.array([documents, length, *df[held].tolist()], pa.int64())], names=["term", "n"])
+
+    counts = encoded.select("ids").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n"))
+    found = {r["term"]: r["n"] for r in counts.collect()}
+    documents, length = found.pop(-2, 0), found.pop(-1, 0)
+    df = np.zeros(max(found, default=-1) + 1, dtype=np.int64)
+    df[list(found)] = list(found.values())
+    return Statistics(documents, length / max(documents, 1), df)
+
+
+def grow_tree(encoded: DataFrame, whole: Statistics) -> SplitTree:
+    """The tree that deals the documents, from the projections of a sample of bounded size."""
+    shards = -(-whole.documents // SHARD_DOCS)
+    if shards <= 1:
+        return SplitTree(np.zeros((0, AXES), dtype=np.float32), 1)
+
+    def project(batches):
+        for batch in batches:
+            rows = [projected(np.frombuffer(ids.as_py(), dtype="<u4")[:-1], whole).tobytes() for ids in batch.column(0)]
+            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary())], names=["row"])
+
+    chosen = encoded.select("ids").sample(min(1.0, TREE_SAMPLE / whole.documents), seed=1)
+    rows = [bytes(r["row"]) for r in chosen.mapInArrow(project, "row binary").collect()]
+    return SplitTree(np.frombuffer(b"".join(rows), dtype=np.float32).reshape(-1, AXES), LEAVES_EACH * shards)
+
+
+def deal(encoded: DataFrame, whole: Statistics) -> DataFrame:
+    """(doc_id, ids, leaf) in one partition for each shard."""
+    tree = encoded.sparkSession.sparkContext.broadcast(grow_tree(encoded, whole))
+
+    def leaves(batches):
+        for batch in batches:
+            found = [tree.value.leaf(projected(np.frombuffer(ids.as_py(), dtype="<u4")[:-1], whole)) if tree.value.depth else 0 for ids in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(found, pa.int64())], names=["doc_id", "ids", "leaf"])
+
+    shards = max(1, -(-whole.documents // SHARD_DOCS))
+    return encoded.mapInArrow(leaves, "doc_id long, ids binary, leaf long").repartitionByRange(shards, "leaf", "doc_id").sortWithinPartitions("doc_id", "ids")
+
+
 def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_id: int = 0, with_ids: bool = False) -> DataFrame:
     """One row for each piece; ``with_ids`` adds the piece's ids as an array."""
     end = np.uint32(end_id).tobytes()
@@ -135,7 +272,7 @@ def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_i
     def packed(ids: list[int], texts: list[np.ndarray], first: int):
         rows: list[list] = [[] for _ in names]
         last = -1
-        for document, start, length, sequence, offset in pack_shard(texts, window):
+        for document, start, length, sequence, offset in pack_shard(texts, window, whole):
             piece = texts[document][start : start + length]
             last = max(last, sequence)
             for column, value in zip(rows, (ids[document], start, length, zlib.crc32(piece.tobytes()), len(texts[document]), first + sequence, offset), strict=False):
@@ -145,14 +282,19 @@ def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_i
         arrays = [pa.array(column, pa.int64()) for column in rows[:7]] + ([pa.array(rows[7], pa.list_(pa.int32()))] if with_ids else [])
         return pa.RecordBatch.from_arrays(arrays, names=names), first + last + 1
 
-    def pack(batches):
+    def encode(batches):
         encoder = library_encoder(vocabulary)
+        for batch in batches:
+            packed = [encoder.encode(text or "") + end for text in batch.column(1).to_pylist()]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(packed, pa.binary())], names=["doc_id", "ids"])
+
+    def pack(batches):
         following = TaskContext.get().partitionId() << 36
         ids, texts, tokens = [], [], 0
         for batch in batches:
-            for doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            for doc_id, packed_ids in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
                 ids.append(doc_id)
-                texts.append(np.frombuffer(encoder.encode(text.as_py() or "") + end, dtype="<u4"))
+                texts.append(np.frombuffer(packed_ids.as_py(), dtype="<u4"))
                 tokens += len(texts[-1])
                 if tokens >= SHARD_TOKENS:
                     rows, following = packed(ids, texts, following)
@@ -162,6 +304,7 @@ def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_i
             yield packed(ids, texts, following)[0]
 
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), "text")
-    shards = max(1, -(-rows.count() // SHARD_DOCS))
+    encoded = settle(rows.repartition(shuffle_width(docs.sparkSession)).mapInArrow(encode, "doc_id long, ids binary"), "packing-ids")
+    whole = table_statistics(encoded)
     schema = T.StructType([*PIECES.fields, *([T.StructField("ids", T.ArrayType(T.IntegerType(), False))] if with_ids else [])])
-    return rows.repartition(shards, "doc_id").sortWithinPartitions("doc_id").mapInArrow(pack, schema)
+    return deal(encoded, whole).select("doc_id", "ids").mapInArrow(pack, schema)

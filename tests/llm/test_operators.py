@@ -161,6 +161,30 @@ def test_lexical_index_is_bm25():
         assert n == 3 or held[n] == pytest.approx(e, rel=1e-5)
 
 
+def test_lexical_index_scores_all_shared_terms_by_counts_of_the_table():
+    # Ten terms weigh more than those that documents 0 and 1 share.
+    documents = [np.array([*range(10), *range(10), 20, 21], dtype=np.uint32), np.array([20, 21], dtype=np.uint32), np.arange(10, dtype=np.uint32)]
+    assert packing.LexicalIndex(documents).scores(0)[1] > 0
+    df = np.array([*[2] * 20, 900, 900])
+    whole = packing.Statistics(1000, 8.0, df)
+    wanted = 2 * np.log1p(100.5 / 900.5) * (packing.K1 + 1) / (1 + packing.K1 * (1 - packing.B + packing.B * 2 / 8))
+    assert packing.LexicalIndex(documents, whole).scores(0)[1] == pytest.approx(wanted, rel=1e-5)
+
+
+def test_packing_finds_neighbours_across_the_whole_table(spark, monkeypatch):
+    monkeypatch.setattr(packing, "SHARD_DOCS", 40)
+    rng = random.Random(2)
+    topics = [["".join(rng.choice("abcdefghij") for _ in range(6)) for _ in range(30)] for _ in range(40)]
+    rows = [(i, " ".join(rng.choices(topics[i % 40], k=60))) for i in range(400)]
+    table = spark.createDataFrame(rows, "doc_id long, text string")
+    windows = {}
+    for r in packing.pack_documents(table, JSON).collect():
+        windows.setdefault(r["sequence_id"], []).append(r["doc_id"])
+    pairs = [(a, b) for ids in windows.values() for a, b in zip(ids, ids[1:])]
+    assert {i for ids in windows.values() for i in ids} == set(range(400))
+    assert sum(a % 40 == b % 40 for a, b in pairs) > 0.6 * len(pairs)
+
+
 def test_exact_dedup(docs, empty):
     groups = {}
     for i, text in texts_of(docs):
