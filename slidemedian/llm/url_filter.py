@@ -5,8 +5,9 @@ trusted as far as rules allow its pages, and distrusted as far as they block
 them. Trust flows along host edges as personalised PageRank from the trusted
 seeds; distrust flows against the edges, from the blocked seeds to those that
 lead to them. Edges are links in pages, and steps between a host and the next
-domain above it that has pages or subdomains. A url without a rule is blocked
-if its host has more distrust than trust.
+domain above it that has pages or subdomains. Both flows run until they have
+converged. A url without a rule is blocked if its host has more distrust than
+trust.
 
 Defined cases: a url that is null or holds no ``://`` has empty host and path;
 a host that neither flow reaches is allowed; null html has no links; repeated
@@ -16,16 +17,21 @@ is allowed; an empty table gives no rows; other columns are not read.
 
 from __future__ import annotations
 
+import math
 from dataclasses import dataclass
 
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import look_up, settle
+from .shared import forget, look_up, settle
 
 UPPER, LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
-#: Share of mass that moves on at each step; steps.
-DAMPING, STEPS = 0.85, 8
+#: Share of mass that moves on at each step; both flows step until one step changes each by less than this in all (damping bounds it: 175 steps at most).
+DAMPING, TOLERANCE = 0.85, 1e-12
+#: Steps between two looks at the change; graphs of at most so many ways are stepped on the driver, by the same rule.
+LOOK_EVERY, DRIVER_WAYS = 8, 500_000
 LINK = r"""(?i)\b(?:href|src)\s*=\s*["']?(?:https?:)?//([^/?#"'\s>]+)"""
 
 
@@ -78,12 +84,37 @@ def host_edges(pages: DataFrame, hosts: DataFrame) -> DataFrame:
     return links.unionByName(steps.select("e.source", "e.target", F.lit(1.0).alias("weight"))).where("source != target AND source != '' AND target != ''")
 
 
-def propagate(edges: DataFrame, seeds: DataFrame, steps: int = STEPS, damping: float = DAMPING) -> DataFrame:
+def _driver_flows(shares: DataFrame, start: DataFrame, limit: int, tolerance: float, damping: float) -> DataFrame:
+    """``propagate``'s steps in memory: (host, trust, distrust)."""
+    ways, seeds = shares.toArrow().to_pydict(), start.toArrow().to_pydict()
+    hosts = sorted({*ways["host"], *ways["to"], *seeds["host"]})
+    place = {h: i for i, h in enumerate(hosts)}
+    columns = [pa.array(hosts, pa.string())]
+    for flow in ("trust", "distrust"):
+        own = [i for i, f in enumerate(ways["flow"]) if f == flow]
+        source, to = (np.array([place[ways[c][i]] for i in own], dtype=np.int64) for c in ("host", "to"))
+        share = np.array([ways["share"][i] for i in own], dtype=np.float64)
+        seed = np.zeros(len(hosts))
+        for f, h, m in zip(seeds["flow"], seeds["host"], seeds["mass"], strict=True):
+            seed[place[h]] += m * (f == flow)
+        mass = seed
+        for _ in range(limit):
+            moved = np.bincount(to, mass[source] * share * damping, len(hosts))
+            last, mass = mass, moved + seed * (1 - moved.sum())
+            if np.abs(mass - last).sum() < tolerance:
+                break
+        columns.append(pa.array(mass, pa.float64()))
+    return shares.sparkSession.createDataFrame(pa.table(columns, names=["host", "trust", "distrust"]))
+
+
+def propagate(edges: DataFrame, seeds: DataFrame, steps: int | None = None, damping: float = DAMPING) -> DataFrame:
     """(host, trust, distrust) from ``seeds`` (host, trust, distrust).
 
     Both flows step together: each edge carries trust forwards and distrust
-    backwards. Mass at a host without a way on returns to the seeds.
+    backwards. Mass at a host without a way on returns to the seeds. Without
+    ``steps``, they go on until neither changes by ``TOLERANCE``.
     """
+    limit = math.ceil(math.log(TOLERANCE / 2, damping)) if steps is None else steps
     ways = edges.select(
         F.explode(
             F.array(
@@ -98,19 +129,29 @@ def propagate(edges: DataFrame, seeds: DataFrame, steps: int = STEPS, damping: f
     long = seeds.select(F.explode(F.array(*[F.struct(F.lit(f).alias("flow"), "host", F.col(f).cast("double").alias("mass")) for f in ("trust", "distrust")])).alias("s")).select("s.*").where("mass > 0")
     totals = long.groupBy("flow").agg(F.sum("mass").alias("total"))
     start = settle(long.join(F.broadcast(totals), "flow").select("flow", "host", (F.col("mass") / F.col("total")).alias("mass")), "url-seeds")
-    mass = start
-    for _ in range(steps):
+    if shares.count() + start.count() <= DRIVER_WAYS:
+        return settle(_driver_flows(shares, start, limit, TOLERANCE if steps is None else 0.0, damping), "url-flows")
+    mass, done = start, []
+    for step in range(1, limit + 1):
         moved = mass.join(shares, ["flow", "host"]).select("flow", F.col("to").alias("host"), (F.col("mass") * F.col("share") * damping).alias("mass"))
         arrived = moved.groupBy("flow", "host").agg(F.sum("mass").alias("mass"))
         arrived = settle(arrived, "url-step")
+        done.append(arrived)
         kept = arrived.groupBy("flow").agg(F.sum("mass").alias("moved"))
         back = start.join(F.broadcast(kept), "flow", "left").select("flow", "host", (F.col("mass") * (1 - F.coalesce("moved", F.lit(0.0)))).alias("mass"))
-        mass = arrived.unionByName(back).groupBy("flow", "host").agg(F.sum("mass").alias("mass"))
+        last, mass = mass, arrived.unionByName(back).groupBy("flow", "host").agg(F.sum("mass").alias("mass"))
+        if steps is None and step % LOOK_EVERY == 0:
+            mass = settle(mass, "url-mass")
+            change = mass.unionByName(last.withColumn("mass", -F.col("mass"))).groupBy("flow", "host").agg(F.abs(F.sum("mass")).alias("by"))
+            if all(r["by"] < TOLERANCE for r in change.groupBy("flow").agg(F.sum("by").alias("by")).collect()):
+                break
+            forget(shares.sparkSession, *done)
+            done = []
     wide = mass.groupBy("host").agg(*[F.sum(F.when(F.col("flow") == f, F.col("mass")).otherwise(0.0)).alias(f) for f in ("trust", "distrust")])
     return settle(wide, "url-flows")
 
 
-def judge_urls(pages: DataFrame, rules: tuple[Rule, ...] = RULES, steps: int = STEPS) -> DataFrame:
+def judge_urls(pages: DataFrame, rules: tuple[Rule, ...] = RULES, steps: int | None = None) -> DataFrame:
     """(page_id, host, path, rule, verdict, trust, distrust) of every page."""
     url = F.col("url")
     located = pages.select(F.col("page_id").cast("long").alias("page_id"), host_of(url).alias("host"), path_of(url).alias("path"), "html")

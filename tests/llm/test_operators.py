@@ -439,6 +439,29 @@ def test_propagation_equals_power_iteration(spark):
             assert got.get(h, (0, 0))[flow] == pytest.approx(mass[i], abs=1e-12)
 
 
+@pytest.mark.parametrize("ways", [0, 10**6])
+def test_propagation_converges_along_a_chain(spark, monkeypatch, ways):
+    monkeypatch.setattr(url_filter, "DRIVER_WAYS", ways)
+    monkeypatch.setattr(url_filter, "TOLERANCE", 1e-12 if ways else 1e-2)
+    # Distrust comes back along the chain from its end, 20 links away; trust from its start.
+    n = 21
+    edges = [(f"h{i:02}", f"h{i + 1:02}", 1.0) for i in range(n - 1)]
+    seeds = [("h20", 0, 1), ("h00", 1, 0)]
+    got = {r["host"]: (r["trust"], r["distrust"]) for r in url_filter.propagate(spark.createDataFrame(edges, "source string, target string, weight double"), spark.createDataFrame(seeds, "host string, trust long, distrust long")).collect()}
+    step = np.eye(n, k=1)
+    step[-1, 0] = 0
+    # Solved: mass = 0.85 mass step + seed (1 - what moved).
+    seed = np.zeros(n)
+    seed[0] = 1
+    flow = np.linalg.solve(np.eye(n) - 0.85 * step.T, seed)
+    flow /= flow.sum()
+    for i in range(n):
+        wanted = flow[i], flow[n - 1 - i]
+        assert got[f"h{i:02}"] == pytest.approx(wanted, abs=1e-10 if ways else 2e-2)
+        assert ways == 0 or (got[f"h{i:02}"][1] > got[f"h{i:02}"][0]) == (wanted[1] > wanted[0])
+        assert min(got[f"h{i:02}"]) > 0
+
+
 def test_links_become_edges(spark):
     html = '<a href="http://B.com/x">b</a> <a href=//c.org>c</a> <a href="/own">o</a> <img src=\'https://b.com/i.png\'>'
     pages = spark.createDataFrame([("a.net", html), ("a.net", None)], "host string, html string")
