@@ -36,7 +36,7 @@ def distinct_documents(spark: SparkSession, docs: DataFrame, sf_dir: str) -> Dat
 
 def packed_sequences(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The pieces of all documents in sequences of 1024 tokens."""
-    return packing.pack_documents(docs, public_path("byte_bpe_50k.json"))
+    return packing.pack_documents(docs, public_path("byte_bpe_50k.json"), added=True)
 
 
 STAGES = [

@@ -98,7 +98,20 @@ class ChunkEncoder:
         return head + b"".join([memo[c] for c in rest])
 
 
-_ENCODERS: dict[str, ChunkEncoder] = {}
+class AddedTokenEncoder:
+    """Sends texts that hold an added token of the library to the library, all others to ``plain``."""
+
+    def __init__(self, library, plain: ChunkEncoder):
+        self.library, self.plain = library, plain
+        self.contents = [token.content for token in library.get_added_tokens_decoder().values()]
+
+    def encode(self, text: str) -> bytes:
+        if any(content in text for content in self.contents):
+            return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
+        return self.plain.encode(text)
+
+
+_ENCODERS: dict[tuple[str, bool], ChunkEncoder | AddedTokenEncoder] = {}
 
 
 def byte_alphabet() -> dict[int, str]:
@@ -108,18 +121,21 @@ def byte_alphabet() -> dict[int, str]:
     return {b: chr(b) for b in own} | {b: chr(256 + i) for i, b in enumerate(rest)}
 
 
-def library_encoder(path: str) -> ChunkEncoder:
+def library_encoder(path: str, added: bool = False) -> ChunkEncoder | AddedTokenEncoder:
     """Encoder by the merges of a ``tokenizers`` file, one for each worker process.
 
-    The library's model is called on each match of the split pattern; special
-    tokens are neither added nor recognised in texts.
+    The library's model is called on each match of the split pattern. Special
+    tokens are not appended; those written in texts are recognised only with
+    ``added``, as the library does at its defaults.
     """
-    if path not in _ENCODERS:
+    if (path, added) not in _ENCODERS:
         from tokenizers import Tokenizer
 
-        model, table = Tokenizer.from_file(path).model, byte_alphabet()
-        _ENCODERS[path] = ChunkEncoder(lambda piece: [token.id for token in model.tokenize(piece.encode().decode("latin-1").translate(table))])
-    return _ENCODERS[path]
+        library, table = Tokenizer.from_file(path), byte_alphabet()
+        model = library.model
+        plain = ChunkEncoder(lambda piece: [token.id for token in model.tokenize(piece.encode().decode("latin-1").translate(table))])
+        _ENCODERS[path, added] = AddedTokenEncoder(library, plain) if added else plain
+    return _ENCODERS[path, added]
 
 
 def public_path(name: str) -> str:

@@ -264,8 +264,8 @@ def deal(encoded: DataFrame, whole: Statistics) -> DataFrame:
     return encoded.mapInArrow(leaves, "doc_id long, ids binary, leaf long").repartitionByRange(shards, "leaf", "doc_id").sortWithinPartitions("doc_id", "ids")
 
 
-def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_id: int = 0, with_ids: bool = False) -> DataFrame:
-    """One row for each piece; ``with_ids`` adds the piece's ids as an array."""
+def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_id: int = 0, with_ids: bool = False, added: bool = False) -> DataFrame:
+    """One row for each piece; ``with_ids`` adds the piece's ids as an array; ``added`` as in ``library_encoder``."""
     end = np.uint32(end_id).tobytes()
     names = [f.name for f in PIECES] + ["ids"] * with_ids
 
@@ -283,7 +283,7 @@ def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_i
         return pa.RecordBatch.from_arrays(arrays, names=names), first + last + 1
 
     def encode(batches):
-        encoder = library_encoder(vocabulary)
+        encoder = library_encoder(vocabulary, added)
         for batch in batches:
             packed = [encoder.encode(text or "") + end for text in batch.column(1).to_pylist()]
             yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(packed, pa.binary())], names=["doc_id", "ids"])

@@ -30,7 +30,7 @@ def op2_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op3_lexical_packing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pack_documents(load(spark, sf_dir, "documents"), public_path("byte_bpe_50k.json"))
+    return pack_documents(load(spark, sf_dir, "documents"), public_path("byte_bpe_50k.json"), added=True)
 
 
 def op4_bpe_transducer(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -58,7 +58,7 @@ def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op10_token_files(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return token_file_report(load(spark, sf_dir, "documents"), public_path("byte_bpe_50k.json"))
+    return token_file_report(load(spark, sf_dir, "documents"), public_path("byte_bpe_50k.json"), added=True)
 
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {

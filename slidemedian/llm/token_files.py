@@ -51,7 +51,7 @@ def ids_array(packed: list[bytes]) -> pa.ListArray:
     return pa.ListArray.from_arrays(pa.array(offsets), values)
 
 
-def write_token_files(docs: DataFrame, path: str, vocabulary: str, end_id: int = END_ID) -> None:
+def write_token_files(docs: DataFrame, path: str, vocabulary: str, end_id: int = END_ID, added: bool = False) -> None:
     """Encode every whole text, append ``end_id``, and write the ids to ``path``.
 
     Texts, not ids, cross the range exchange: they are the smaller of the two.
@@ -59,7 +59,7 @@ def write_token_files(docs: DataFrame, path: str, vocabulary: str, end_id: int =
     end = np.uint32(end_id).tobytes()
 
     def encode(batches):
-        encoder = library_encoder(vocabulary)
+        encoder = library_encoder(vocabulary, added)
         for batch in batches:
             for low in range(0, batch.num_rows, 500):
                 part = batch.slice(low, 500)
@@ -102,10 +102,10 @@ def with_starts(rows: DataFrame, length: Column, order: list[str]) -> DataFrame:
     return rows.withColumn("inside", F.coalesce(F.sum(length).over(inside), F.lit(0))).join(before, "shard").withColumn("start", F.col("base") + F.col("inside")).drop("base", "inside")
 
 
-def token_file_report(docs: DataFrame, vocabulary: str) -> DataFrame:
+def token_file_report(docs: DataFrame, vocabulary: str, added: bool = False) -> DataFrame:
     """Write the token files of ``docs``, read them back, and report each document's place and digest."""
     spark = docs.sparkSession
     path = fresh_path(spark, "token-files")
-    write_token_files(docs, path, vocabulary)
+    write_token_files(docs, path, vocabulary, added=added)
     digests = token_digests(read_token_files(spark, path))
     return with_starts(digests, F.col("n_tokens"), ["doc_id", "ids_crc32"]).select("doc_id", "start", "n_tokens", "ids_crc32", "shard")

@@ -105,6 +105,25 @@ def test_token_files(spark, docs, empty):
     assert sorted(r["doc_id"] for r in found) == [7, 9]
 
 
+def test_queries_recognise_added_tokens(spark, tmp_path):
+    from tokenizers import Tokenizer
+
+    import corpus_pipeline
+    from slidemedian.llm import queries
+
+    texts = ["ab <|endoftext|> cd", "<|endoftext|>", "plain words", "x<|endoftext|>\n<|endoftext|> y"]
+    table = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    table.write.parquet(f"{tmp_path}/documents.parquet")
+    library = Tokenizer.from_file(JSON)
+    wanted = {i: [*library.encode(t, add_special_tokens=False).ids, 0] for i, t in enumerate(texts)}
+    assert wanted[0] == [397, 220, 50256, 22927, 0]
+    assert {r["doc_id"]: (r["n_tokens"], r["ids_crc32"]) for r in queries.op10_token_files(spark, str(tmp_path)).collect()} == {i: (len(w), crc(w)) for i, w in wanted.items()}
+    for rows in (queries.op3_lexical_packing(spark, str(tmp_path)), corpus_pipeline.packed_sequences(spark, table, str(tmp_path))):
+        for r in rows.collect():
+            w = wanted[r["doc_id"]]
+            assert (r["doc_tokens"], r["ids_crc32"]) == (len(w), crc(w[r["start"] : r["start"] + r["length"]]))
+
+
 def check_pieces(docs, rows):
     by_document, by_sequence = {}, {}
     for r in rows:
