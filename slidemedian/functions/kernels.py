@@ -132,8 +132,14 @@ def filter_series(table: pa.Table, cuts: np.ndarray, spec: SlidingSpec, halo: np
     the table.
     """
     column = table.column(spec.value)
-    poisoned = None
-    if column.null_count:
+    poisoned = padding = None
+    if spec.pads:
+        padding = np.asarray(table.column(spec.pads))
+        if column.null_count != np.count_nonzero(padding):
+            raise ValueError(f"rows without {spec.value} must be pads, and no others")
+        some = column.drop_null()
+        column = pc.fill_null(column, some[0]) if len(some) else pa.chunked_array([pa.array([0] * len(column)).cast(column.type)])
+    elif column.null_count:
         if spec.nulls == "error":
             raise ValueError(f"column {spec.value} holds nulls; choose nulls='drop' or 'poison'")
         gone = np.asarray(pc.is_null(column))
@@ -142,6 +148,9 @@ def filter_series(table: pa.Table, cuts: np.ndarray, spec: SlidingSpec, halo: np
         column = pc.fill_null(column, pc.min(column)) if pc.min(column).is_valid else pa.chunked_array([pa.array([0] * len(column)).cast(column.type)])
     coded = encode(column)
     codes, rows = coded.codes, table.num_rows
+    if padding is not None:
+        # The ends of the code range: a value with the same code is that extreme itself.
+        codes = np.where(padding < 0, -TOP - 1, np.where(padding > 0, TOP, codes))
     starts = np.asarray(cuts)
     lengths = np.diff(starts)
     series_start = np.repeat(starts[:-1], lengths)

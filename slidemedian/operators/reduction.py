@@ -3,6 +3,10 @@
 A block of m values between m - 1 low and m - 1 high pads is filtered with
 2 m - 1 rows: the window that starts at i holds m - 1 - i low pads, all values
 and i high pads, so its median is the value of rank i.
+
+Nothing but the filter compares values: positions number the rows by the order
+columns, a pad is a side (-1 or 1) without a value, and the filter's medians are
+the sorted values themselves.
 """
 
 from __future__ import annotations
@@ -11,7 +15,6 @@ from collections.abc import Sequence
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
 from ..plans.positions import global_positions
 from ..plans.spec import names
@@ -20,44 +23,35 @@ from .filters import sliding_median
 
 
 def padded(df: DataFrame, value: str, m: int, order_by, partition_by=()) -> DataFrame:
-    """(series, blk, seat, item): each block between its pads; the item is struct(side, value), so real extremes stay legal."""
+    """(series, blk, seat, side, value): each block between its pads, which have no value, so real extremes stay legal."""
     keys = names(partition_by)
     placed = assign_blocks(global_positions(df.select(*dict.fromkeys([*keys, *names(order_by), value])), names(order_by), keys), m)
-    kind = df.schema[value].dataType
-    real = placed.select(*keys, "blk", (F.col("off") + m - 1).cast("long").alias("seat"), F.struct(F.lit(0).alias("side"), F.col(value).alias("v")).alias("item"))
+    real = placed.select(*keys, "blk", (F.col("off") + m - 1).cast("long").alias("seat"), F.lit(0).alias("side"), value)
     blocks = placed.groupBy(*keys, "blk").agg(F.count("*").alias("held"))
     pads = blocks.select(*keys, "blk", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(3 * m - 3).cast("long"))).alias("seat"), "held")
     pads = pads.where((F.col("seat") < m - 1) | (F.col("seat") >= F.col("held") + m - 1))
     side = F.when(F.col("seat") < m - 1, -1).otherwise(1)
-    pads = pads.select(*keys, "blk", "seat", F.struct(side.alias("side"), F.lit(None).cast(kind).alias("v")).alias("item"))
-    return real.unionByName(pads)
+    return real.unionByName(pads.select(*keys, "blk", "seat", side.alias("side"), F.lit(None).cast(df.schema[value].dataType).alias(value)))
 
 
 def sort_blocks_by_median(df: DataFrame, value: str, block_len: int, order_by: str | Sequence[str], partition_by: str | Sequence[str] = (), *, isolate: bool = True) -> DataFrame:
     """(series, blk, rnk, value): blocks sorted by filtering.
 
     ``isolate`` makes each padded block a series of its own; else all of them
-    form one vector for one filter, and windows that straddle blocks are left out.
+    form one vector for one filter, and windows that straddle blocks are left
+    out. Values are null only in pads; a null in the input is refused.
     """
     m, keys = block_len, names(partition_by)
     rows = padded(df, value, m, order_by, keys)
-    kind = df.schema[value].dataType
-    # The filter orders plain values: a pad is the code of its side, numbers keep their own.
-    number = _numbered(rows, kind, m)
     if isolate:
-        found = sliding_median(number, "code", 2 * m - 1, "seat", [*keys, "blk"], route="short_series")
+        found = sliding_median(rows, value, 2 * m - 1, "seat", [*keys, "blk"], route="short_series", pads="side", extra=("side",), out="__med")
+        found = found.withColumnRenamed("pos", "rnk")
     else:
-        line = number.withColumn("line", F.col("blk") * (3 * m - 2) + F.col("seat"))
-        found = sliding_median(line, "code", 2 * m - 1, "line", keys, route="auto", extra=("blk", "seat"))
-        found = found.where(F.col("seat") < m).withColumn("pos", F.col("seat"))
-    named = number.where("side = 0").select(*keys, "blk", F.col("code").alias("med"), F.col("v").alias(value)).distinct()
-    return found.join(named, [*keys, "blk", "med"]).select(*keys, "blk", F.col("pos").alias("rnk"), value)
-
-
-def _numbered(rows: DataFrame, kind: T.DataType, m: int) -> DataFrame:
-    """Integer codes of (side, value): dense ranks inside each padded block."""
-    from pyspark.sql import Window
-
-    series = [c for c in rows.columns if c not in ("seat", "item")]
-    rank = F.dense_rank().over(Window.partitionBy(*series).orderBy(F.col("item.side"), F.col("item.v")))
-    return rows.select(*series, "seat", F.col("item.side").alias("side"), F.col("item.v").alias("v"), rank.cast("long").alias("code"))
+        line = rows.withColumn("line", F.col("blk") * (3 * m - 2) + F.col("seat"))
+        found = sliding_median(line, value, 2 * m - 1, "line", keys, pads="side", extra=("blk", "seat"), out="__med")
+        found = found.where(F.col("seat") < m).withColumn("rnk", F.col("seat"))
+    # A last block has fewer values; the windows behind its last value show pads.
+    held = rows.where("side = 0").groupBy(*keys, "blk").agg(F.count("*").alias("__held"))
+    named = held.withColumnsRenamed({k: f"__{k}" for k in [*keys, "blk"]})
+    same = [F.col(k).eqNullSafe(F.col(f"__{k}")) for k in [*keys, "blk"]]
+    return found.join(named, same).where("rnk < __held").select(*keys, "blk", "rnk", F.col("__med").alias(value))

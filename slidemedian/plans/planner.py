@@ -21,18 +21,18 @@ def profile(df: DataFrame, spec: SlidingSpec) -> dict[str, int]:
 
 
 def choose(spec: SlidingSpec, facts: dict[str, int]) -> str:
-    if facts["longest"] <= LONGEST_SERIES and (spec.partition_by or spec.edges != "valid" or facts["rows"] <= 4096):
+    if facts["longest"] <= LONGEST_SERIES and (spec.partition_by or facts["rows"] <= 4096):
         return "short_series"
-    if spec.edges != "valid":
-        return "short_series"
-    return "blocks" if spec.window <= WIDEST_BLOCK else "wide"
+    return "blocks" if spec.window <= WIDEST_BLOCK or spec.edges != "valid" else "wide"
 
 
 def plan(df: DataFrame, spec: SlidingSpec, hints: dict[str, int] | None = None) -> DataFrame:
     """The filter's DataFrame; ``hints`` stand in for the profile."""
     spec.validate(df.schema)
-    route = spec.route if spec.route != "auto" else choose(spec, hints or profile(df, spec))
-    return run_route(df, spec, route)
+    if spec.route != "auto":
+        return run_route(df, spec, spec.route, (hints or {}).get("rows"))
+    facts = hints or profile(df, spec)
+    return run_route(df, spec, choose(spec, facts), facts.get("rows"))
 
 
 def explain_plan(df: DataFrame, spec: SlidingSpec) -> str:

@@ -1,81 +1,50 @@
 """0-based positions of rows in their series, without sorting a series in one task.
 
-Rows fall into buckets by bounds on the leading order key; counts of the
-buckets give each a base, and only inside a bucket are rows numbered. The
-bounds are values, so equal leading keys share a bucket and the remaining
-order keys act there.
+Rows are dealt by ranges of all keys together, series and order, so equal
+leading keys may lie in any number of partitions and no partition depends on
+how the values of one column are spread. Inside a partition rows are sorted and
+numbered as they stream by; the numbered rows are written once, and counts of
+the partitions give each its base.
 """
 
 from __future__ import annotations
 
-import math
 from collections.abc import Sequence
+from functools import reduce
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
-from pyspark.sql import types as T
 
-#: Accuracy of the quantile sketch behind the bounds; values sampled for keys that have no quantiles.
-SKETCH, SAMPLED = 4096, 10_000
-#: Bounds from which a row's bucket is searched in two steps.
-TWO_STEPS = 32
+from .store import settle
 
+#: Rows that a partition aims at where the number of rows is known.
+PARTITION_ROWS = 4_000_000
+#: ``monotonically_increasing_id`` counts the rows of a partition in these bits.
+_COUNTER = (1 << 33) - 1
 
-def bucket_bounds(df: DataFrame, lead: str, buckets: int) -> list:
-    """At most ``buckets`` - 1 ascending values of the leading key."""
-    if buckets < 2:
-        return []
-    kind = df.schema[lead].dataType
-    if isinstance(kind, (T.NumericType, T.DateType, T.TimestampType, T.TimestampNTZType)):
-        shares = [i / buckets for i in range(1, buckets)]
-        found = df.agg(F.percentile_approx(lead, shares, SKETCH)).first()[0] or []
-    else:
-        total = max(1, df.count())
-        values = sorted(r[0] for r in df.select(lead).where(F.col(lead).isNotNull()).sample(min(1.0, SAMPLED / total), seed=1).limit(2 * SAMPLED).collect())
-        found = [values[len(values) * i // buckets] for i in range(1, buckets)] if values else []
-    return sorted(set(found))
 
+def range_partitions(df: DataFrame, rows: int | None = None) -> int:
+    """As many partitions as the session shuffles to, more if ``rows`` would overfill them."""
+    return max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-(rows or 0) // PARTITION_ROWS))
 
-def bucket_number(lead: str, bounds: list) -> F.Column:
-    """How many bounds a row's leading key has reached; null keys are before all.
 
-    Many bounds are searched in two steps of about the square root of their
-    number: every so many bounds first, then the run that follows the one found.
-    """
-    if not bounds:
-        return F.lit(0)
-    reached = lambda held: F.size(F.filter(held, lambda b: b <= F.col(lead)))
-    if len(bounds) <= TWO_STEPS:
-        return F.coalesce(reached(F.array(*[F.lit(b) for b in bounds])), F.lit(0))
-    run = math.isqrt(len(bounds))
-    runs = [bounds[i : i + run] for i in range(0, len(bounds), run)]
-    at = reached(F.array(*[F.lit(r[0]) for r in runs]))
-    inner = F.element_at(F.array(*[F.array(*[F.lit(b) for b in r]) for r in runs]), F.greatest(at, F.lit(1)))
-    return F.coalesce(F.when(at > 0, (at - 1) * run + reached(inner)).otherwise(0), F.lit(0))
-
-
-def global_positions(df: DataFrame, order_by: Sequence[str], partition_by: Sequence[str] = (), buckets: int | None = None) -> DataFrame:
+def global_positions(df: DataFrame, order_by: Sequence[str], partition_by: Sequence[str] = (), partitions: int | None = None, rows: int | None = None) -> DataFrame:
     """``df`` with ``pos``; ``order_by`` must be a total order in each series."""
-    spark = df.sparkSession
-    if buckets is None:
-        buckets = min(1000, max(1, int(spark.conf.get("spark.sql.shuffle.partitions"))))
-    bounds = bucket_bounds(df, order_by[0], buckets)
-    keys = list(partition_by)
-    numbered = df.withColumn("__bucket", bucket_number(order_by[0], bounds))
-    inside = F.row_number().over(Window.partitionBy(*keys, "__bucket").orderBy(*order_by)).cast("long")
-    counts = numbered.groupBy(*keys, "__bucket").agg(F.count("*").alias("__rows"))
-    before = Window.partitionBy(*keys).orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
-    bases = counts.select(*keys, "__bucket", F.coalesce(F.sum("__rows").over(before), F.lit(0)).alias("__base"))
-    ranked = numbered.withColumn("__inside", inside)
+    keys, order = list(partition_by), list(dict.fromkeys([*partition_by, *order_by]))
+    ranged = df.repartitionByRange(partitions or range_partitions(df, rows), *order).sortWithinPartitions(*order)
+    numbered = ranged.withColumns({"__part": F.spark_partition_id(), "__inside": F.monotonically_increasing_id().bitwiseAND(F.lit(_COUNTER))})
+    numbered = settle(numbered, "positions")
+    # One row for each series of a partition; a series goes on in the next partitions.
+    counts = numbered.groupBy("__part", *keys).agg(F.count("*").alias("__rows"), F.min("__inside").alias("__first"))
+    before = Window.partitionBy(*keys).orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)
+    bases = counts.select("__part", *keys, (F.coalesce(F.sum("__rows").over(before), F.lit(0)) - F.col("__first")).alias("__base"))
+    named = {k: f"__same{i}" for i, k in enumerate(["__part", *keys])}
+    bases = bases.withColumnsRenamed(named)
     if not keys:
-        # One row for each bucket: the bounds are at most 999.
-        bases = F.broadcast(bases)
-    same = [ranked[k].eqNullSafe(bases[k]) for k in [*keys, "__bucket"]]
-    condition = same[0]
-    for s in same[1:]:
-        condition &= s
-    columns = [ranked[c] for c in df.columns]
-    return ranked.join(bases, condition).select(*columns, (bases["__base"] + ranked["__inside"] - 1).alias("pos"))
+        bases = F.broadcast(bases)  # one row for each partition
+    same = [F.col(f"`{k}`").eqNullSafe(F.col(n)) for k, n in named.items()]
+    joined = numbered.join(bases, reduce(lambda a, b: a & b, same))
+    return joined.select(*[F.col(f"`{c}`") for c in df.columns], (F.col("__inside") + F.col("__base")).alias("pos"))
 
 
 def duplicate_orders(df: DataFrame, order_by: Sequence[str], partition_by: Sequence[str] = ()) -> DataFrame:

@@ -46,6 +46,8 @@ class SlidingSpec:
     ties: str = "stable"
     stride: int = 1
     extra: tuple[str, ...] = field(default=())
+    #: Column that is -1 or 1 in rows without a value that come before or after all values, else 0.
+    pads: str = ""
 
     def validate(self, schema: T.StructType) -> None:
         if self.window < 1:

@@ -8,19 +8,19 @@ the ordinary kernel over k - 1 + m values and gives m windows.
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Iterator
 
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions.codes import encode
 from ..functions.kernels import window_ranks
+from ..plans.store import fresh_path
 
 STATE = T.StructType(
     [
@@ -84,12 +84,6 @@ def stream_sliding_median(rows: DataFrame, value: str, k: int, ts: str, id_: str
     return timed.groupBy("series").applyInPandasWithState(_advance(k), OUTPUT, STATE, "append", GroupStateTimeout.EventTimeTimeout)
 
 
-def workspace(spark: SparkSession, label: str) -> str:
-    """A folder that driver and executors share."""
-    root = spark.conf.get("spark.checkpoint.dir", None) or "file:/tmp/slidemedian-shared"
-    return f"{root.rstrip('/')}/{label}-{uuid.uuid4().hex}"
-
-
 def slices(df: DataFrame, ts: str, parts: int, folder: str) -> None:
     """Write a table as consecutive time slices, one file each, in file order."""
     low, high = df.agg(F.min(F.unix_micros(F.col(ts).cast("timestamp"))), F.max(F.unix_micros(F.col(ts).cast("timestamp")))).first()
@@ -111,7 +105,7 @@ def flush_row(df: DataFrame, ts: str, id_: str, series: str | None) -> DataFrame
 def run_to_end(stream: DataFrame, label: str) -> DataFrame:
     """Run a stream over what is there, into shared files, and read those."""
     spark = stream.sparkSession
-    folder = workspace(spark, label)
+    folder = fresh_path(spark, label)
     query = stream.writeStream.format("parquet").outputMode("append").option("checkpointLocation", f"{folder}/checkpoint").option("path", f"{folder}/out").trigger(availableNow=True).start()
     query.awaitTermination()
     return spark.read.schema(stream.schema).parquet(f"{folder}/out")
@@ -119,7 +113,7 @@ def run_to_end(stream: DataFrame, label: str) -> DataFrame:
 
 def replay(df: DataFrame, ts: str, id_: str, series: str | None, parts: int, label: str) -> DataFrame:
     """The table as a file stream of time slices, closed by a row that flushes it."""
-    folder = workspace(df.sparkSession, label)
+    folder = fresh_path(df.sparkSession, label)
     slices(df, ts, parts, folder)
     flush_row(df, ts, id_, series).coalesce(1).write.mode("append").parquet(folder)
     return df.sparkSession.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(folder)

@@ -151,7 +151,7 @@ def test_agreement(spark):
 
 def test_positions_and_halo(spark):
     df, data = series(spark, GROUPS)
-    got = {(r["g"], r["i"]): r["pos"] for r in positions.global_positions(df, ["i"], ["g"], buckets=5).collect()}
+    got = {(r["g"], r["i"]): r["pos"] for r in positions.global_positions(df, ["i"], ["g"], partitions=5).collect()}
     assert all(pos == i for (_, i), pos in got.items()) and len(got) == sum(map(len, data.values()))
     with pytest.raises(ValueError):
         positions.assert_total_order(df, ["g"])
@@ -159,13 +159,43 @@ def test_positions_and_halo(spark):
     assert len(tiled) == 40 + 9 and sum(r["halo"] for r in tiled) == 9
 
 
-def test_buckets_by_two_steps(spark):
-    bounds = list(range(10, 1010, 10))
-    df = spark.range(1100).select((F.col("id") - 50).alias("x")).unionByName(spark.createDataFrame([(None,)], "x long"))
-    for r in df.select("x", positions.bucket_number("x", bounds).alias("b")).collect():
-        assert r["b"] == (0 if r["x"] is None else sum(b <= r["x"] for b in bounds))
-    wide = spark.range(5000).select(F.expr("(id * 7919) % 5000").alias("i"))
-    assert positions.global_positions(wide, ["i"], buckets=100).where("pos != i").count() == 0
+def test_positions_with_one_leading_key(spark):
+    rows = spark.range(30_000).select(F.lit("2024-01-01").cast("date").alias("d"), F.expr("(id * 7919) % 30000").alias("i"), F.lit(None).cast("long").alias("g"))
+    placed = positions.global_positions(rows, ["d", "i"], partitions=1100)
+    assert placed.count() == 30_000 and placed.where("pos != i").count() == 0
+    # One series without a key, over many partitions, and no partition holds much of it.
+    keyed = positions.global_positions(rows, ["d", "i"], ["g"], partitions=50)
+    assert keyed.count() == 30_000 and keyed.where("pos != i").count() == 0
+    ranged = rows.repartitionByRange(50, "d", "i").groupBy(F.spark_partition_id()).count().agg(F.max("count")).first()[0]
+    assert ranged < 3 * 30_000 / 50
+
+
+@pytest.mark.parametrize("edges", ["partial", "keep", "pad", "reflect"])
+@pytest.mark.parametrize("k", [1, 4, 7])
+@pytest.mark.parametrize("align", ["leading", "centered", "trailing"])
+def test_edges_on_tiles(spark, monkeypatch, edges, k, align):
+    """Series of many tiles, shorter than a window, and of one row."""
+    from slidemedian.plans import routes
+
+    monkeypatch.setattr(routes, "blocks_per_tile", lambda k: 4)
+    df, data = series(spark, {1: 150, 2: 5, 3: 1, 4: 29})
+    options = {"align": align, "edges": edges, "constant": 3 if edges == "pad" else None, "extra": ("v",)}
+    for even in ("mean", "lower"):
+        one, other = (filters.sliding_median(df, "v", k, "i", "g", route=route, even=even, **options) for route in ("blocks", "short_series"))
+        assert one.dtypes == other.dtypes
+        assert sorted(map(tuple, one.collect())) == sorted(map(tuple, other.collect()))
+
+
+def test_edges_of_one_long_series(spark):
+    df = spark.range(9000).select(F.col("id").alias("i"), F.expr("(id * 7919) % 1000").alias("v"))
+    values = [i * 7919 % 1000 for i in range(9000)]
+    got = filters.sliding_median(df, "v", 5, "i", align="centered", edges="reflect")
+    assert measures.shuffle_stats(got)["python"] == 1 and "hashpartitioning(tile" in got._jdf.queryExecution().executedPlan().toString()
+    around = [values[1], values[0], *values, values[-1], values[-2]]
+    assert {r["pos"]: r["med"] for r in got.collect()} == {i: sorted(around[i : i + 5])[2] for i in range(9000)}
+    strided = filters.sliding_median(df, "v", 5, "i", align="centered", edges="partial", stride=7)
+    whole = filters.sliding_median(df, "v", 5, "i", align="centered", edges="partial")
+    assert strided.count() == 1286 and verify.differences(strided, whole.where("pos % 7 = 0")).count() == 0
 
 
 def test_batches_cut_anywhere(spark):
