@@ -2,116 +2,201 @@
 
 A space that stands between two characters that are not white space always
 starts a new match of the split pattern, so a text may be cut there and each
-chunk encoded by itself. Chunks repeat far more often than texts: the encoder
-behind (a library, or the transducer of ``bpe_transducer``) sees the frequent ones
-once per worker. Ids travel as little-endian unsigned 32-bit bytes,
-ready for digests.
+chunk encoded by itself. Chunks repeat far more often than texts: a slice of
+texts is cut and its chunks numbered by Arrow, so that Python sees each
+different chunk of a slice once, and the encoder behind (a library, or the
+transducer of ``bpe_transducer``) only those that the worker does not remember.
+The ids of the texts are then gathered by array operations. Texts with other
+white space next to a space go to the encoder whole.
+
+Ids travel as unsigned 32-bit integers, little-endian where they are bytes.
 """
 
 from __future__ import annotations
 
-import re
+import os
 from array import array
-from collections.abc import Callable, Sequence
+from collections.abc import Callable, Iterable, Iterator, Sequence
 
-#: White space other than space, line feed, carriage return and tab.
-_RARE_SPACE = re.compile("[\x0b\x0c\x1c-\x1f\x85\xa0  -     　]")
-_STOPS = frozenset(".,;:!?")
-_SAFE_SPACE = re.compile(r"(?<=\S) (?=\S)")
+import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
-#: Chunks, and matches of the pattern, that a worker remembers at most (about 120 MB).
-MEMO_CHUNKS = 400_000
+from .shared import worker_state
 
+_SPACES = r"\x09-\x0d\x1c-\x20\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{2029}\x{202f}\x{205f}\x{3000}"
+#: A space next to other white space, or at the end.
+_UNSAFE = rf" [{_SPACES}]|[{_SPACES}] | \z"
 
-def chunks_of(text: str) -> list[str]:
-    """Cut at safe spaces; every chunk but the first had a space before it."""
-    parts = text.split(" ")
-    if len(parts) == 1:
-        return parts
-    plain = len(parts) - 1 + text.count("\n") + text.count("\t") + text.count("\r")
-    if plain == len(text.split()) - 1 and not text[0].isspace() and not text[-1].isspace() and not _RARE_SPACE.search(text):
-        return parts
-    return _SAFE_SPACE.split(text)
+#: Chunks that a worker remembers at most, and the longest one that it remembers, in bytes (some 50 bytes each: 25 MB).
+MEMO_CHUNKS, MEMO_LENGTH = 500_000, 64
+#: Bytes of text that are encoded in one go, unless one text has more.
+SLICE_BYTES = 12 << 20
+#: New chunks that the library sees as one text.
+CHUNKS_A_CALL = 256
 
+#: Ids of some texts one after the other, and the number of ids of each.
+Encoded = tuple[np.ndarray, np.ndarray]
 
-class Memo(dict):
-    """A bounded memo that keeps what recurs.
 
-    When it is full, only entries that the generation before had too survive,
-    so that the many strings that come once do not drive out the frequent ones.
+def gathered(ids: np.ndarray, sizes: np.ndarray, wanted: np.ndarray) -> Encoded:
+    """The parts numbered ``wanted`` of ids that are given with the size of each part."""
+    length = sizes[wanted]
+    total = int(length.sum())
+    kind = np.int32 if max(total, len(ids)) < 1 << 31 else np.int64
+    place = np.repeat(((np.cumsum(sizes) - sizes)[wanted] - (np.cumsum(length) - length)).astype(kind), length)
+    place += np.arange(total, dtype=kind)
+    return ids[place], length
+
+
+class ChunkMemo:
+    """Chunks and their ids, in arrays.
+
+    When it is full, the half that came up most often stays.
     """
 
     def __init__(self, limit: int):
-        self.limit, self.before = limit, frozenset()
+        self.limit = limit
+        self._hold(pa.array([], pa.string()), np.zeros(0, dtype="<u4"), np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64))
+
+    def _hold(self, words: pa.Array, ids: np.ndarray, sizes: np.ndarray, hits: np.ndarray) -> None:
+        self.words, self.ids, self.sizes, self.hits = words, ids, sizes, hits
+
+    def find(self, words: pa.Array) -> np.ndarray:
+        """The place of each word, -1 where it is not held."""
+        if not len(self.words):
+            return np.full(len(words), -1)
+        found = pc.fill_null(pc.index_in(words, value_set=self.words), -1).to_numpy(zero_copy_only=False).astype(np.int64)
+        self.hits[found[found >= 0]] += 1
+        return found
+
+    def add(self, words: pa.Array, ids: np.ndarray, sizes: np.ndarray) -> None:
+        short = np.flatnonzero(pc.binary_length(words).to_numpy(zero_copy_only=False) <= MEMO_LENGTH)[: self.limit // 2]
+        if len(short) < len(words):
+            words, (ids, sizes) = words.take(pa.array(short)), gathered(ids, sizes, short)
+        if len(self.words) + len(words) > self.limit:
+            often = np.sort(np.argsort(-self.hits, kind="stable")[: self.limit // 2])
+            self._hold(self.words.take(pa.array(often)), *gathered(self.ids, self.sizes, often), self.hits[often] // 2)
+        self._hold(pa.concat_arrays([self.words, words]), np.concatenate([self.ids, ids]), np.concatenate([self.sizes, sizes]), np.concatenate([self.hits, np.zeros(len(words), dtype=np.int64)]))
+
+
+def slices(texts: pa.Array) -> Iterator[pa.Array]:
+    """Consecutive parts of about ``SLICE_BYTES``."""
+    ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64))
+    low = 0
+    while low < len(texts):
+        high = max(low + 1, int(np.searchsorted(ends, (ends[low - 1] if low else 0) + SLICE_BYTES, side="right")))
+        yield texts.slice(low, high - low)
+        low = high
 
-    def make_room(self, count: int) -> None:
-        if len(self) + count <= self.limit:
-            return
-        lasting = {k: v for k, v in self.items() if k in self.before}
-        self.before = frozenset(self)
-        self.clear()
-        if len(lasting) + count <= self.limit * 3 // 4:
-            self.update(lasting)
+
+def joined(parts: Sequence[bytes]) -> Encoded:
+    return np.frombuffer(b"".join(parts), dtype="<u4"), np.fromiter(map(len, parts), dtype=np.int64, count=len(parts)) // 4
 
 
 class ChunkEncoder:
-    """``encode_piece`` turns one match of the split pattern into its ids."""
-
-    def __init__(self, encode_piece: Callable[[str], Sequence[int]], limit: int = MEMO_CHUNKS):
-        import public_tokenizers
-        import regex
-
-        self.encode_piece, self.memo, self.pieces = encode_piece, Memo(limit), Memo(limit)
-        self.split = regex.compile(public_tokenizers.PATTERN).findall
-
-    def _fresh(self, text: str) -> bytes:
-        known, out = self.pieces, []
-        body = text[1:]
-        if text[0] != " ":
-            pieces = self.split(text)
-        elif body.isalpha():
-            pieces = (text,)
-        elif body[-1:] in _STOPS and body[:-1].isalpha():
-            pieces = (text[:-1], body[-1])
-        else:
-            pieces = self.split(text)
-        for piece in pieces:
-            ids = known.get(piece)
-            if ids is None:
-                known.make_room(1)
-                ids = known[piece] = array("I", self.encode_piece(piece)).tobytes()
-            out.append(ids)
-        return b"".join(out)
+    """``encode_chunks`` encodes words, each of which stands behind a space; ``encode_whole`` encodes texts."""
+
+    def __init__(self, encode_chunks: Callable[[pa.Array], Encoded], encode_whole: Callable[[list[str]], Encoded], whole_if: Sequence[str] = (), limit: int = MEMO_CHUNKS):
+        self.encode_chunks, self.encode_whole, self.whole_if, self.memo = encode_chunks, encode_whole, whole_if, ChunkMemo(limit)
+
+    def _chunks(self, words: pa.Array) -> Encoded:
+        """Of different words."""
+        place = self.memo.find(words)
+        known = place >= 0
+        ids, sizes = gathered(self.memo.ids, self.memo.sizes, place[known])
+        if known.all():
+            return ids, sizes
+        missing = words.filter(pa.array(~known))
+        fresh_ids, fresh_sizes = self.encode_chunks(missing)
+        self.memo.add(missing, fresh_ids, fresh_sizes)
+        number = np.empty(len(words), dtype=np.int64)
+        number[known], number[~known] = np.arange(len(sizes)), len(sizes) + np.arange(len(missing))
+        return gathered(np.concatenate([ids, fresh_ids]), np.concatenate([sizes, fresh_sizes]), number)
+
+    def _regular(self, texts: pa.Array) -> Encoded:
+        """Of texts that may be cut at every space."""
+        if not len(texts):
+            return np.zeros(0, dtype="<u4"), np.zeros(0, dtype=np.int64)
+        lists = pc.split_pattern(texts, " ")
+        words, firsts = lists.flatten(), np.asarray(lists.offsets)[:-1].astype(np.int64)
+        behind = np.ones(len(words), dtype=bool)
+        behind[firsts] = False
+        numbered = words.filter(pa.array(behind)).dictionary_encode()
+        ids, sizes = self._chunks(numbered.dictionary)
+        head_ids, head_sizes = self.encode_whole(words.take(pa.array(firsts)).to_pylist())
+        number = np.empty(len(words), dtype=np.int64)
+        number[behind], number[firsts] = np.asarray(numbered.indices), len(sizes) + np.arange(len(firsts))
+        out, length = gathered(np.concatenate([ids, head_ids]), np.concatenate([sizes, head_sizes]), number)
+        return out, np.add.reduceat(length, firsts)
+
+    def _slice(self, texts: pa.Array) -> Encoded:
+        whole = pc.match_substring_regex(texts, _UNSAFE)
+        for content in self.whole_if:
+            whole = pc.or_(whole, pc.match_substring(texts, content))
+        odd = np.asarray(whole.to_numpy(zero_copy_only=False), dtype=bool)
+        if not odd.any():
+            return self._regular(texts)
+        at = np.flatnonzero(odd)
+        odd_ids, odd_sizes = self.encode_whole(texts.take(pa.array(at)).to_pylist())
+        ids, sizes = self._regular(texts.filter(pa.array(~odd)))
+        every = np.empty(len(texts), dtype=np.int64)
+        every[odd], every[~odd] = odd_sizes, sizes
+        out, from_odd = np.empty(int(every.sum()), dtype="<u4"), np.repeat(odd, every)
+        out[from_odd], out[~from_odd] = odd_ids, ids
+        return out, every
+
+    def encode_slices(self, texts: pa.Array) -> Iterator[Encoded]:
+        """(ids, number of ids of each text) of consecutive parts of ``texts``; a null text counts as empty."""
+        for part in slices(texts):
+            yield self._slice(pc.fill_null(part, ""))
 
     def encode(self, text: str) -> bytes:
-        chunks = chunks_of(text)
-        memo = self.memo
-        rest = chunks[1:]
-        missing = {c for c in rest if c not in memo}
-        if missing:
-            if len(memo) + len(missing) > memo.limit:
-                memo.make_room(len(missing))
-                missing = {c for c in rest if c not in memo}
-            for chunk in missing:
-                memo[chunk] = self._fresh(" " + chunk)
-        head = self._fresh(chunks[0]) if chunks[0] else b""
-        return head + b"".join([memo[c] for c in rest])
-
-
-class AddedTokenEncoder:
-    """Sends texts that hold an added token of the library to the library, all others to ``plain``."""
-
-    def __init__(self, library, plain: ChunkEncoder):
-        self.library, self.plain = library, plain
-        self.contents = [token.content for token in library.get_added_tokens_decoder().values()]
+        return b"".join(ids.tobytes() for ids, _ in self.encode_slices(pa.array([text], pa.string())))
 
-    def encode(self, text: str) -> bytes:
-        if any(content in text for content in self.contents):
-            return array("I", self.library.encode(text, add_special_tokens=False).ids).tobytes()
-        return self.plain.encode(text)
+
+def with_end(ids: np.ndarray, sizes: np.ndarray, end_id: int) -> Encoded:
+    """Append ``end_id`` to the ids of each text."""
+    return np.insert(ids, np.cumsum(sizes), end_id), sizes + 1
+
+
+def byte_lists(ids: np.ndarray, sizes: np.ndarray) -> list[memoryview]:
+    """The ids of each text as bytes."""
+    ends = np.cumsum(sizes) * ids.itemsize
+    view = memoryview(np.ascontiguousarray(ids)).cast("B") if len(ids) else memoryview(b"")
+    return [view[high - size : high] for high, size in zip(ends.tolist(), (sizes * ids.itemsize).tolist(), strict=True)]
+
+
+def binary_array(ids: np.ndarray, sizes: np.ndarray) -> pa.Array:
+    """The ids of each text as bytes, in Arrow."""
+    offsets = np.concatenate([[0], np.cumsum(sizes * ids.itemsize)]).astype(np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(sizes), [None, pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(ids))])
 
 
-_ENCODERS: dict[tuple[str, bool], ChunkEncoder | AddedTokenEncoder] = {}
+def list_array(ids: np.ndarray, sizes: np.ndarray) -> pa.ListArray:
+    """The ids of each text as Arrow lists of int32."""
+    offsets = np.concatenate([[0], np.cumsum(sizes)]).astype(np.int32)
+    return pa.ListArray.from_arrays(pa.array(offsets), pa.array(ids.view("<i4")))
+
+
+def piece_encoder(encode_piece: Callable[[str], Iterable[int]]) -> ChunkEncoder:
+    """An encoder over single matches of the split pattern."""
+    import public_tokenizers
+    import regex
+
+    split = regex.compile(public_tokenizers.PATTERN).findall
+
+    def whole(texts: list[str]) -> Encoded:
+        known: dict[str, bytes] = {}
+        out = []
+        for text in texts:
+            for piece in (pieces := split(text)):
+                if piece not in known:
+                    known[piece] = array("I", encode_piece(piece)).tobytes()
+            out.append(b"".join([known[piece] for piece in pieces]))
+        return joined(out)
+
+    return ChunkEncoder(lambda words: whole([" " + w for w in words.to_pylist()]), whole)
 
 
 def byte_alphabet() -> dict[int, str]:
@@ -121,21 +206,46 @@ def byte_alphabet() -> dict[int, str]:
     return {b: chr(b) for b in own} | {b: chr(256 + i) for i, b in enumerate(rest)}
 
 
-def library_encoder(path: str, added: bool = False) -> ChunkEncoder | AddedTokenEncoder:
-    """Encoder by the merges of a ``tokenizers`` file, one for each worker process.
+def _library(path: str, added: bool) -> ChunkEncoder:
+    # Workers are forked; the library's own threads would not survive that.
+    os.environ["TOKENIZERS_PARALLELISM"] = "false"
+    from tokenizers import Tokenizer
+
+    library = Tokenizer.from_file(path)
+    library.encode_special_tokens = not added
+    mark = byte_alphabet()[0x20]
+    opens = np.zeros(library.get_vocab_size(), dtype=bool)
+    opens[[i for token, i in library.get_vocab().items() if token.startswith(mark)]] = True
+
+    def whole(texts: list[str]) -> Encoded:
+        return joined([array("I", e.ids).tobytes() for e in library.encode_batch_fast(texts, add_special_tokens=False)])
 
-    The library's model is called on each match of the split pattern. Special
-    tokens are not appended; those written in texts are recognised only with
-    ``added``, as the library does at its defaults.
+    def chunks(words: pa.Array) -> Encoded:
+        """Many in a text of their own: only the first token of a chunk starts with a space."""
+        ends = pa.array([*range(0, len(words), CHUNKS_A_CALL), len(words)], pa.int32())
+        texts = pc.binary_join(pa.ListArray.from_arrays(ends, words), " ")
+        ids, _ = whole([" " + text for text in texts.to_pylist()])
+        cuts = np.flatnonzero(opens[ids])
+        return (ids, np.diff(cuts, append=len(ids))) if len(cuts) == len(words) else whole([" " + w for w in words.to_pylist()])
+
+    contents = [token.content for token in library.get_added_tokens_decoder().values()] if added else []
+    return ChunkEncoder(chunks, whole, contents)
+
+
+def library_encoder(path: str, added: bool = False) -> ChunkEncoder:
+    """Encoder by a ``tokenizers`` file, one for each worker process.
+
+    Special tokens are not appended; those written in texts are recognised only
+    with ``added``, as the library does at its defaults.
     """
-    if (path, added) not in _ENCODERS:
-        from tokenizers import Tokenizer
-
-        library, table = Tokenizer.from_file(path), byte_alphabet()
-        model = library.model
-        plain = ChunkEncoder(lambda piece: [token.id for token in model.tokenize(piece.encode().decode("latin-1").translate(table))])
-        _ENCODERS[path, added] = AddedTokenEncoder(library, plain) if added else plain
-    return _ENCODERS[path, added]
+    return worker_state("tokens", (path, added), lambda: _library(path, added))
+
+
+def id_type(path: str) -> str:
+    """The narrowest type that holds every id of a ``tokenizers`` file."""
+    from tokenizers import Tokenizer
+
+    return "<u2" if Tokenizer.from_file(path).get_vocab_size() <= 1 << 16 else "<u4"
 
 
 def public_path(name: str) -> str:

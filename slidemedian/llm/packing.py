@@ -32,8 +32,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from .encoding import library_encoder
-from .shared import settle, shuffle_width
+from .encoding import binary_array, id_type, library_encoder, with_end
+from .shared import settle
 
 #: Window in tokens; documents that a shard aims at; buffered tokens at which a task packs.
 WINDOW, SHARD_DOCS, SHARD_TOKENS = 1024, 2000, 4_000_000
@@ -90,10 +90,10 @@ class LexicalIndex:
         flat, tf = np.concatenate(terms), np.concatenate(counts).astype(np.float64)
         owner = np.repeat(np.arange(len(documents)), sizes)
         vocabulary, place, held = np.unique(flat, return_inverse=True, return_counts=True)
-        weight = bm25(whole.idf(vocabulary)[place], tf, lengths[owner], whole.mean).astype(np.float32)
+        weight = bm25(whole.idf(vocabulary)[place], tf, lengths[owner], whole.mean)
         order = np.argsort(place, kind="stable")
-        self.owner, self.weight = owner[order], weight[order]
-        self.bounds = np.concatenate([[0], np.cumsum(held)])
+        ends = np.cumsum(held)[:-1]
+        self.owners, self.weights = np.split(owner[order], ends), np.split(weight[order], ends)
         self.first = np.concatenate([[0], np.cumsum(sizes)])
         self.place, self.held, self.size = place, held, len(documents)
         often = (held * DENSE >= self.size) & (held > 1)
@@ -106,35 +106,43 @@ class LexicalIndex:
         """BM25 of every document for all terms of the seed that another document of the shard has too."""
         place = self.place[self.first[seed] : self.first[seed + 1]]
         row = self.row[place]
-        out = self.dense[row[row >= 0]].sum(axis=0)
-        spans = [slice(self.bounds[p], self.bounds[p + 1]) for p in place[(row < 0) & (self.held[place] > 1)]]
-        if spans:
-            out = out + np.bincount(np.concatenate([self.owner[s] for s in spans]), np.concatenate([self.weight[s] for s in spans]), self.size)
+        asked = np.zeros(len(self.dense), dtype=np.float32)
+        asked[row[row >= 0]] = 1
+        out = asked @ self.dense
+        rare = place[(row < 0) & (self.held[place] > 1)].tolist()
+        if rare:
+            out = out + np.bincount(np.concatenate([self.owners[p] for p in rare]), np.concatenate([self.weights[p] for p in rare]), self.size)
         return out
 
 
-_AXES: dict[int, np.ndarray] = {}
+class Projector:
+    """The weighted terms of documents, scaled to length 1, on ``AXES`` random axes."""
 
+    def __init__(self, whole: Statistics):
+        self.whole, self.axes = whole, np.random.default_rng(1).standard_normal((len(whole.df), AXES), dtype=np.float32)
+        # The root of the idf on both sides makes inner products weigh a shared term once by it.
+        self.idf = np.sqrt(whole.idf(np.arange(len(whole.df))))
 
-def projected(terms: np.ndarray, whole: Statistics) -> np.ndarray:
-    """The weighted terms of one document, scaled to length 1, on ``AXES`` random axes."""
-    size = len(whole.df)
-    if size not in _AXES:
-        _AXES.clear()
-        _AXES[size] = np.random.default_rng(1).standard_normal((size, AXES), dtype=np.float32)
-    own, tf = np.unique(terms, return_counts=True)
-    # The root of the idf on both sides makes inner products weigh a shared term once by it.
-    weight = bm25(np.sqrt(whole.idf(own)), tf, len(terms), whole.mean).astype(np.float32)
-    norm = float(np.linalg.norm(weight))
-    return weight @ _AXES[size][own] / norm if norm else np.zeros(AXES, dtype=np.float32)
+    def one(self, terms: np.ndarray) -> np.ndarray:
+        own, tf = np.unique(terms, return_counts=True)
+        weight = bm25(self.idf[own], tf, len(terms), self.whole.mean).astype(np.float32)
+        norm = float(np.linalg.norm(weight))
+        return weight @ self.axes[own] / norm if norm else np.zeros(AXES, dtype=np.float32)
+
+    def all(self, documents: list[np.ndarray]) -> np.ndarray:
+        return np.array([self.one(d) for d in documents], dtype=np.float32).reshape(-1, AXES)
 
 
 class SplitTree:
-    """Splits at the widest gap near the median along the main axis of each node's sample; leaves are numbered in tree order."""
+    """Splits at the widest gap near the median along the main axis of each node's sample; leaves are numbered in tree order.
+
+    A node without a split passes its documents on to the lower side. Only
+    nodes that split are held, so the size of the tree is bounded by the sample.
+    """
 
     def __init__(self, sample: np.ndarray, leaves: int):
         self.depth = max(0, int(np.ceil(np.log2(leaves))))
-        self.axes, self.cuts = {}, {}
+        axes, cuts = {}, {}
         nodes = {1: sample}
         for _ in range(self.depth):
             grown = {}
@@ -147,16 +155,20 @@ class SplitTree:
                 middle = np.sort(along)[int(0.3 * len(rows)) : int(0.7 * len(rows)) + 1]
                 at = int(np.diff(middle).argmax())
                 cut = (middle[at] + middle[at + 1]) / 2
-                self.axes[node], self.cuts[node] = axis, cut
+                axes[node], cuts[node] = axis, cut
                 grown[2 * node], grown[2 * node + 1] = rows[along <= cut], rows[along > cut]
             nodes = grown
+        self.nodes = np.array(sorted(axes), dtype=np.int64)
+        self.axes = np.array([axes[n] for n in self.nodes.tolist()], dtype=np.float32).reshape(-1, sample.shape[1])
+        self.cuts = np.array([cuts[n] for n in self.nodes.tolist()], dtype=np.float32)
 
-    def leaf(self, row: np.ndarray) -> int:
-        node = 1
-        for _ in range(self.depth):
-            axis = self.axes.get(node)
-            node = 2 * node + int(axis is not None and row @ axis > self.cuts[node])
-        return node - (1 << self.depth)
+    def leaves(self, rows: np.ndarray) -> np.ndarray:
+        node = np.ones(len(rows), dtype=np.int64)
+        for _ in range(self.depth if len(self.nodes) else 0):
+            at = np.minimum(np.searchsorted(self.nodes, node), len(self.nodes) - 1)
+            upper = (np.einsum("ij,ij->i", rows, self.axes[at]) > self.cuts[at]) & (self.nodes[at] == node)
+            node = 2 * node + upper
+        return node - (1 << self.depth) if len(self.nodes) else node - 1
 
 
 def pack_shard(documents: list[np.ndarray], window: int = WINDOW, whole: Statistics | None = None):
@@ -211,23 +223,50 @@ def pack_shard(documents: list[np.ndarray], window: int = WINDOW, whole: Statist
         begun, sequence = end, sequence + 1
 
 
+def documents_of(column: pa.Array, kind: str) -> list[np.ndarray]:
+    """The ids of each row of packed ids, the end id included."""
+    return [np.frombuffer(ids, dtype=kind) for ids in column.to_pylist()]
+
+
+class TermCounts:
+    """Documents, length and documents of each term id, as a task meets them; packed as one row."""
+
+    def __init__(self):
+        self.documents, self.length, self.df = 0, 0, np.zeros(0, dtype=np.int64)
+
+    def _widen(self, size: int) -> None:
+        if size > len(self.df):
+            self.df = np.concatenate([self.df, np.zeros(size - len(self.df), dtype=np.int64)])
+
+    def count(self, terms: np.ndarray) -> None:
+        own = np.unique(terms)
+        if len(own):
+            self._widen(int(own[-1]) + 1)
+            self.df[own] += 1
+        self.documents, self.length = self.documents + 1, self.length + len(terms)
+
+    def packed(self) -> bytes:
+        return np.array([self.documents, self.length, *self.df], dtype="<i8").tobytes()
+
+    def add(self, packed: bytes) -> None:
+        counts = np.frombuffer(packed, dtype="<i8")
+        self._widen(len(counts) - 2)
+        self.df[: len(counts) - 2] += counts[2:]
+        self.documents, self.length = self.documents + int(counts[0]), self.length + int(counts[1])
+
+
 def table_statistics(encoded: DataFrame) -> Statistics:
-    """One pass over (doc_id, ids); each task sends at most one row for each term id."""
+    """The sum of all tasks' counts; each partition sends at most one row for each term id."""
 
-    def count(batches):
-        df, documents, length = np.zeros(0, dtype=np.int64), 0, 0
+    def add_up(batches):
+        own = TermCounts()
         for batch in batches:
-            for ids in batch.column(0):
-                terms = np.frombuffer(ids.as_py(), dtype="<u4")[:-1]
-                own = np.unique(terms).astype(np.int64)
-                if len(own) and own[-1] >= len(df):
-                    df = np.concatenate([df, np.zeros(int(own[-1]) + 1 - len(df), dtype=np.int64)])
-                df[own] += 1
-                documents, length = documents + 1, length + len(terms)
-        held = np.flatnonzero(df)
-        yield pa.RecordBatch.from_arrays([pa.array([-2, -1, *held.tolist()], pa.int64()), pa.array([documents, length, *df[held].tolist()], pa.int64())], names=["term", "n"])
-
-    counts = encoded.select("ids").mapInArrow(count, "term long, n long").groupBy("term").agg(F.sum("n").alias("n"))
+            for packed in batch.column(0).to_pylist():
+                own.add(packed)
+        held = np.flatnonzero(own.df)
+        yield pa.RecordBatch.from_arrays([pa.array([-2, -1, *held.tolist()], pa.int64()), pa.array([own.documents, own.length, *own.df[held].tolist()], pa.int64())], names=["term", "n"])
+
+    counts = encoded.select("counts").where("counts IS NOT NULL").mapInArrow(add_up, "term long, n long").groupBy("term").agg(F.sum("n").alias("n"))
     found = {r["term"]: r["n"] for r in counts.collect()}
     documents, length = found.pop(-2, 0), found.pop(-1, 0)
     df = np.zeros(max(found, default=-1) + 1, dtype=np.int64)
@@ -235,47 +274,52 @@ def table_statistics(encoded: DataFrame) -> Statistics:
     return Statistics(documents, length / max(documents, 1), df)
 
 
-def grow_tree(encoded: DataFrame, whole: Statistics) -> SplitTree:
+def grow_tree(encoded: DataFrame, whole: Statistics, kind: str) -> SplitTree:
     """The tree that deals the documents, from the projections of a sample of bounded size."""
     shards = -(-whole.documents // SHARD_DOCS)
     if shards <= 1:
         return SplitTree(np.zeros((0, AXES), dtype=np.float32), 1)
 
     def project(batches):
+        own = Projector(whole)
         for batch in batches:
-            rows = [projected(np.frombuffer(ids.as_py(), dtype="<u4")[:-1], whole).tobytes() for ids in batch.column(0)]
-            yield pa.RecordBatch.from_arrays([pa.array(rows, pa.binary())], names=["row"])
+            rows = own.all([d[:-1] for d in documents_of(batch.column(0), kind)])
+            yield pa.RecordBatch.from_arrays([pa.array([row.tobytes() for row in rows], pa.binary())], names=["row"])
 
     chosen = encoded.select("ids").sample(min(1.0, TREE_SAMPLE / whole.documents), seed=1)
     rows = [bytes(r["row"]) for r in chosen.mapInArrow(project, "row binary").collect()]
     return SplitTree(np.frombuffer(b"".join(rows), dtype=np.float32).reshape(-1, AXES), LEAVES_EACH * shards)
 
 
-def deal(encoded: DataFrame, whole: Statistics) -> DataFrame:
-    """(doc_id, ids, leaf) in one partition for each shard."""
-    tree = encoded.sparkSession.sparkContext.broadcast(grow_tree(encoded, whole))
+def deal(encoded: DataFrame, whole: Statistics, kind: str) -> DataFrame:
+    """(doc_id, ids) in one partition for each shard."""
+    shards = max(1, -(-whole.documents // SHARD_DOCS))
+    if shards == 1:
+        return encoded.repartition(1).sortWithinPartitions("doc_id", "ids")
+    shared = encoded.sparkSession.sparkContext.broadcast((grow_tree(encoded, whole, kind), whole))
 
     def leaves(batches):
+        tree, own = shared.value[0], Projector(shared.value[1])
         for batch in batches:
-            found = [tree.value.leaf(projected(np.frombuffer(ids.as_py(), dtype="<u4")[:-1], whole)) if tree.value.depth else 0 for ids in batch.column(1)]
+            found = tree.leaves(own.all([d[:-1] for d in documents_of(batch.column(1), kind)]))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(found, pa.int64())], names=["doc_id", "ids", "leaf"])
 
-    shards = max(1, -(-whole.documents // SHARD_DOCS))
-    return encoded.mapInArrow(leaves, "doc_id long, ids binary, leaf long").repartitionByRange(shards, "leaf", "doc_id").sortWithinPartitions("doc_id", "ids")
+    dealt = encoded.mapInArrow(leaves, "doc_id long, ids binary, leaf long").repartitionByRange(shards, "leaf", "doc_id")
+    return dealt.sortWithinPartitions("doc_id", "ids").select("doc_id", "ids")
 
 
 def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_id: int = 0, with_ids: bool = False, added: bool = False) -> DataFrame:
     """One row for each piece; ``with_ids`` adds the piece's ids as an array; ``added`` as in ``library_encoder``."""
-    end = np.uint32(end_id).tobytes()
+    kind = id_type(vocabulary)
     names = [f.name for f in PIECES] + ["ids"] * with_ids
 
     def packed(ids: list[int], texts: list[np.ndarray], first: int):
         rows: list[list] = [[] for _ in names]
         last = -1
         for document, start, length, sequence, offset in pack_shard(texts, window, whole):
-            piece = texts[document][start : start + length]
+            piece = texts[document][start : start + length].astype("<u4")
             last = max(last, sequence)
-            for column, value in zip(rows, (ids[document], start, length, zlib.crc32(piece.tobytes()), len(texts[document]), first + sequence, offset), strict=False):
+            for column, value in zip(rows, (ids[document], start, length, zlib.crc32(piece), len(texts[document]), first + sequence, offset), strict=False):
                 column.append(value)
             if with_ids:
                 rows[-1].append(piece.astype(np.int32))
@@ -283,19 +327,28 @@ def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_i
         return pa.RecordBatch.from_arrays(arrays, names=names), first + last + 1
 
     def encode(batches):
-        encoder = library_encoder(vocabulary, added)
+        """Rows of ids, and in the end a row of the task's counts, whose ids are null."""
+        encoder, counts = library_encoder(vocabulary, added), TermCounts()
         for batch in batches:
-            packed = [encoder.encode(text or "") + end for text in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(packed, pa.binary())], names=["doc_id", "ids"])
+            low = 0
+            for ids, sizes in encoder.encode_slices(batch.column(1)):
+                ids, sizes = with_end(ids.astype(kind), sizes, end_id)
+                begun = 0
+                for end in np.cumsum(sizes).tolist():
+                    counts.count(ids[begun : end - 1])
+                    begun = end
+                yield pa.RecordBatch.from_arrays([batch.column(0).slice(low, len(sizes)), binary_array(ids, sizes), pa.nulls(len(sizes), pa.binary())], names=["doc_id", "ids", "counts"])
+                low += len(sizes)
+        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.binary()), pa.array([counts.packed()], pa.binary())], names=["doc_id", "ids", "counts"])
 
     def pack(batches):
         following = TaskContext.get().partitionId() << 36
         ids, texts, tokens = [], [], 0
         for batch in batches:
-            for doc_id, packed_ids in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+            for doc_id, text in zip(batch.column(0).to_pylist(), documents_of(batch.column(1), kind), strict=True):
                 ids.append(doc_id)
-                texts.append(np.frombuffer(packed_ids.as_py(), dtype="<u4"))
-                tokens += len(texts[-1])
+                texts.append(text)
+                tokens += len(text)
                 if tokens >= SHARD_TOKENS:
                     rows, following = packed(ids, texts, following)
                     yield rows
@@ -304,7 +357,7 @@ def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_i
             yield packed(ids, texts, following)[0]
 
     rows = docs.select(docs["doc_id"].cast("long").alias("doc_id"), "text")
-    encoded = settle(rows.repartition(shuffle_width(docs.sparkSession)).mapInArrow(encode, "doc_id long, ids binary"), "packing-ids")
-    whole = table_statistics(encoded)
+    written = settle(rows.mapInArrow(encode, "doc_id long, ids binary, counts binary"), "packing-ids")
+    whole, encoded = table_statistics(written), written.where("ids IS NOT NULL").select("doc_id", "ids")
     schema = T.StructType([*PIECES.fields, *([T.StructField("ids", T.ArrayType(T.IntegerType(), False))] if with_ids else [])])
-    return deal(encoded, whole).select("doc_id", "ids").mapInArrow(pack, schema)
+    return deal(encoded, whole, kind).mapInArrow(pack, schema)

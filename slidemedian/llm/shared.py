@@ -8,7 +8,8 @@ executor costs a re-read and not a recomputation.
 from __future__ import annotations
 
 import uuid
-from collections.abc import Iterable
+from collections.abc import Callable, Hashable, Iterable
+from typing import Any
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -47,6 +48,22 @@ def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+_STATE: dict[str, tuple[Hashable, Any]] = {}
+
+
+def worker_state(owner: str, key: Hashable, make: Callable[[], Any]) -> Any:
+    """What an operator keeps in a worker process between batches: models, memos.
+
+    A worker outlives its task and serves other stages, so it keeps the state
+    of one operator only: another owner's, or another key's, replaces it.
+    """
+    held = _STATE.get(owner)
+    if held is None or held[0] != key:
+        _STATE.clear()
+        held = _STATE[owner] = key, make()
+    return held[1]
+
+
 def bucket_of(column: str, modulus: int):
     """crc32 of the column as text, modulo ``modulus``: the fold rule of the queries."""
     return F.crc32(F.col(column).cast("string")) % F.lit(modulus)

@@ -6,6 +6,7 @@ import re
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -37,12 +38,12 @@ def texts_of(docs):
     return sorted((r["doc_id"], r["text"] or "") for r in docs.select("doc_id", "text").collect())
 
 
-def library_ids(text):
+def library_ids(text, added=False):
     from tokenizers import Tokenizer
 
     if not hasattr(library_ids, "t"):
         library_ids.t = Tokenizer.from_file(JSON)
-        library_ids.t.encode_special_tokens = True
+    library_ids.t.encode_special_tokens = not added
     return library_ids.t.encode(text, add_special_tokens=False).ids
 
 
@@ -54,6 +55,17 @@ def test_library_encoder_equals_the_library(docs):
     encoder = encoding.library_encoder(JSON)
     for _, text in texts_of(docs):
         assert encoder.encode(text) == np.array(library_ids(text), dtype="<u4").tobytes()
+    # The library at its defaults, in slices, with a memo that overflows all the time.
+    rng = random.Random(3)
+    spaces = [" ", " ", " ", " ", "\n", "  ", "\t", " \n", "\u00a0", "\u2003 ", "<|endoftext|>", ".", "'s ", "", "\x1c", "\x85 "]
+    texts = [t for t in ODD if t is not None] + ["".join(rng.choice("abcé9数") * rng.randrange(1, 5) + rng.choice(spaces) for _ in range(rng.randrange(60))) for _ in range(400)] + [" lead", "trail ", "trail\n", "\nlead", " ", "  "]
+    small = encoding._library(JSON, True)
+    small.memo.limit = 40
+    for _ in range(2):
+        found = list(small.encode_slices(pa.array([*texts, None], pa.string())))
+        assert np.concatenate([sizes for _, sizes in found]).tolist() == [len(library_ids(t, True)) for t in [*texts, ""]]
+        assert np.concatenate([ids for ids, _ in found]).tolist() == [i for t in texts for i in library_ids(t, True)]
+        assert len(small.memo.words) <= 40
 
 
 def test_transducer_equals_tiktoken_and_decodes(spark, docs, empty):
@@ -74,7 +86,7 @@ def test_transducer_equals_tiktoken_and_decodes(spark, docs, empty):
 
 
 def test_transducer_on_random_bytes():
-    machine = bpe_transducer.transducer(RANKS)[0]
+    machine = bpe_transducer.transducer(RANKS).machine
     rng = random.Random(2)
     for _ in range(300):
         data = bytes(rng.choice(b"abcethins .\xc3\xa9\xff") for _ in range(rng.randrange(25)))
@@ -87,6 +99,18 @@ def test_utf8_machine_at_any_cut():
         machine = bpe_transducer.Utf8Machine()
         text = machine.feed(data[:cut]) + machine.feed(data[cut:]) + machine.close()
         assert text.encode("utf-8", "surrogateescape") == data
+    rng = random.Random(4)
+    for _ in range(3000):
+        data = bytes(rng.choice(b"ab\xc3\xa9\xe0\x80\xa0\xed\x9f\xf0\x90\xf4\x8f\xbf\xff\xc0\xe6\x95\xb0") for _ in range(rng.randrange(9)))
+        cuts = sorted(rng.randrange(len(data) + 1) for _ in range(2))
+        machine = bpe_transducer.Utf8Machine()
+        text = machine.feed(data[: cuts[0]]) + machine.feed(data[cuts[0] : cuts[1]]) + machine.feed(data[cuts[1] :]) + machine.close()
+        assert text == data.decode("utf-8", "surrogateescape")
+
+
+def test_utf8_machine_waits_for_whole_characters():
+    machine = bpe_transducer.Utf8Machine()
+    assert [machine.feed(bytes([b])) for b in "aé😀".encode()] == ["a", "", "é", "", "", "", "😀"] and machine.close() == ""
 
 
 def test_token_files(spark, docs, empty):
