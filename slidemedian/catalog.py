@@ -17,6 +17,7 @@ from . import catalog_relational as relational
 from . import measures, sqlapi, verify
 from .operators import baselines, filters, reduction, sorting
 from .plans.positions import global_positions
+from .plans.store import fresh_path
 from .plans.tiles import neighbour_summaries
 from .sources import generators
 from .sources.tables import EVENTS_ORDER, LINEITEM_ORDER, load
@@ -122,6 +123,16 @@ def median_edges_reflect(spark, sf_dir):
     return filters.sliding_median(load(spark, sf_dir, "events"), "value", 9, EVENTS, align="centered", edges="reflect").select("event_id", "pos", "med")
 
 
+for _edges, _align in (("partial", "trailing"), ("keep", "centered"), ("pad", "centered"), ("reflect", "centered")):
+
+    def _edges_run(spark, sf_dir, edges=_edges, align=_align):
+        found = filters.sliding_median(load(spark, sf_dir, "events"), "value", 9, EVENTS, align=align, edges=edges, constant=0.0, route="blocks")
+        return found.select("event_id", "pos", F.round("med", 6).alias("med"))
+
+    _whole = framed("events", "round(median(value) {w}, 6)", 9, EVENTS, show=("event_id",), align="trailing", full=False)
+    query(f"median_edges_{_edges}_blocks", _whole if _edges == "partial" else f"SELECT event_id, pos, round(med, 6) AS med FROM ({ORACLE_SQL[f'median_edges_{_edges}']})")(_edges_run)
+
+
 @query("median_stride", framed("events", "median(value) {w}", 25, EVENTS, show=("event_id",), where="pos % 10 = 0"))
 def median_stride(spark, sf_dir):
     return filters.sliding_median(load(spark, sf_dir, "events"), "value", 25, EVENTS, stride=10).select("event_id", "pos", "med")
@@ -305,8 +316,13 @@ def baseline_approx(spark, sf_dir):
 @query("rank_error_approx")
 def rank_error_approx(spark, sf_dir):
     rows = load(spark, sf_dir, "events")
-    exact, approx = (baselines.run(rows, m, "value", 101, EVENTS, "event_type") for m in ("sorted_blocks", "engine_approx"))
-    return measures.rank_error(exact, approx, ["event_type", "pos"])
+    approx = baselines.run(rows, "engine_approx", "value", 101, EVENTS, "event_type")
+    return measures.rank_error(rows, approx, "value", 101, EVENTS, ["event_type"])
+
+
+@query("moving_average_global", framed("events", "round(avg(value) {w}, 6)", 25, EVENTS, show=("event_id",), out="avg", align="centered"))
+def moving_average_global(spark, sf_dir):
+    return baselines.moving_average(load(spark, sf_dir, "events"), "value", 25, EVENTS, align="centered").select("event_id", "pos", F.round("avg", 6).alias("avg"))
 
 
 @query("moving_average_k25", framed("events", "round(avg(value) {w}, 6)", 25, EVENTS, ("user_id",), ("event_id",), out="avg"))
@@ -320,10 +336,10 @@ def _mix(pos: str, seed: int) -> str:
 
 @query(
     "recovery_quality",
-    f"WITH p AS (SELECT row_number() OVER (ORDER BY {', '.join(LINEITEM)}) - 1 AS pos FROM lineitem), s AS (SELECT pos, 50.0 + abs(pos % 500 - 250) * 0.4 AS clean, {_mix('pos', 1)} % 4 = 0 AS corrupted, ({_mix('pos', 2)} % 21 - 10) / 10.0 AS noise, {_mix('pos', 2)} % 200 AS wrong FROM p WHERE pos < 2000), d AS (SELECT pos, CAST(clean AS DOUBLE) AS clean, CAST(CASE WHEN corrupted THEN wrong ELSE clean + noise END AS DOUBLE) AS dirty FROM s), f AS (SELECT clean, count(*) OVER w AS held, median(dirty) OVER w AS med, avg(dirty) OVER w AS mean FROM d WINDOW w AS (ORDER BY pos ROWS BETWEEN 12 PRECEDING AND 12 FOLLOWING)), g AS (SELECT 'median' AS method, abs(med - clean) AS gap FROM f WHERE held = 25 UNION ALL SELECT 'moving_average', abs(mean - clean) FROM f WHERE held = 25) SELECT method, round(avg(gap), 6) AS mae, round(sqrt(avg(gap * gap)), 6) AS rmse, round(max(gap), 6) AS worst, count(*) AS points FROM g GROUP BY method",
+    f"WITH p AS (SELECT unnest(range(count(*))) AS pos FROM lineitem), s AS (SELECT pos, 50.0 + abs(pos % 500 - 250) * 0.4 AS clean, {_mix('pos', 1)} % 4 = 0 AS corrupted, ({_mix('pos', 2)} % 21 - 10) / 10.0 AS noise, {_mix('pos', 2)} % 200 AS wrong FROM p), d AS (SELECT pos, CAST(clean AS DOUBLE) AS clean, CAST(CASE WHEN corrupted THEN wrong ELSE clean + noise END AS DOUBLE) AS dirty FROM s), f AS (SELECT clean, count(*) OVER w AS held, median(dirty) OVER w AS med, avg(dirty) OVER w AS mean FROM d WINDOW w AS (ORDER BY pos ROWS BETWEEN 12 PRECEDING AND 12 FOLLOWING)), g AS (SELECT 'median' AS method, abs(med - clean) AS gap FROM f WHERE held = 25 UNION ALL SELECT 'moving_average', abs(mean - clean) FROM f WHERE held = 25) SELECT method, round(avg(gap), 6) AS mae, round(sqrt(avg(gap * gap)), 6) AS rmse, round(max(gap), 6) AS worst, count(*) AS points FROM g GROUP BY method",
 )
 def recovery_quality(spark, sf_dir):
-    signal = generators.corrupted_signal(load(spark, sf_dir, "lineitem"), LINEITEM)
+    signal = generators.corrupted_signal(spark, load(spark, sf_dir, "lineitem").count())
     named = signal.withColumnRenamed("pos", "place")
     median = filters.sliding_median(named, "dirty", 25, "place", align="centered").select("place", F.col("med").alias("estimate"))
     mean = baselines.moving_average(named, "dirty", 25, "place", align="centered").select("place", F.col("avg").alias("estimate"))
@@ -354,7 +370,7 @@ def gen_wide_random_64(spark, sf_dir):
     return generators.generate(load(spark, sf_dir, "lineitem"), LINEITEM, "wide_random", width=64)
 
 
-@query("disorder_per_block", f"WITH p AS (SELECT l_extendedprice AS v, row_number() OVER (ORDER BY {', '.join(LINEITEM)}) - 1 AS pos FROM lineitem), d AS (SELECT pos // 101 AS blk, CASE WHEN v < lag(v) OVER (PARTITION BY pos // 101 ORDER BY pos) THEN 1 ELSE 0 END AS down FROM p) SELECT blk, count(*) AS rows, CAST(sum(down) AS BIGINT) AS descents, CAST(sum(down) AS BIGINT) + 1 AS runs, sum(down) = 0 AS is_sorted FROM d GROUP BY blk")
+@query("disorder_per_block", f"WITH p AS (SELECT l_extendedprice AS v, row_number() OVER (ORDER BY {', '.join(LINEITEM)}) - 1 AS pos FROM lineitem), d AS (SELECT pos // 101 AS blk, CASE WHEN v < lag(v) OVER (PARTITION BY pos // 101 ORDER BY pos) THEN 1 ELSE 0 END AS down FROM p), i AS (SELECT a.pos // 101 AS blk, count(*) AS inversions FROM p a JOIN p b ON a.pos // 101 = b.pos // 101 AND a.pos < b.pos AND a.v > b.v GROUP BY 1) SELECT d.blk, count(*) AS rows, CAST(sum(down) AS BIGINT) AS descents, CAST(sum(down) AS BIGINT) + 1 AS runs, sum(down) = 0 AS is_sorted, coalesce(any_value(i.inversions), 0) AS inversions FROM d LEFT JOIN i ON d.blk = i.blk GROUP BY d.blk")
 def disorder_per_block(spark, sf_dir):
     return sorting.disorder_per_block(load(spark, sf_dir, "lineitem"), "l_extendedprice", 101, LINEITEM)
 
@@ -434,7 +450,7 @@ def _times(df: DataFrame) -> DataFrame:
 
 def _unflushed(spark, sf_dir, label):
     rows = load(spark, sf_dir, "events").select("event_id", "ts", "user_id", "value")
-    folder = sliding.workspace(spark, label)
+    folder = fresh_path(spark, label)
     sliding.slices(rows, "ts", 2, folder)
     return spark.readStream.schema(rows.schema).option("maxFilesPerTrigger", 1).parquet(folder)
 
@@ -460,7 +476,7 @@ def stream_session_median(spark, sf_dir):
 @query("stream_dedup_join", "SELECT n_name, count(*) AS rows FROM events JOIN customer ON user_id = c_custkey JOIN nation ON c_nationkey = n_nationkey GROUP BY n_name")
 def stream_dedup_join(spark, sf_dir):
     rows = load(spark, sf_dir, "events").select("event_id", "ts", "user_id")
-    folder = sliding.workspace(spark, "dedup")
+    folder = fresh_path(spark, "dedup")
     sliding.slices(rows, "ts", 2, folder)
     stream = spark.readStream.schema(rows.schema).parquet(folder)
     customers = load(spark, sf_dir, "customer").join(load(spark, sf_dir, "nation"), F.col("c_nationkey") == F.col("n_nationkey")).select("c_custkey", "n_name")

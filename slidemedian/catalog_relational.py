@@ -54,8 +54,8 @@ SHARED = {
     "topk_per_user": "SELECT user_id, event_id, value FROM (SELECT user_id, event_id, value, row_number() OVER (PARTITION BY user_id ORDER BY value DESC, event_id) AS rn FROM events) x WHERE rn <= 3",
     "topk_values": "SELECT event_id, value FROM events ORDER BY value DESC, event_id LIMIT 20",
     "distinct_series": "SELECT DISTINCT user_id, event_type FROM events",
-    "outer_full": "SELECT c.c_custkey, s.s_suppkey FROM (SELECT c_custkey FROM customer WHERE c_custkey < 50) c FULL OUTER JOIN (SELECT s_suppkey FROM supplier) s ON c.c_custkey = s.s_suppkey",
-    "set_operations": "SELECT user_id AS k FROM events WHERE user_id < 20 UNION SELECT s_suppkey FROM supplier EXCEPT SELECT n_nationkey FROM nation",
+    "outer_full": "SELECT c.c_custkey, s.s_suppkey FROM (SELECT c_custkey FROM customer) c FULL OUTER JOIN (SELECT s_suppkey FROM supplier) s ON c.c_custkey = s.s_suppkey",
+    "set_operations": "SELECT user_id AS k FROM events UNION SELECT s_suppkey FROM supplier EXCEPT SELECT n_nationkey FROM nation",
     "set_intersect_users": "SELECT user_id AS k FROM events INTERSECT SELECT c_custkey FROM customer",
     "fn_math": "SELECT event_id, abs(value - 100) AS a, round(value, 1) AS r, CAST(floor(value) AS BIGINT) AS f, CAST(ceil(value) AS BIGINT) AS c, CAST(sign(value - 50) AS DOUBLE) AS s, greatest(value, 50.0) AS g, least(value, 50.0) AS l, round(sqrt(value), 6) AS q, round(power(value, 2), 4) AS p, event_id % 7 AS m FROM events",
     "fn_null": "SELECT event_id, coalesce(nullif(event_type, 'view'), 'none') AS t, CASE WHEN isnan(value) THEN 0.0 ELSE value END AS v, nullif(user_id, 3) AS u FROM events",

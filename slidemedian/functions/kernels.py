@@ -17,7 +17,7 @@ import pyarrow.compute as pc
 from ..plans.spec import SlidingSpec
 from .codes import encode
 from .links import walk_series
-from .lockstep import TOP, walk_pairs
+from .lockstep import TOP, top_of, walk_pairs
 from .sorting import ORDERS
 
 #: Rows that the cutter collects before it runs the kernel; values in one lockstep call.
@@ -30,13 +30,14 @@ def window_ranks(codes: np.ndarray, starts: np.ndarray, window: int, ranks: Sequ
     """Codes (ranks, rows) of the window that *ends* at each row, for concatenated series.
 
     ``starts`` are the first rows of the series, and the number of rows at the
-    end. Rows before the first full window of their series keep ``TOP``.
+    end. Rows before the first full window of their series keep the greatest
+    code. Codes are of 64 or 32 bits; the latter take half the memory.
     ``orders``, if given, are offsets in sorted order, block by block, so that
     nothing is sorted here.
     """
-    rows = len(codes)
-    upper = np.full((len(ranks), rows), TOP)
-    below = np.full((len(ranks), rows), TOP) if lower else None
+    rows, top = len(codes), top_of(codes)
+    upper = np.full((len(ranks), rows), top, dtype=codes.dtype)
+    below = upper.copy() if lower else None
     lengths = np.diff(starts)
     blocks = -(-lengths // window) * (lengths >= window)
     total = int(blocks.sum())
@@ -57,7 +58,7 @@ def window_ranks(codes: np.ndarray, starts: np.ndarray, window: int, ranks: Sequ
         begin = low - 1 if low and number[low] else low
         place = at[begin:high] + np.arange(window)[:, None]
         real = np.arange(window)[:, None] < left[begin:high]
-        matrix = np.where(real, codes[np.minimum(place, rows - 1)], TOP)
+        matrix = np.where(real, codes[np.minimum(place, rows - 1)], codes.dtype.type(top))
         if orders is None:
             order = ORDERS[sorter](matrix)
         else:

@@ -20,20 +20,17 @@ class LinkedBlock:
 
     ``order`` lists the offsets in ascending order of (value, offset); ``rank``
     (the inverse permutation), when given, is compared instead of that pair, so
-    that a sort need not be stable. ``debug`` checks the nesting; ``counts``
-    gathers pointer writes and marker moves.
+    that a sort need not be stable. ``debug`` checks the nesting.
     """
 
-    def __init__(self, values: Sequence, order: Sequence[int], small: int, *, rank: Sequence[int] | None = None, debug: bool = False, counts: dict[str, int] | None = None):
-        self.values, self.rank, self.end = values, rank, len(values)
-        self.debug, self.counts = debug, counts if counts is not None else {"writes": 0, "moves": 0}
+    def __init__(self, values: Sequence, order: Sequence[int], small: int, *, rank: Sequence[int] | None = None, debug: bool = False):
+        self.values, self.rank, self.end, self.debug = values, rank, len(values), debug
         self.prev, self.next = [0] * (self.end + 1), [0] * (self.end + 1)
         last = self.end
         for offset in order:
             self.next[last], self.prev[offset] = offset, last
             last = offset
         self.next[last], self.prev[self.end] = self.end, last
-        self.counts["writes"] += 2 * (self.end + 1)
         self.small = small
         self.marker = order[small] if small < self.end else self.end
         self.dropped: list[int] = []
@@ -47,7 +44,6 @@ class LinkedBlock:
     def _unlink(self, offset: int) -> None:
         before, after = self.prev[offset], self.next[offset]
         self.next[before], self.prev[after] = after, before
-        self.counts["writes"] += 2
         if self.debug:
             self.dropped.append(offset)
 
@@ -70,27 +66,22 @@ class LinkedBlock:
             return
         if offset == self.marker:
             self.marker = self.next[offset]
-            self.counts["moves"] += 1
         if self.small:
             self.marker = self.prev[self.marker]
             self.small -= 1
-            self.counts["moves"] += 1
 
     def restore(self, offset: int) -> None:
         """Put the item back that was dropped last; as many items are small as before."""
         if self.debug and (not self.dropped or self.dropped.pop() != offset):
             raise NestingError(f"offset {offset} was not the last one dropped")
         self.next[self.prev[offset]] = self.prev[self.next[offset]] = offset
-        self.counts["writes"] += 2
         if self._before(offset, self.marker):
             self.marker = self.prev[self.marker]
-            self.counts["moves"] += 1
 
     def promote(self) -> None:
         """The least large item becomes small."""
         self.marker = self.next[self.marker]
         self.small += 1
-        self.counts["moves"] += 1
 
     @property
     def exhausted(self) -> bool:
@@ -114,6 +105,33 @@ class LinkedBlock:
         return set(self.members()[: self.small])
 
 
+class CountedBlock(LinkedBlock):
+    """The same, which adds up pointer writes and marker moves in ``counts``."""
+
+    def __init__(self, *args, counts: dict[str, int], **options):
+        self.counts = counts
+        super().__init__(*args, **options)
+        counts["writes"] += 2 * (self.end + 1)
+
+    def _unlink(self, offset: int) -> None:
+        super()._unlink(offset)
+        self.counts["writes"] += 2
+
+    def drop(self, offset: int) -> None:
+        self.counts["moves"] += 0 if self.is_small(offset) else (offset == self.marker) + (self.small > 0)
+        super().drop(offset)
+
+    def restore(self, offset: int) -> None:
+        before = self.marker
+        super().restore(offset)
+        self.counts["writes"] += 2
+        self.counts["moves"] += self.marker != before
+
+    def promote(self) -> None:
+        super().promote()
+        self.counts["moves"] += 1
+
+
 def stable_order(values: Sequence) -> list[int]:
     return sorted(range(len(values)), key=lambda i: (values[i], i))
 
@@ -159,7 +177,8 @@ def walk_series(values: Sequence, window: int, rank: int | None = None, *, order
         for place, offset in enumerate(order):
             positions[offset] = place
         plain = use_rank or (last and tail < window)
-        return LinkedBlock(block, order, rank, rank=positions if plain else None, debug=debug, counts=counts)
+        options = {"rank": positions if plain else None, "debug": debug}
+        return LinkedBlock(block, order, rank, **options) if counts is None else CountedBlock(block, order, rank, counts=counts, **options)
 
     old = build(blocks[0], len(blocks) == 1)
     lower = old.last_small()

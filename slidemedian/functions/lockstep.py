@@ -11,10 +11,15 @@ from collections.abc import Sequence
 
 import numpy as np
 
-#: Greater than or equal to every code.
+#: Greater than or equal to every 64-bit code.
 TOP = np.iinfo(np.int64).max
 
 
+def top_of(codes: np.ndarray) -> int:
+    """Greater than or equal to every code of that type."""
+    return int(np.iinfo(codes.dtype).max)
+
+
 class LinkedBlocks:
     """Sorted lists over the columns of ``values`` (k, pairs), with a marker for each of several ranks."""
 
@@ -23,7 +28,7 @@ class LinkedBlocks:
         kind = np.int64 if (self.k + 1) * self.pairs > np.iinfo(np.int32).max else np.int32
         self.lane = np.arange(self.pairs, dtype=kind)
         self.end = self.lane + self.k * self.pairs
-        self.values = np.concatenate([values.ravel(), np.full(self.pairs, TOP)])
+        self.values = np.concatenate([values.ravel(), np.full(self.pairs, top_of(values), dtype=values.dtype)])
         chain = np.concatenate([self.end[None], order.astype(kind) * self.pairs + self.lane, self.end[None]])
         self.next = np.empty((self.k + 1) * self.pairs, dtype=kind)
         self.prev = np.empty_like(self.next)
@@ -78,7 +83,7 @@ def walk_pairs(old: np.ndarray, old_order: np.ndarray, new: np.ndarray, new_orde
     """
     k, pairs = old.shape
     a, b = LinkedBlocks(old, old_order, ranks, rewound=False), LinkedBlocks(new, new_order, ranks, rewound=True)
-    upper = np.empty((len(ranks), k, pairs), dtype=np.int64)
+    upper, least = np.empty((len(ranks), k, pairs), dtype=old.dtype), -top_of(old) - 1
     below = np.empty_like(upper) if lower else None
     for t in range(k):
         a.drop(t)
@@ -95,7 +100,7 @@ def walk_pairs(old: np.ndarray, old_order: np.ndarray, new: np.ndarray, new_orde
                 front_a, front_b = a.values[a.marker[i]], b.values[b.marker[i]]
             upper[i, t] = np.minimum(front_a, front_b)
             if below is not None:
-                last_a = np.where(a.small[i] > 0, a.values[a.prev[a.marker[i]]], -TOP - 1)
-                last_b = np.where(b.small[i] > 0, b.values[b.prev[b.marker[i]]], -TOP - 1)
+                last_a = np.where(a.small[i] > 0, a.values[a.prev[a.marker[i]]], least)
+                last_b = np.where(b.small[i] > 0, b.values[b.prev[b.marker[i]]], least)
                 below[i, t] = np.maximum(last_a, last_b)
     return upper, below

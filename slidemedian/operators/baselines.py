@@ -13,6 +13,7 @@ from ..functions.codes import encode
 from ..functions.kernels import whole_series
 from ..plans.positions import global_positions
 from ..plans.spec import names
+from ..plans.tiles import blocks_per_tile, with_halo
 from .filters import sliding_median
 
 #: Outputs of a tile when one long series is cut for a contender.
@@ -108,10 +109,23 @@ def self_join(df: DataFrame, value: str, k: int, order_by, partition_by=()) -> D
 
 
 def moving_average(df: DataFrame, value: str, k: int, order_by, partition_by=(), *, align: str = "leading", out: str = "avg") -> DataFrame:
-    """(series, order, pos, out): mean of every full window, the quality baseline."""
+    """(series, order, pos, out): mean of every full window, the quality baseline.
+
+    Without series keys the windows lie in tiles that repeat k rows, so no task has the whole series.
+    """
     keys, order = names(partition_by), names(order_by)
     shift = {"leading": 0, "trailing": k - 1, "centered": k // 2}[align]
-    by = Window.partitionBy(*keys).orderBy(*order)
+    rows = df.select(*dict.fromkeys([*keys, *order, value]))
+    if keys:
+        by = Window.partitionBy(*keys).orderBy(*order)
+        rows = rows.withColumn("pos", F.row_number().over(by).cast("long") - 1)
+        whole = F.col("__held") == k
+    else:
+        per_tile = blocks_per_tile(k)
+        rows = with_halo(global_positions(rows, order), k, per_tile)
+        by = Window.partitionBy("tile").orderBy("pos")
+        # A window that ends in the repeated rows belongs to the tile before.
+        whole = (F.col("__held") == k) & (F.col("pos") - shift + k - 1 >= F.col("tile") * (per_tile * k))
     frame = by.rowsBetween(-shift, k - 1 - shift)
-    rows = df.select(*keys, *order, (F.row_number().over(by).cast("long") - 1).alias("pos"), F.avg(value).over(frame).alias(out), F.count(F.lit(1)).over(frame).alias("__held"))
-    return rows.where(F.col("__held") == k).drop("__held")
+    found = rows.withColumns({out: F.avg(value).over(frame), "__held": F.count(F.lit(1)).over(frame)})
+    return found.where(whole).select(*keys, *order, "pos", out)

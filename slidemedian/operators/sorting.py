@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import bisect
 from collections.abc import Sequence
 
 import numpy as np
@@ -110,13 +111,33 @@ def medians_from_sorted_blocks(sorted_blocks: DataFrame, value: str, k: int, r:
     return tiled.repartition(*keys, "tile").sortWithinPartitions(*keys, "tile", "blk", "rnk").mapInArrow(run, schema)
 
 
+def inversions(codes: list) -> int:
+    """Pairs of items that stand in the wrong order."""
+    held, total = [], 0
+    for code in codes:
+        place = bisect.bisect_right(held, code)
+        total += len(held) - place
+        held.insert(place, code)
+    return total
+
+
 def disorder_per_block(df: DataFrame, value: str, k: int, order_by, partition_by=()) -> DataFrame:
-    """(series, blk, rows, descents, runs, is_sorted) of each block."""
+    """(series, blk, rows, descents, runs, is_sorted, inversions) of each block."""
     keys = names(partition_by)
     placed = assign_blocks(global_positions(df.select(*dict.fromkeys([*keys, *names(order_by), value])), names(order_by), keys), k)
-    before = F.lag(value).over(Window.partitionBy(*keys, "blk").orderBy("off"))
-    marked = placed.withColumn("__down", F.coalesce((F.col(value) < before).cast("long"), F.lit(0)))
-    out = marked.groupBy(*keys, "blk").agg(F.count("*").alias("rows"), F.sum("__down").alias("descents"))
-    return out.withColumns({"runs": F.col("descents") + 1, "is_sorted": F.col("descents") == 0})
-
+    per_tile = blocks_per_tile(k)
+    dealt = placed.withColumn("tile", F.expr(f"blk div {per_tile}")).repartition(*keys, "tile").sortWithinPartitions(*keys, "blk", "off")
+    schema = T.StructType([*[placed.schema[c] for c in keys], *[T.StructField(c, T.BooleanType() if c == "is_sorted" else T.LongType()) for c in ("blk", "rows", "descents", "runs", "is_sorted", "inversions")]])
 
+    def measure(batches):
+        for table, cuts in whole_series(batches, [*keys, "blk"]):
+            codes, first = encode(table.column(value)).codes, pa.array(cuts[:-1])
+            down = np.concatenate([[False], codes[1:] < codes[:-1]])
+            down[cuts[:-1]] = False
+            descents = np.add.reduceat(down.astype(np.int64), cuts[:-1])
+            wrong = [inversions(codes[a:b].tolist()) for a, b in zip(cuts, cuts[1:], strict=False)]
+            columns = {key: table.column(key).take(first) for key in keys}
+            counts = {"blk": table.column("blk").take(first), "rows": np.diff(cuts), "descents": descents, "runs": descents + 1, "is_sorted": descents == 0, "inversions": pa.array(wrong, pa.int64())}
+            yield from pa.table({**columns, **counts}).combine_chunks().to_batches()
+
+    return dealt.select(*keys, "blk", "off", value).mapInArrow(measure, schema)

@@ -56,12 +56,11 @@ def vector(spark: SparkSession, n: int, name: str, seed: int = 1, width: int = 3
     return spark.range(n).withColumnRenamed("id", "pos").select("pos", F.expr(value_text(name, str(n), seed, width)).cast("long").alias("x"))
 
 
-def corrupted_signal(df: DataFrame, order_by: Sequence[str], n: int = 2000, seed: int = 1) -> DataFrame:
+def corrupted_signal(spark: SparkSession, n: int = 2000, seed: int = 1) -> DataFrame:
     """(pos, clean, dirty, corrupted): a smooth signal, small noise, and a quarter of the points replaced."""
-    placed = global_positions(df.select(*order_by), order_by).where(F.col("pos") < n).select("pos")
     u, v = F.expr(mix_text("pos", seed)), F.expr(mix_text("pos", seed + 1))
     clean: Column = triangle(F.col("pos"))
-    rows = placed.select("pos", clean.alias("clean"), (u % 4 == 0).alias("corrupted"), ((v % 21 - 10) / 10.0).alias("noise"), (v % 200).cast("double").alias("wrong"))
+    rows = spark.range(n).withColumnRenamed("id", "pos").select("pos", clean.alias("clean"), (u % 4 == 0).alias("corrupted"), ((v % 21 - 10) / 10.0).alias("noise"), (v % 200).cast("double").alias("wrong"))
     return rows.select("pos", "clean", F.when(F.col("corrupted"), F.col("wrong")).otherwise(F.col("clean") + F.col("noise")).alias("dirty"), "corrupted")
 
 

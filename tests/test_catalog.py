@@ -18,6 +18,16 @@ CHECKED = (
     "median_even_mean",
     "median_edges_partial",
     "median_edges_reflect",
+    "median_edges_partial_blocks",
+    "median_edges_keep_blocks",
+    "median_edges_pad_blocks",
+    "median_edges_reflect_blocks",
+    "moving_average_global",
+    "outer_full",
+    "set_operations",
+    "stream_tumbling_median",
+    "sort_by_filter_isolated",
+    "global_positions",
     "median_stride",
     "median_interval",
     "median_k_eq_n",

@@ -249,14 +249,51 @@ def test_long_series_need_no_single_partition(spark):
 
 
 def test_median_recovers_better_than_the_mean(spark):
-    base = spark.range(2000).withColumnRenamed("id", "i")
-    signal = generators.corrupted_signal(base, ["i"]).withColumnRenamed("pos", "place")
+    signal = generators.corrupted_signal(spark).withColumnRenamed("pos", "place")
     med = filters.sliding_median(signal, "dirty", 25, "place", align="centered").select("place", F.col("med").alias("e"))
     avg = baselines.moving_average(signal, "dirty", 25, "place", align="centered").select("place", F.col("avg").alias("e"))
     errors = [measures.recovery(signal.join(e, "place"), "clean", "e").first()["mae"] for e in (med, avg)]
     assert errors[0] < 0.5 * errors[1]
 
 
+def test_moving_average_on_tiles(spark, monkeypatch):
+    monkeypatch.setattr(baselines, "blocks_per_tile", lambda k: 4)
+    df = spark.range(500).select(F.col("id").alias("i"), F.expr("(id * 7919) % 1000").alias("v"))
+    values = [i * 7919 % 1000 for i in range(500)]
+    for align, shift in (("leading", 0), ("centered", 3), ("trailing", 6)):
+        got = baselines.moving_average(df, "v", 7, "i", align=align).collect()
+        assert {r["pos"]: r["avg"] for r in got} == {i + shift: sum(values[i : i + 7]) / 7 for i in range(494)} and len(got) == 494
+        assert all(r["i"] == r["pos"] for r in got)
+
+
+def test_approximate_medians_miss_few_ranks(spark):
+    df, data = series(spark, {1: 60, 2: 5})
+    approx = baselines.run(df, "engine_approx", "v", 21, "i", "g")
+    row = measures.rank_error(df, approx, "v", 21, ["i"], ["g"]).first()
+    wrong = []
+    for r in approx.collect():
+        window = sorted(data[r["g"]][r["pos"] : r["pos"] + 21])
+        ranks = [i for i, x in enumerate(window) if x == r["med"]]
+        wrong.append(min(abs(i - 10) for i in ranks))
+    assert (row["rows"], row["worst"], row["different"]) == (40, max(wrong), sum(w > 0 for w in wrong))
+    assert row["worst"] <= 21 / 20 + 1  # the sketch's accuracy is a twentieth
+    exact = baselines.run(df, "sorted_blocks", "v", 21, "i", "g")
+    assert measures.rank_error(df, exact, "v", 21, ["i"], ["g"]).first()["worst"] == 0
+
+
+def test_measures_of_memory_traffic_and_phases(spark):
+    import numpy as np
+
+    assert measures.peak_memory(lambda: np.zeros(1 << 20)) >= 8 << 20
+    df = generators.vector(spark, 20_000, "wide_random").withColumnRenamed("pos", "i")
+    moved = measures.traffic(spark, lambda: filters.sliding_median(df, "x", 25, "i", route="blocks").count())
+    assert moved["shuffle_written"] > 20_000 and moved["disk_spilled"] == 0
+    ascending, rng = np.arange(60_000), np.random.default_rng(1)
+    ordered, mixed = measures.phases(ascending, 501), measures.phases(rng.permutation(60_000), 501)
+    assert ordered["sort"] < mixed["sort"] and set(mixed) == {"sort", "walk"}
+    assert sorting.inversions([3, 1, 2, 2, 0]) == 7 and sorting.inversions([1, 1, 2]) == 0
+
+
 def test_sql_functions(spark):
     df, data = series(spark, {1: 12, 2: 3})
     sqlapi.register(spark)

@@ -3,6 +3,7 @@
 import datetime
 
 from slidemedian.operators.filters import sliding_median
+from slidemedian.plans.store import fresh_path
 from slidemedian.streaming import sliding
 
 
@@ -22,7 +23,7 @@ def test_replay_equals_batch(spark):
 
 def test_late_rows_inside_the_watermark_count_and_others_do_not(spark):
     df = rows(spark, 40)
-    folder = sliding.workspace(spark, "test-late")
+    folder = fresh_path(spark, "test-late")
     parts = [df.where("event_id < 20 AND event_id != 19"), df.where("event_id >= 20 OR event_id = 19"), df.where("event_id = 0")]
     for part in parts:
         part.coalesce(1).write.mode("append").parquet(folder)
