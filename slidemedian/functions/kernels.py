@@ -23,7 +23,7 @@ from .sorting import ORDERS
 #: Rows that the cutter collects before it runs the kernel; values in one lockstep call.
 BATCH_ROWS, CALL_VALUES = 1 << 17, 1 << 20
 #: Pairs from which all of them advance together.
-LOCKSTEP_PAIRS = 32
+LOCKSTEP_PAIRS = 16
 
 
 def window_ranks(codes: np.ndarray, starts: np.ndarray, window: int, ranks: Sequence[int], *, lower: bool = False, kernel: str = "auto", sorter: str = "auto", ties: str = "stable", orders: np.ndarray | None = None) -> tuple[np.ndarray, np.ndarray | None]:

@@ -15,6 +15,10 @@ from .functions.kernels import window_ranks
 from .plans.spec import median_rank
 
 
+#: Rows that the table function holds before it gives results, or four windows if that is more.
+TABLE_ROWS = 1 << 14
+
+
 class SlidingMedianFunction:
     """``sliding_median(TABLE(t) PARTITION BY s ORDER BY (a, b), 'value', k)``: every input row that starts a full window, with ``pos`` and ``med``."""
 
@@ -28,14 +32,20 @@ class SlidingMedianFunction:
         return AnalyzeResult(T.StructType([*schema.fields, T.StructField("pos", T.LongType()), T.StructField("med", T.DoubleType() if mean else kind)]))
 
     def __init__(self):
-        self.rows, self.value, self.k = [], None, 0
+        self.rows, self.value, self.k, self.done = [], None, 0, 0
 
     def eval(self, row, value: str, k: int):
+        """Holds rows of some windows only: results are given as soon as enough have come."""
         self.rows.append(tuple(row))
         if self.value is None:
             self.value, self.k = list(row.asDict()).index(value), k
+        if len(self.rows) >= max(TABLE_ROWS, 4 * k):
+            yield from self._windows()
 
     def terminate(self):
+        yield from self._windows()
+
+    def _windows(self):
         if len(self.rows) < self.k or not self.rows:
             return
         coded = encode(pa.array([r[self.value] for r in self.rows]))
@@ -43,8 +53,10 @@ class SlidingMedianFunction:
         upper, below = window_ranks(coded.codes, np.array([0, len(self.rows)]), self.k, [rank], lower=share != 1.0)
         up = coded.back(upper[0, self.k - 1 :])
         found = up.to_pylist() if share == 1.0 else ((coded.as_double(upper[0, self.k - 1 :]) + coded.as_double(below[0, self.k - 1 :])) / 2).tolist()
-        for pos, med in enumerate(found):
-            yield (*self.rows[pos], pos, med)
+        for place, med in enumerate(found):
+            yield (*self.rows[place], self.done + place, med)
+        self.done += len(found)
+        self.rows = self.rows[len(found) :]
 
 
 def register(spark: SparkSession) -> None:

@@ -8,6 +8,7 @@ the ordinary kernel over k - 1 + m values and gives m windows.
 
 from __future__ import annotations
 
+import bisect
 from collections.abc import Iterator
 
 import numpy as np
@@ -18,7 +19,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
-from ..functions.codes import encode
+from ..functions.codes import encode, fold_doubles, unfold_doubles
 from ..functions.kernels import window_ranks
 from ..plans.store import fresh_path
 
@@ -29,14 +30,35 @@ STATE = T.StructType(
         T.StructField("values", T.ArrayType(T.DoubleType())),
         T.StructField("carried", T.LongType()),
         T.StructField("released", T.LongType()),
+        T.StructField("ordered", T.ArrayType(T.DoubleType())),
     ]
 )
 OUTPUT = "series long, id long, pos long, med double"
+MODES = ("auto", "blocks", "ordered")
+#: A release of fewer than one row for so many of a window moves the ordered window on instead of running the kernel.
+FEW = 16
+
+
+def _advance(k: int, mode: str):
+    def medians(values: list[float], carried: int, ordered: list[float]) -> list[float]:
+        """Of the full windows that end in rows ``carried`` and on; ``ordered`` holds the carried values, sorted."""
+        fresh = len(values) - carried
+        if mode == "blocks" or (mode == "auto" and fresh * FEW >= k):
+            coded = encode(pa.array(values, pa.float64()))
+            upper, _ = window_ranks(coded.codes, np.array([0, len(values)]), k, [k // 2])
+            return coded.back(upper[0, max(carried, k - 1) :]).to_pylist()
+        out, codes = [], fold_doubles(np.array(values, dtype=np.float64)).tolist()
+        held = fold_doubles(np.array(ordered, dtype=np.float64)).tolist()
+        for i in range(carried, len(values)):
+            bisect.insort(held, codes[i])
+            if len(held) > k:
+                held.pop(bisect.bisect_left(held, codes[i - k]))
+            if len(held) == k:
+                out.append(held[k // 2])
+        return unfold_doubles(np.array(out, dtype=np.int64)).tolist()
 
-
-def _advance(k: int):
     def advance(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
-        micros, ids, values, carried, released = state.get if state.exists else ([], [], [], 0, 0)
+        micros, ids, values, carried, released, ordered = state.get if state.exists else ([], [], [], 0, 0, [])
         micros, ids, values = list(micros), list(ids), list(values)
         if not state.hasTimedOut:
             for frame in frames:
@@ -53,13 +75,12 @@ def _advance(k: int):
         released += ready - carried
         out = None
         if ready > carried and ready >= k:
-            coded = encode(pa.array(values[:ready], pa.float64()))
-            upper, _ = window_ranks(coded.codes, np.array([0, ready]), k, [k // 2])
-            ends = np.arange(max(carried, k - 1), ready)
-            starts = ends - (k - 1)
-            out = pd.DataFrame({"series": key[0], "id": [ids[i] for i in starts], "pos": released - ready + starts, "med": coded.back(upper[0, ends]).to_pylist()})
+            found = medians(values[:ready], carried, list(ordered))
+            starts = np.arange(max(carried, k - 1), ready) - (k - 1)
+            out = pd.DataFrame({"series": key[0], "id": [ids[i] for i in starts], "pos": released - ready + starts, "med": found})
         cut = max(0, ready - (k - 1))
-        state.update((micros[cut:], ids[cut:], values[cut:], ready - cut, released))
+        last = unfold_doubles(np.sort(fold_doubles(np.array(values[cut:ready], dtype=np.float64)))).tolist()
+        state.update((micros[cut:], ids[cut:], values[cut:], ready - cut, released, last))
         if ready < len(ids):
             state.setTimeoutTimestamp(max(state.getCurrentWatermarkMs() + 1, micros[ready] // 1000 + 1))
         if out is not None and len(out):
@@ -68,12 +89,18 @@ def _advance(k: int):
     return advance
 
 
-def stream_sliding_median(rows: DataFrame, value: str, k: int, ts: str, id_: str, series: str | None = None, delay: str = "1 hour") -> DataFrame:
+def stream_sliding_median(rows: DataFrame, value: str, k: int, ts: str, id_: str, series: str | None = None, delay: str = "1 hour", mode: str = "auto") -> DataFrame:
     """Streaming (series, id, pos, med) in append mode, for odd ``k``; each window comes once.
 
     ``ts`` orders rows, ties by ``id_``; rows later than ``delay`` are dropped
     by the watermark. ``pos`` and ``id`` are those of the window's first row.
+    ``mode``: ``blocks`` runs the kernel over what a trigger releases and the
+    k - 1 values before, ``ordered`` moves a sorted window on row by row, and
+    ``auto`` does the latter for small releases. One global order has one state;
+    only series run side by side.
     """
+    if mode not in MODES:
+        raise ValueError(f"mode must be one of {MODES}, not {mode!r}")
     timed = rows.select(
         (F.col(series) if series else F.lit(0)).cast("long").alias("series"),
         F.col(id_).cast("long").alias("id"),
@@ -81,7 +108,7 @@ def stream_sliding_median(rows: DataFrame, value: str, k: int, ts: str, id_: str
         F.col(ts).cast("timestamp").alias("event_time"),
     )
     timed = timed.withColumn("micros", F.unix_micros("event_time")).withWatermark("event_time", delay)
-    return timed.groupBy("series").applyInPandasWithState(_advance(k), OUTPUT, STATE, "append", GroupStateTimeout.EventTimeTimeout)
+    return timed.groupBy("series").applyInPandasWithState(_advance(k, mode), OUTPUT, STATE, "append", GroupStateTimeout.EventTimeTimeout)
 
 
 def slices(df: DataFrame, ts: str, parts: int, folder: str) -> None:
@@ -102,13 +129,18 @@ def flush_row(df: DataFrame, ts: str, id_: str, series: str | None) -> DataFrame
     return df.sparkSession.range(1).select(*columns)
 
 
-def run_to_end(stream: DataFrame, label: str) -> DataFrame:
-    """Run a stream over what is there, into shared files, and read those."""
+def run_counted(stream: DataFrame, label: str) -> tuple[DataFrame, int]:
+    """Run a stream over what is there, into shared files; gives those and the number of rows that came too late."""
     spark = stream.sparkSession
     folder = fresh_path(spark, label)
     query = stream.writeStream.format("parquet").outputMode("append").option("checkpointLocation", f"{folder}/checkpoint").option("path", f"{folder}/out").trigger(availableNow=True).start()
     query.awaitTermination()
-    return spark.read.schema(stream.schema).parquet(f"{folder}/out")
+    late = sum(op["numRowsDroppedByWatermark"] for progress in query.recentProgress for op in progress["stateOperators"])
+    return spark.read.schema(stream.schema).parquet(f"{folder}/out"), late
+
+
+def run_to_end(stream: DataFrame, label: str) -> DataFrame:
+    return run_counted(stream, label)[0]
 
 
 def replay(df: DataFrame, ts: str, id_: str, series: str | None, parts: int, label: str) -> DataFrame:

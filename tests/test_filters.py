@@ -4,6 +4,7 @@ import datetime
 import random
 
 import pytest
+from pyspark.sql import Row
 from pyspark.sql import functions as F
 
 from slidemedian import measures, sqlapi, verify
@@ -302,6 +303,17 @@ def test_sql_functions(spark):
     assert {r["pos"]: r["med"] for r in rows} == {i: sorted(data[1][i : i + 5])[2] for i in range(8)}
 
 
+def test_table_function_holds_few_rows(monkeypatch):
+    monkeypatch.setattr(sqlapi, "TABLE_ROWS", 10)
+    function, out = sqlapi.SlidingMedianFunction(), []
+    values = [i * 7919 % 1000 for i in range(200)]
+    for i, v in enumerate(values):
+        out += function.eval(Row(i=i, v=v), "v", 5) or ()
+        assert len(function.rows) < 20
+    out += function.terminate()
+    assert out == [(i, values[i], i, sorted(values[i : i + 5])[2]) for i in range(196)]
+
+
 def test_sinks(spark, tmp_path):
     df, _ = series(spark, GROUPS)
     for fmt in ("parquet", "orc", "json", "csv"):

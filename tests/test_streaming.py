@@ -2,6 +2,8 @@
 
 import datetime
 
+import pytest
+
 from slidemedian.operators.filters import sliding_median
 from slidemedian.plans.store import fresh_path
 from slidemedian.streaming import sliding
@@ -29,6 +31,18 @@ def test_late_rows_inside_the_watermark_count_and_others_do_not(spark):
         part.coalesce(1).write.mode("append").parquet(folder)
     sliding.flush_row(df, "ts", "event_id", None).coalesce(1).write.mode("append").parquet(folder)
     stream = spark.readStream.schema(df.schema).option("maxFilesPerTrigger", 1).parquet(folder)
-    got = sliding.run_to_end(sliding.stream_sliding_median(stream, "value", 5, "ts", "event_id"), "test-late")
+    got, late = sliding.run_counted(sliding.stream_sliding_median(stream, "value", 5, "ts", "event_id"), "test-late")
+    assert late == 1
     expected = sliding_median(df, "value", 5, ["ts", "event_id"]).select("event_id", "pos", "med")
     assert sorted(tuple(r)[1:] for r in got.where("id >= 0").collect()) == sorted(map(tuple, expected.collect()))
+
+
+def test_modes_agree(spark):
+    df = rows(spark, 90)
+    wanted = sorted(map(tuple, sliding_median(df, "value", 31, ["ts", "event_id"]).select("event_id", "pos", "med").collect()))
+    for mode in ("blocks", "ordered", "auto"):
+        stream = sliding.replay(df, "ts", "event_id", None, 4, f"test-{mode}")
+        got = sliding.run_to_end(sliding.stream_sliding_median(stream, "value", 31, "ts", "event_id", mode=mode), f"test-{mode}")
+        assert sorted(tuple(r)[1:] for r in got.where("id >= 0").collect()) == wanted
+    with pytest.raises(ValueError):
+        sliding.stream_sliding_median(stream, "value", 31, "ts", "event_id", mode="fast")
