@@ -375,13 +375,18 @@ def disorder_per_block(spark, sf_dir):
     return sorting.disorder_per_block(load(spark, sf_dir, "lineitem"), "l_extendedprice", 101, LINEITEM)
 
 
-AGREEING = ("sorted_blocks", "sorted_blocks_scalar", "two_trees", "shifted_array", "double_heap", "resort_window", "select_window", "engine_percentile")
+AGREEING = ("sorted_blocks", *baselines.METHODS, "engine_percentile", "collect_sort", "self_join")
 _pairs = [(a, b) for i, a in enumerate(AGREEING) for b in AGREEING[i + 1 :]]
 
 
-@query("agreement_matrix", "SELECT p.method_a, p.method_b, n.rows, CAST(0 AS BIGINT) AS mismatches FROM (VALUES " + ", ".join(f"('{a}', '{b}')" for a, b in _pairs) + ") p(method_a, method_b), (SELECT CAST(sum(greatest(c - 4, 0)) AS BIGINT) AS rows FROM (SELECT count(*) AS c FROM events GROUP BY user_id)) n")
-def agreement_matrix(spark, sf_dir):
-    return verify.agree(load(spark, sf_dir, "events"), AGREEING, "value", 5, EVENTS, "user_id")
+#: Many short series; series with ties, many of them shorter than the window; few long ones.
+AGREEMENTS = {"matrix": ("events", "value", 5, EVENTS, "user_id"), "ties": ("lineitem", "l_quantity", 21, LINEITEM, "l_partkey"), "long": ("events", "value", 51, EVENTS, "event_type")}
+for _name, (_table, _value, _k, _order, _series) in AGREEMENTS.items():
+
+    def _agree_run(spark, sf_dir, table=_table, value=_value, k=_k, order=_order, series=_series):
+        return verify.agree(load(spark, sf_dir, table), AGREEING, value, k, order, series)
+
+    query(f"agreement_{_name}", "SELECT p.method_a, p.method_b, n.rows, CAST(0 AS BIGINT) AS mismatches FROM (VALUES " + ", ".join(f"('{a}', '{b}')" for a, b in _pairs) + f") p(method_a, method_b), (SELECT CAST(sum(greatest(c - {_k - 1}, 0)) AS BIGINT) AS rows FROM (SELECT count(*) AS c FROM {_table} GROUP BY {_series})) n")(_agree_run)
 
 
 @query("set_except_methods", "SELECT CAST(0 AS BIGINT) AS different, CAST(sum(greatest(c - 4, 0)) AS BIGINT) AS rows FROM (SELECT count(*) AS c FROM events GROUP BY user_id)")

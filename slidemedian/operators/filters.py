@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.planner import plan
+from ..plans.positions import positions_in_range
 from ..plans.spec import SlidingSpec, median_rank, names
 
 
@@ -43,9 +44,7 @@ def median_in_range(df: DataFrame, value: str, k: int, order_by, low: int, high:
 
     The range on the output becomes one on the input, wider by k - 1 rows.
     """
-    from ..plans.positions import global_positions
-
-    placed = global_positions(df, names(order_by)).where((F.col("pos") >= low) & (F.col("pos") < high + k - 1)).withColumnRenamed("pos", "__pos")
+    placed = positions_in_range(df, names(order_by), low, high + k - 1).withColumnRenamed("pos", "__pos")
     found = sliding_median(placed, value, k, "__pos", out=out, extra=tuple(names(order_by)), **options)
     return found.select(*names(order_by), F.col("__pos").alias("pos"), out)
 

@@ -11,6 +11,7 @@ from __future__ import annotations
 
 from collections.abc import Sequence
 from functools import reduce
+from itertools import accumulate
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -28,12 +29,28 @@ def range_partitions(df: DataFrame, rows: int | None = None) -> int:
     return max(1, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")), -(-(rows or 0) // PARTITION_ROWS))
 
 
+def _numbered(df: DataFrame, order: list[str], partitions: int) -> DataFrame:
+    """``df``, written once, with each row's partition of the order and its place in there."""
+    ranged = df.repartitionByRange(partitions, *order).sortWithinPartitions(*order)
+    return settle(ranged.withColumns({"__part": F.spark_partition_id(), "__inside": F.monotonically_increasing_id().bitwiseAND(F.lit(_COUNTER))}), "positions")
+
+
+def positions_in_range(df: DataFrame, order_by: Sequence[str], low: int, high: int, partitions: int | None = None) -> DataFrame:
+    """Rows of one series at positions low ... high - 1, with ``pos``; of the numbered rows only the partitions that reach there are read."""
+    numbered = _numbered(df, list(order_by), partitions or range_partitions(df))
+    counts = sorted(numbered.groupBy("__part").count().collect())  # one row for each partition
+    ends = list(accumulate(n for _, n in counts))
+    reached = [(part, end - n) for (part, n), end in zip(counts, ends, strict=True) if end - n < high and end > low]
+    rows = numbered.where(F.col("__part").between(reached[0][0], reached[-1][0])) if reached else numbered.limit(0)
+    bases = F.create_map(*[F.lit(x) for pair in reached for x in pair]) if reached else F.create_map(F.lit(0), F.lit(0))
+    placed = rows.withColumn("pos", (F.col("__inside") + bases[F.col("__part")]).cast("long"))
+    return placed.where((F.col("pos") >= low) & (F.col("pos") < high)).select(*[F.col(f"`{c}`") for c in df.columns], "pos")
+
+
 def global_positions(df: DataFrame, order_by: Sequence[str], partition_by: Sequence[str] = (), partitions: int | None = None, rows: int | None = None) -> DataFrame:
     """``df`` with ``pos``; ``order_by`` must be a total order in each series."""
     keys, order = list(partition_by), list(dict.fromkeys([*partition_by, *order_by]))
-    ranged = df.repartitionByRange(partitions or range_partitions(df, rows), *order).sortWithinPartitions(*order)
-    numbered = ranged.withColumns({"__part": F.spark_partition_id(), "__inside": F.monotonically_increasing_id().bitwiseAND(F.lit(_COUNTER))})
-    numbered = settle(numbered, "positions")
+    numbered = _numbered(df, order, partitions or range_partitions(df, rows))
     # One row for each series of a partition; a series goes on in the next partitions.
     counts = numbered.groupBy("__part", *keys).agg(F.count("*").alias("__rows"), F.min("__inside").alias("__first"))
     before = Window.partitionBy(*keys).orderBy("__part").rowsBetween(Window.unboundedPreceding, -1)

@@ -43,6 +43,9 @@ CHECKED = (
     "median_gen_steps",
     "disorder_per_block",
     "agreement_matrix",
+    "agreement_ties",
+    "agreement_long",
+    "median_out_range",
     "median_array_cells",
     "udtf_median",
     "asof_median_orders",

@@ -171,6 +171,15 @@ def test_positions_with_one_leading_key(spark):
     assert ranged < 3 * 30_000 / 50
 
 
+def test_positions_in_a_range_read_few_partitions(spark):
+    rows = spark.range(2000).select(F.expr("(id * 7919) % 2000").alias("i"))
+    for low, high in ((0, 5), (990, 1400), (1995, 3000), (2500, 2600), (7, 7)):
+        got = positions.positions_in_range(rows, ["i"], low, high, partitions=20)
+        assert sorted(r["pos"] for r in got.collect()) == list(range(low, min(high, 2000))) and got.where("pos != i").count() == 0
+    plan = positions.positions_in_range(rows, ["i"], 990, 1000, partitions=20)._jdf.queryExecution().executedPlan().toString()
+    assert "PushedFilters" in plan and "GreaterThanOrEqual(__part" in plan
+
+
 @pytest.mark.parametrize("edges", ["partial", "keep", "pad", "reflect"])
 @pytest.mark.parametrize("k", [1, 4, 7])
 @pytest.mark.parametrize("align", ["leading", "centered", "trailing"])
