@@ -19,20 +19,20 @@ def shared_root(spark: SparkSession) -> str:
 
 
 def fresh_path(spark: SparkSession, label: str) -> str:
-    """A folder for files of this session."""
+    """A new path in a folder of its own, for files of this session."""
     path = f"{shared_root(spark)}/slidemedian-{label}-{uuid.uuid4().hex}"
     folder = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
     files = folder.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration())
     # Only folders that exist can be marked.
     files.mkdirs(folder)
     files.deleteOnExit(folder)
-    return path
+    return f"{path}/data"
 
 
 def settle(df: DataFrame, label: str) -> DataFrame:
     """Write ``df`` once and read it back: a cut in the lineage."""
     path = fresh_path(df.sparkSession, label)
-    df.write.mode("overwrite").parquet(path)
+    df.write.parquet(path)
     return df.sparkSession.read.schema(df.schema).parquet(path)
 
 
