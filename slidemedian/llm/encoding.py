@@ -30,8 +30,8 @@ _UNSAFE = rf" [{_SPACES}]|[{_SPACES}] | \z"
 
 #: Chunks that a worker remembers at most, and the longest one that it remembers, in bytes (some 50 bytes each: 25 MB).
 MEMO_CHUNKS, MEMO_LENGTH = 500_000, 64
-#: Bytes of text that are encoded in one go, unless one text has more.
-SLICE_BYTES = 12 << 20
+#: Bytes of text that are encoded in one go, unless one text has more, and that are taken to words by other operators; arrays take up to twenty times as much.
+ENCODED_BYTES, SLICE_BYTES = 8 << 20, 3 << 20
 #: New chunks that the library sees as one text.
 CHUNKS_A_CALL = 256
 
@@ -49,18 +49,14 @@ def gathered(ids: np.ndarray, sizes: np.ndarray, wanted: np.ndarray) -> Encoded:
     return ids[place], length
 
 
-class ChunkMemo:
-    """Chunks and their ids, in arrays.
+class WordMemo:
+    """Different strings, and what a subclass holds for each, in arrays.
 
     When it is full, the half that came up most often stays.
     """
 
     def __init__(self, limit: int):
-        self.limit = limit
-        self._hold(pa.array([], pa.string()), np.zeros(0, dtype="<u4"), np.zeros(0, dtype=np.int64), np.zeros(0, dtype=np.int64))
-
-    def _hold(self, words: pa.Array, ids: np.ndarray, sizes: np.ndarray, hits: np.ndarray) -> None:
-        self.words, self.ids, self.sizes, self.hits = words, ids, sizes, hits
+        self.limit, self.words, self.hits = limit, pa.array([], pa.string()), np.zeros(0, dtype=np.int64)
 
     def find(self, words: pa.Array) -> np.ndarray:
         """The place of each word, -1 where it is not held."""
@@ -70,22 +66,42 @@ class ChunkMemo:
         self.hits[found[found >= 0]] += 1
         return found
 
-    def add(self, words: pa.Array, ids: np.ndarray, sizes: np.ndarray) -> None:
+    def admit(self, words: pa.Array) -> np.ndarray:
+        """Hold the short ones of new words, and make room for them; gives which ones they are."""
         short = np.flatnonzero(pc.binary_length(words).to_numpy(zero_copy_only=False) <= MEMO_LENGTH)[: self.limit // 2]
-        if len(short) < len(words):
-            words, (ids, sizes) = words.take(pa.array(short)), gathered(ids, sizes, short)
-        if len(self.words) + len(words) > self.limit:
+        if len(self.words) + len(short) > self.limit:
             often = np.sort(np.argsort(-self.hits, kind="stable")[: self.limit // 2])
-            self._hold(self.words.take(pa.array(often)), *gathered(self.ids, self.sizes, often), self.hits[often] // 2)
-        self._hold(pa.concat_arrays([self.words, words]), np.concatenate([self.ids, ids]), np.concatenate([self.sizes, sizes]), np.concatenate([self.hits, np.zeros(len(words), dtype=np.int64)]))
+            self.words, self.hits = self.words.take(pa.array(often)), self.hits[often] // 2
+            self.keep(often)
+        self.words = pa.concat_arrays([self.words, words.take(pa.array(short))])
+        self.hits = np.concatenate([self.hits, np.zeros(len(short), dtype=np.int64)])
+        return short
+
+    def keep(self, places: np.ndarray) -> None:
+        raise NotImplementedError
+
+
+class ChunkMemo(WordMemo):
+    """Chunks and their ids."""
+
+    def __init__(self, limit: int):
+        super().__init__(limit)
+        self.ids, self.sizes = np.zeros(0, dtype="<u4"), np.zeros(0, dtype=np.int64)
+
+    def keep(self, places: np.ndarray) -> None:
+        self.ids, self.sizes = gathered(self.ids, self.sizes, places)
+
+    def add(self, words: pa.Array, ids: np.ndarray, sizes: np.ndarray) -> None:
+        ids, sizes = gathered(ids, sizes, self.admit(words))
+        self.ids, self.sizes = np.concatenate([self.ids, ids]), np.concatenate([self.sizes, sizes])
 
 
-def slices(texts: pa.Array) -> Iterator[pa.Array]:
-    """Consecutive parts of about ``SLICE_BYTES``."""
+def slices(texts: pa.Array, size: int = SLICE_BYTES) -> Iterator[pa.Array]:
+    """Consecutive parts of about ``size`` bytes."""
     ends = np.cumsum(pc.fill_null(pc.binary_length(texts), 0).to_numpy(zero_copy_only=False).astype(np.int64))
     low = 0
     while low < len(texts):
-        high = max(low + 1, int(np.searchsorted(ends, (ends[low - 1] if low else 0) + SLICE_BYTES, side="right")))
+        high = max(low + 1, int(np.searchsorted(ends, (ends[low - 1] if low else 0) + size, side="right")))
         yield texts.slice(low, high - low)
         low = high
 
@@ -148,7 +164,7 @@ class ChunkEncoder:
 
     def encode_slices(self, texts: pa.Array) -> Iterator[Encoded]:
         """(ids, number of ids of each text) of consecutive parts of ``texts``; a null text counts as empty."""
-        for part in slices(texts):
+        for part in slices(texts, ENCODED_BYTES):
             yield self._slice(pc.fill_null(part, ""))
 
     def encode(self, text: str) -> bytes:

@@ -1,18 +1,21 @@
 """Quality by importance resampling.
 
-Words and word pairs are hashed into buckets. The raw model is the share of
-each bucket in all documents. The target model reweights it: labelled
-documents tell how much likelier than on average a bucket belongs to text of
-good quality, so text that no label has touched is judged neither way. A
-document's log-weight is the sum of log-ratios of the two over its n-grams,
-and documents are drawn without replacement in proportion to their weights:
-the k largest of log-weight plus Gumbel noise stay.
+Tokens (runs of letters and digits, and runs of other characters) and pairs of
+neighbouring tokens are hashed into buckets. Two generative models give each
+bucket a probability: the raw model by its share in all documents, the target
+model by its counts in documents that labels call good. The target model has
+the raw one as its prior: a bucket that should have come up ``E`` times in the
+target text, and came up ``c`` times, is ``(c + s) / (E + s)`` times as likely
+as in raw text, so buckets that the target text is too small to show are judged
+neither way. A document's log-weight is the sum of log-ratios of the two models
+over its n-grams, and documents are drawn without replacement in proportion to
+their weights: the k largest of log-weight plus Gumbel noise stay.
 
 k is the number of documents whose log-weight reaches a cut-off, the
 ``SPARED`` quantile of labelled good documents that the model has not seen, but
 never more than 0: text without evidence against it is not rejected.
 
-Defined cases: a text that is null or has no word has log-weight 0; rows that
+Defined cases: a text that is null or has no token has log-weight 0; rows that
 tie at the k-th key all stay; labels that are null or of no document are not
 used; without labels all weights are 0 and everything stays; repeated rows are
 drawn alike; an empty table gives no rows; other columns are untouched.
@@ -20,93 +23,96 @@ drawn alike; an empty table gives no rows; other columns are untouched.
 
 from __future__ import annotations
 
-import xxhash
+import re
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import bucket_of, settle
+from .encoding import gathered, slices
+from .shared import bucket_of, settle, stateless_worker
 
-#: Hash buckets; bound of the labelled sample; strength of the average against a bucket's own labels.
-BUCKETS, SAMPLE_TEXTS, STRENGTH = 1 << 16, 30_000, 2.0
+#: Hash buckets; bound of the labelled sample; strength ``s`` of the prior, in expected counts.
+BUCKETS, SAMPLE_TEXTS, STRENGTH = 1 << 16, 30_000, 50.0
 #: Share of good documents that the cut-off may cost.
 SPARED = 0.001
-#: Words that a worker remembers before it starts anew.
-MEMO_WORDS = 400_000
 #: Bins of each pass of the search for the k-th key; passes.
 BINS, PASSES = 4096, 4
 
-_words: dict[str, int] = {}
-
-
-def gram_buckets(text: str | None) -> np.ndarray:
-    """Bucket of every word and of every two neighbouring words."""
-    words = text.lower().split() if text else []
-    if not words:
-        return np.zeros(0, dtype=np.int64)
-    missing = [w for w in words if w not in _words]
-    if missing:
-        if len(_words) + len(missing) > MEMO_WORDS:
-            _words.clear()
-            missing = words
-        for word in missing:
-            _words[word] = xxhash.xxh64_intdigest(word.encode("utf-8", "surrogatepass"))
-    single = np.array([_words[w] for w in words], dtype=np.uint64)
-    with np.errstate(over="ignore"):
-        double = (single[:-1] * np.uint64(0x9E3779B97F4A7C15) + single[1:]) * np.uint64(0xC2B2AE3D27D4EB4F)
-    return (np.concatenate([single, double]) >> np.uint64(48)).astype(np.int64) % BUCKETS
+_TOKENS = re.compile(r"[^\W_]+|(?:[^\w\s]|_)+").findall
+
+
+def gram_buckets(texts: pa.Array) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """For parts of ``texts``: the buckets of all tokens and all pairs of neighbours, and the place of each one's text in the part."""
+    for part in slices(texts):
+        lists = pc.utf8_split_whitespace(pc.utf8_lower(pc.fill_null(part, "")))
+        words = lists.flatten().dictionary_encode()
+        tokens = [_TOKENS(w) for w in words.dictionary.to_pylist()]
+        sizes = np.fromiter(map(len, tokens), dtype=np.int64, count=len(tokens))
+        pool = np.fromiter((xxhash.xxh64_intdigest(t.encode("utf-8", "surrogatepass")) for own in tokens for t in own), dtype=np.uint64, count=int(sizes.sum()))
+        single, length = gathered(pool, sizes, np.asarray(words.indices))
+        owner = np.repeat(np.repeat(np.arange(len(part)), pc.list_value_length(lists).to_numpy(zero_copy_only=False)), length)
+        together = owner[1:] == owner[:-1]
+        with np.errstate(over="ignore"):
+            double = ((single[:-1] * np.uint64(0x9E3779B97F4A7C15) + single[1:]) * np.uint64(0xC2B2AE3D27D4EB4F))[together]
+        yield (np.concatenate([single, double]) >> np.uint64(48)).astype(np.int64) % BUCKETS, np.concatenate([owner, owner[1:][together]])
+
+
+def target_ratios(raw: np.ndarray, target: np.ndarray, strength: float = STRENGTH) -> np.ndarray:
+    """Log-ratio of the target and the raw model for each bucket, from counts."""
+    if not target.sum():
+        return np.zeros(len(raw))
+    share = raw / raw.sum()
+    likelier = (target + strength) / (share * target.sum() + strength)
+    # The target model's probabilities add up to 1.
+    return np.log(likelier) - np.log((share * likelier).sum())
 
 
 def labelled_ids(labels: DataFrame) -> tuple[np.ndarray, np.ndarray]:
     """Sorted ids and their quality, at most about ``SAMPLE_TEXTS``, drawn by a hash of the id."""
     usable = labels.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("quality").cast("int").alias("quality")).where(F.col("doc_id").isNotNull() & F.col("quality").isin(0, 1))
     share = min(1.0, SAMPLE_TEXTS / max(1, usable.count()))
-    drawn = usable.where(F.pmod(F.xxhash64(F.lit("quality sample"), "doc_id"), F.lit(1_000_000)) < int(share * 1_000_000)).limit(2 * SAMPLE_TEXTS)
+    draw = F.pmod(F.xxhash64(F.lit("quality sample"), "doc_id"), F.lit(1_000_000))
+    drawn = usable.where(draw < int(share * 1_000_000)).distinct().orderBy(draw, "doc_id", "quality").limit(2 * SAMPLE_TEXTS)
     rows = sorted({(r["doc_id"], r["quality"]) for r in drawn.collect()})
     return np.array([r[0] for r in rows], dtype=np.int64), np.array([r[1] for r in rows], dtype=np.int64)
 
 
-def _label_of(ids: np.ndarray, quality: np.ndarray, doc_ids: list[int | None]) -> list[int]:
-    """Label of each document, -1 where there is none."""
-    wanted = np.array([-1 if i is None else i for i in doc_ids], dtype=np.int64)
-    place = np.minimum(np.searchsorted(ids, wanted), max(0, len(ids) - 1))
+def _is_good(ids: np.ndarray, doc_ids: pa.Array) -> np.ndarray:
+    """Which documents are among ``ids``, sorted."""
     if not len(ids):
-        return [-1] * len(wanted)
-    return np.where((ids[place] == wanted) & np.array([i is not None for i in doc_ids], dtype=bool), quality[place], -1).tolist()
+        return np.zeros(len(doc_ids), dtype=bool)
+    wanted = pc.fill_null(doc_ids, 0).to_numpy()
+    place = np.minimum(np.searchsorted(ids, wanted), len(ids) - 1)
+    return (ids[place] == wanted) & np.asarray(pc.is_valid(doc_ids))
 
 
-def log_ratios(docs: DataFrame, ids: np.ndarray, quality: np.ndarray, folds: int, held_out: int) -> np.ndarray:
-    """Log-ratio of target and raw model for each bucket; counts cover all documents."""
-    shared = docs.sparkSession.sparkContext.broadcast((ids, quality))
+def log_ratios(docs: DataFrame, good: np.ndarray, folds: int, held_out: int) -> np.ndarray:
+    """Log-ratio of target and raw model for each bucket; raw counts cover all documents, target counts those of ``good`` outside the held-out fold."""
+    shared = docs.sparkSession.sparkContext.broadcast(good)
 
     def count(batches):
-        own_ids, own_quality = shared.value
-        raw, seen, good = (np.zeros(BUCKETS, dtype=np.int64) for _ in range(3))
+        stateless_worker("quality")
+        raw, target = (np.zeros(BUCKETS, dtype=np.int64) for _ in range(2))
         for batch in batches:
-            marks = _label_of(own_ids, own_quality, batch.column(0).to_pylist())
-            learn = batch.column(1).to_pylist()
-            for text, mark, use in zip(batch.column(2), marks, learn, strict=True):
-                grams = gram_buckets(text.as_py())
-                np.add.at(raw, grams, 1)
-                if mark >= 0 and use:
-                    np.add.at(seen, grams, 1)
-                    if mark:
-                        np.add.at(good, grams, 1)
+            learn, low = _is_good(shared.value, batch.column(0)) & batch.column(1).to_numpy(zero_copy_only=False), 0
+            for part, (grams, owner) in zip(slices(batch.column(2)), gram_buckets(batch.column(2)), strict=True):
+                raw += np.bincount(grams, minlength=BUCKETS)
+                target += np.bincount(grams[learn[low + owner]], minlength=BUCKETS)
+                low += len(part)
         used = np.flatnonzero(raw)
-        yield pa.RecordBatch.from_arrays([pa.array(x) for x in (used, raw[used], seen[used], good[used])], names=["bucket", "raw", "seen", "good"])
+        yield pa.RecordBatch.from_arrays([pa.array(x) for x in (used, raw[used], target[used])], names=["bucket", "raw", "target"])
 
     fold = F.coalesce(bucket_of("doc_id", folds) != held_out, F.lit(False))
-    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), fold.alias("learn"), "text").mapInArrow(count, "bucket long, raw long, seen long, good long")
-    raw, seen, good = (np.zeros(BUCKETS) for _ in range(3))
-    for r in rows.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("seen").alias("seen"), F.sum("good").alias("good")).collect():
-        raw[r["bucket"]], seen[r["bucket"]], good[r["bucket"]] = r["raw"], r["seen"], r["good"]
-    if not good.sum():
-        return np.zeros(BUCKETS)
-    average = good.sum() / seen.sum()
-    lift = (good + STRENGTH * average) / (seen + STRENGTH) / average
-    share = raw / raw.sum()
-    return np.log(lift) - np.log((share * lift).sum())
+    rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), fold.alias("learn"), "text").mapInArrow(count, "bucket long, raw long, target long")
+    raw, target = (np.zeros(BUCKETS) for _ in range(2))
+    for r in rows.groupBy("bucket").agg(F.sum("raw").alias("raw"), F.sum("target").alias("target")).collect():
+        raw[r["bucket"]], target[r["bucket"]] = r["raw"], r["target"]
+    return target_ratios(raw, target)
 
 
 def with_log_weight(docs: DataFrame, ratios: np.ndarray, name: str) -> DataFrame:
@@ -114,9 +120,12 @@ def with_log_weight(docs: DataFrame, ratios: np.ndarray, name: str) -> DataFrame
     shared, at = docs.sparkSession.sparkContext.broadcast(ratios), docs.columns.index("text")
 
     def weigh(batches):
-        table = shared.value
+        stateless_worker("quality")
         for batch in batches:
-            weights = [float(table[gram_buckets(text.as_py())].sum()) for text in batch.column(at)]
+            weights, low = np.zeros(batch.num_rows), 0
+            for part, (grams, owner) in zip(slices(batch.column(at)), gram_buckets(batch.column(at)), strict=True):
+                weights[low : low + len(part)] = np.bincount(owner, shared.value[grams], len(part))
+                low += len(part)
             yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(weights, pa.float64())], names=[*batch.schema.names, name])
 
     return docs.mapInArrow(weigh, docs.select("*", F.lit(0.0).alias(name)).schema)
@@ -159,7 +168,7 @@ def drawn(docs: DataFrame, labels: DataFrame, columns: list[str], folds: int = 3
     their two numbers.
     """
     ids, quality = labelled_ids(labels)
-    ratios = log_ratios(docs, ids, quality, folds, held_out)
+    ratios = log_ratios(docs, ids[quality == 1], folds, held_out)
     scored = settle(with_log_weight(docs, ratios, "__log_weight").select(*[F.col(f"`{c}`") for c in columns], "__log_weight"), "quality")
     keyed = scored.withColumn("__key", F.col("__log_weight") + gumbel())
     fold = bucket_of("doc_id", folds) == held_out
