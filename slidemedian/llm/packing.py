@@ -8,12 +8,12 @@ the next window. So every window but a shard's last is full, and the last is
 cut into pieces whose lengths are powers of two, which need no padding.
 
 Dealing: weighted terms of a document are projected to ``AXES`` numbers; a tree
-of splits, grown on a sample, gives its leaf; shards are ranges of
-leaves in tree order. Documents of a leaf beyond a shard spill into the next.
+of splits, grown on a sample, gives its leaf; shards are ranges of leaves in
+tree order, and a leaf with more documents than a shard spreads over several.
 A seed asks its own shard only, so neighbours across a border are missed.
 
-A shard is a partition of the exchange or a part of one: a task packs what it
-has buffered whenever that reaches ``SHARD_TOKENS``, so its memory is bounded.
+A task packs what it has buffered at the end of a shard, and whenever that
+reaches ``SHARD_TOKENS``, so its memory is bounded.
 
 Defined cases: a null text counts as empty and has the end id alone; repeated
 rows are separate documents; an empty table gives no pieces; a document that
@@ -27,6 +27,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -274,11 +275,33 @@ def table_statistics(encoded: DataFrame) -> Statistics:
     return Statistics(documents, length / max(documents, 1), df)
 
 
-def grow_tree(encoded: DataFrame, whole: Statistics, kind: str) -> SplitTree:
-    """The tree that deals the documents, from the projections of a sample of bounded size."""
-    shards = -(-whole.documents // SHARD_DOCS)
-    if shards <= 1:
-        return SplitTree(np.zeros((0, AXES), dtype=np.float32), 1)
+class Dealer:
+    """The shard of each document: leaves in tree order share the shards out by their shares of the sample.
+
+    A leaf that is larger than a shard spreads over several by the hash of
+    ``doc_id``, so no shard is much larger than another, whatever recurs.
+    """
+
+    def __init__(self, whole: Statistics, sample: np.ndarray, shards: int):
+        self.projector, self.shards = Projector(whole), shards
+        self.tree = SplitTree(sample, LEAVES_EACH * shards)
+        self.leaves, counts = np.unique(self.tree.leaves(sample), return_counts=True)
+        self.ends = np.concatenate([[0], np.cumsum(counts)]) * (shards / max(1, len(sample)))
+
+    def __call__(self, doc_ids: np.ndarray, documents: list[np.ndarray]) -> np.ndarray:
+        leaf = self.tree.leaves(self.projector.all(documents))
+        place = np.searchsorted(self.leaves, leaf)
+        seen = np.minimum(place, len(self.leaves) - 1)
+        width = np.where(self.leaves[seen] == leaf, self.ends[seen + 1] - self.ends[seen], 0.0)
+        with np.errstate(over="ignore"):
+            mixed = (doc_ids.astype(np.uint64) ^ np.uint64(0x9E3779B97F4A7C15)) * np.uint64(0xBF58476D1CE4E5B9)
+            mixed = (mixed ^ (mixed >> np.uint64(29))) * np.uint64(0x94D049BB133111EB)
+        inside = (mixed >> np.uint64(11)).astype(np.float64) / (1 << 53)
+        return np.minimum((self.ends[place] + width * inside).astype(np.int64), self.shards - 1)
+
+
+def sampled_rows(encoded: DataFrame, whole: Statistics, kind: str) -> np.ndarray:
+    """Projections of a sample of bounded size."""
 
     def project(batches):
         own = Projector(whole)
@@ -288,24 +311,23 @@ def grow_tree(encoded: DataFrame, whole: Statistics, kind: str) -> SplitTree:
 
     chosen = encoded.select("ids").sample(min(1.0, TREE_SAMPLE / whole.documents), seed=1)
     rows = [bytes(r["row"]) for r in chosen.mapInArrow(project, "row binary").collect()]
-    return SplitTree(np.frombuffer(b"".join(rows), dtype=np.float32).reshape(-1, AXES), LEAVES_EACH * shards)
+    return np.frombuffer(b"".join(rows), dtype=np.float32).reshape(-1, AXES)
 
 
 def deal(encoded: DataFrame, whole: Statistics, kind: str) -> DataFrame:
-    """(doc_id, ids) in one partition for each shard."""
+    """(shard, doc_id, ids); the rows of a shard lie next to each other in one partition."""
     shards = max(1, -(-whole.documents // SHARD_DOCS))
     if shards == 1:
-        return encoded.repartition(1).sortWithinPartitions("doc_id", "ids")
-    shared = encoded.sparkSession.sparkContext.broadcast((grow_tree(encoded, whole, kind), whole))
+        return encoded.select(F.lit(0).cast("long").alias("shard"), "doc_id", "ids").repartition(1).sortWithinPartitions("doc_id", "ids")
+    shared = encoded.sparkSession.sparkContext.broadcast((whole, sampled_rows(encoded, whole, kind)))
 
-    def leaves(batches):
-        tree, own = shared.value[0], Projector(shared.value[1])
+    def place(batches):
+        dealer = Dealer(*shared.value, shards)
         for batch in batches:
-            found = tree.leaves(own.all([d[:-1] for d in documents_of(batch.column(1), kind)]))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(found, pa.int64())], names=["doc_id", "ids", "leaf"])
+            found = dealer(pc.fill_null(batch.column(0), 0).to_numpy(), [d[:-1] for d in documents_of(batch.column(1), kind)])
+            yield pa.RecordBatch.from_arrays([pa.array(found), batch.column(0), batch.column(1)], names=["shard", "doc_id", "ids"])
 
-    dealt = encoded.mapInArrow(leaves, "doc_id long, ids binary, leaf long").repartitionByRange(shards, "leaf", "doc_id")
-    return dealt.sortWithinPartitions("doc_id", "ids").select("doc_id", "ids")
+    return encoded.mapInArrow(place, "shard long, doc_id long, ids binary").repartition(shards, "shard").sortWithinPartitions("shard", "doc_id", "ids")
 
 
 def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_id: int = 0, with_ids: bool = False, added: bool = False) -> DataFrame:
@@ -343,16 +365,17 @@ def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_i
 
     def pack(batches):
         following = TaskContext.get().partitionId() << 36
-        ids, texts, tokens = [], [], 0
+        ids, texts, tokens, at = [], [], 0, None
         for batch in batches:
-            for doc_id, text in zip(batch.column(0).to_pylist(), documents_of(batch.column(1), kind), strict=True):
-                ids.append(doc_id)
-                texts.append(text)
-                tokens += len(text)
-                if tokens >= SHARD_TOKENS:
+            for shard, doc_id, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), documents_of(batch.column(2), kind), strict=True):
+                if texts and (shard != at or tokens >= SHARD_TOKENS):
                     rows, following = packed(ids, texts, following)
                     yield rows
                     ids, texts, tokens = [], [], 0
+                at = shard
+                ids.append(doc_id)
+                texts.append(text)
+                tokens += len(text)
         if ids:
             yield packed(ids, texts, following)[0]
 

@@ -5,13 +5,16 @@ from __future__ import annotations
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from .bpe_transducer import round_trip_digests
+from .embedding_dedup import SQL as EMBEDDING_DEDUP_SQL
 from .embedding_dedup import near_duplicate_vectors
 from .encoding import public_path
 from .exact_dedup import SQL as EXACT_DEDUP_SQL
 from .exact_dedup import exact_duplicates
 from .language_id import predict
+from .near_dedup import SQL as NEAR_DEDUP_SQL
 from .near_dedup import near_duplicates
 from .packing import pack_documents
 from .quality import resample
@@ -19,6 +22,7 @@ from .shared import load
 from .token_files import token_file_report
 from .toxicity import score_documents
 from .url_filter import judge_urls
+from .url_filter import sql as url_sql
 
 
 def op1_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -50,7 +54,8 @@ def op7_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_url_filter(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return judge_urls(load(spark, sf_dir, "pages"))
+    # Flows are rounded to what no order of summation changes.
+    return judge_urls(load(spark, sf_dir, "pages")).withColumns({c: F.round(c, 9) for c in ("trust", "distrust")})
 
 
 def op9_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -75,5 +80,8 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
 }
 
 ORACLE_SQL: dict[str, str] = {
+    "op1_near_dedup": NEAR_DEDUP_SQL,
+    "op5_embedding_dedup": EMBEDDING_DEDUP_SQL,
+    "op8_url_filter": url_sql(),
     "op6_exact_dedup": EXACT_DEDUP_SQL,
 }

@@ -124,16 +124,21 @@ def propagate(edges: DataFrame, seeds: DataFrame, steps: int | None = None, damp
         ).alias("w")
     ).select("w.*")
     ways = settle(ways.groupBy("flow", "host", "to").agg(F.sum("weight").alias("weight")), "url-ways")
-    out_weight = ways.groupBy("flow", "host").agg(F.sum("weight").alias("all_ways"))
-    shares = settle(ways.join(out_weight, ["flow", "host"]).select("flow", "host", "to", (F.col("weight") / F.col("all_ways")).alias("share")), "url-shares")
+    # A host with very many ways is looked up from a broadcast, here and in each step.
+    degrees = settle(ways.groupBy("flow", "host").agg(F.sum("weight").alias("all_ways"), F.count("*").alias("n")), "url-degrees")
+    total = ways.count()
+    known = look_up(ways, degrees, ["flow", "host"], "n", "of", total)
+    shares = settle(known.select("flow", "host", "to", (F.col("weight") / F.col("of.all_ways")).alias("share")), "url-shares")
     long = seeds.select(F.explode(F.array(*[F.struct(F.lit(f).alias("flow"), "host", F.col(f).cast("double").alias("mass")) for f in ("trust", "distrust")])).alias("s")).select("s.*").where("mass > 0")
     totals = long.groupBy("flow").agg(F.sum("mass").alias("total"))
     start = settle(long.join(F.broadcast(totals), "flow").select("flow", "host", (F.col("mass") / F.col("total")).alias("mass")), "url-seeds")
-    if shares.count() + start.count() <= DRIVER_WAYS:
+    if total + start.count() <= DRIVER_WAYS:
         return settle(_driver_flows(shares, start, limit, TOLERANCE if steps is None else 0.0, damping), "url-flows")
     mass, done = start, []
     for step in range(1, limit + 1):
-        moved = mass.join(shares, ["flow", "host"]).select("flow", F.col("to").alias("host"), (F.col("mass") * F.col("share") * damping).alias("mass"))
+        held = mass.join(degrees.select("flow", "host", "n"), ["flow", "host"])
+        passed = look_up(shares, held, ["flow", "host"], "n", "held", total).where("held IS NOT NULL")
+        moved = passed.select("flow", F.col("to").alias("host"), (F.col("held.mass") * F.col("share") * damping).alias("mass"))
         arrived = moved.groupBy("flow", "host").agg(F.sum("mass").alias("mass"))
         arrived = settle(arrived, "url-step")
         done.append(arrived)
@@ -163,3 +168,32 @@ def judge_urls(pages: DataFrame, rules: tuple[Rule, ...] = RULES, steps: int | N
     found = look_up(ruled.drop("html"), known, ["host"], "pages", "flow")
     method = F.when(F.col("flow.distrust") > F.col("flow.trust"), "block").otherwise("allow")
     return found.select("page_id", "host", "path", F.col("ruled.rule").alias("rule"), F.coalesce("ruled.ruling", method).alias("verdict"), F.col("flow.trust").alias("trust"), F.col("flow.distrust").alias("distrust"))
+
+
+def sql(rules: tuple[Rule, ...] = RULES, digits: int = 9) -> str:
+    """The rows of ``judge_urls`` with flows rounded; as many steps as damping can need."""
+    fits = {r: f"((host = '{r.host}' OR ends_with(host, '.{r.host}')) AND starts_with(path, '{r.path}'))" for r in sorted(rules, key=lambda r: -len(r.name))}
+    pick = lambda of: "CASE " + " ".join(f"WHEN {fit} THEN '{of(r)}'" for r, fit in fits.items()) + " END"
+    steps = math.ceil(math.log(TOLERANCE / 2, DAMPING))
+    link = LINK.replace("'", "''")
+    return f"""
+WITH RECURSIVE located AS (SELECT page_id, html, translate(coalesce(regexp_extract(url, '(?s)^.*?://([^/?#]*)', 1), ''), '{UPPER}', '{LOWER}') AS host, coalesce(regexp_extract(url, '(?s)^.*?://[^/?#]*([^?#]*)', 1), '') AS path FROM pages),
+ruled AS (SELECT page_id, html, host, path, {pick(lambda r: r.name)} AS rule, {pick(lambda r: r.verdict)} AS ruling FROM located),
+hosts AS (SELECT host, count(*) FILTER (ruling = 'allow') AS trust, count(*) FILTER (ruling = 'block') AS distrust FROM ruled GROUP BY host),
+above AS (SELECT host, regexp_extract(host, '^[^.]+\\.(.+\\..+)$', 1) AS parent FROM hosts),
+found AS (SELECT host AS source, translate(unnest(regexp_extract_all(html, '{link}', 1)), '{UPPER}', '{LOWER}') AS target FROM located),
+edges AS (SELECT * FROM (SELECT source, target, 1.0::DOUBLE AS weight FROM found UNION ALL SELECT host, parent, 1.0 FROM above WHERE parent <> '' UNION ALL SELECT parent, host, 1.0 FROM above WHERE parent <> '') WHERE source <> target AND source <> '' AND target <> ''),
+ways AS (SELECT flow, host, "to", sum(weight) AS weight FROM (SELECT 'trust' AS flow, source AS host, target AS "to", weight FROM edges UNION ALL SELECT 'distrust', target, source, weight FROM edges) GROUP BY flow, host, "to"),
+shares AS (SELECT flow, host, "to", weight / sum(weight) OVER (PARTITION BY flow, host) AS share FROM ways),
+long AS (SELECT 'trust' AS flow, host, trust AS n FROM hosts WHERE trust > 0 UNION ALL SELECT 'distrust', host, distrust FROM hosts WHERE distrust > 0),
+seeds AS (SELECT flow, host, n / sum(n) OVER (PARTITION BY flow) AS mass FROM long),
+mass AS (SELECT 0 AS step, flow, host, mass FROM seeds UNION ALL
+  SELECT max(step) + 1, flow, host, sum(mass) FROM (
+    SELECT m.step, m.flow, s."to" AS host, m.mass * s.share * {DAMPING} AS mass FROM mass m JOIN shares s ON m.flow = s.flow AND m.host = s.host WHERE m.step < {steps}
+    UNION ALL
+    SELECT k.step, d.flow, d.host, d.mass * (1 - k.moved) FROM seeds d JOIN (SELECT m.flow, max(m.step) AS step, coalesce(sum(m.mass * {DAMPING}) FILTER (EXISTS (SELECT 1 FROM shares s WHERE s.flow = m.flow AND s.host = m.host)), 0) AS moved FROM mass m WHERE m.step < {steps} GROUP BY m.flow) k ON d.flow = k.flow
+  ) GROUP BY flow, host),
+flows AS (SELECT host, coalesce(sum(mass) FILTER (flow = 'trust'), 0) AS trust, coalesce(sum(mass) FILTER (flow = 'distrust'), 0) AS distrust FROM mass WHERE step = {steps} GROUP BY host)
+SELECT page_id, r.host, path, rule, coalesce(ruling, CASE WHEN coalesce(f.distrust, 0) > coalesce(f.trust, 0) THEN 'block' ELSE 'allow' END) AS verdict, round(coalesce(f.trust, 0), {digits}) AS trust, round(coalesce(f.distrust, 0), {digits}) AS distrust
+FROM ruled r LEFT JOIN flows f ON r.host = f.host
+"""
