@@ -22,6 +22,7 @@ has no lexical neighbour is followed by the next unused one of its shard.
 
 from __future__ import annotations
 
+import uuid
 import zlib
 from dataclasses import dataclass
 
@@ -34,7 +35,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from .encoding import binary_array, id_type, library_encoder, with_end
-from .shared import settle
+from .shared import settle, worker_state
 
 #: Window in tokens; documents that a shard aims at; buffered tokens at which a task packs.
 WINDOW, SHARD_DOCS, SHARD_TOKENS = 1024, 2000, 4_000_000
@@ -43,7 +44,7 @@ K1, B = 1.2, 0.75
 #: Terms of at least one in so many documents have dense rows in an index.
 DENSE = 4
 #: Numbers that a document is projected to; documents on which the tree is grown; leaves for each shard; sampled documents that a split needs.
-AXES, TREE_SAMPLE, LEAVES_EACH, LEAST_SPLIT = 128, 20_000, 4, 8
+AXES, TREE_SAMPLE, LEAVES_EACH, LEAST_SPLIT = 96, 20_000, 4, 8
 
 PIECES = T.StructType(
     [
@@ -94,7 +95,7 @@ class LexicalIndex:
         weight = bm25(whole.idf(vocabulary)[place], tf, lengths[owner], whole.mean)
         order = np.argsort(place, kind="stable")
         ends = np.cumsum(held)[:-1]
-        self.owners, self.weights = np.split(owner[order], ends), np.split(weight[order], ends)
+        self.owners, self.weights = np.split(owner[order].astype(np.intp), ends), np.split(weight[order], ends)
         self.first = np.concatenate([[0], np.cumsum(sizes)])
         self.place, self.held, self.size = place, held, len(documents)
         often = (held * DENSE >= self.size) & (held > 1)
@@ -282,14 +283,13 @@ class Dealer:
     ``doc_id``, so no shard is much larger than another, whatever recurs.
     """
 
-    def __init__(self, whole: Statistics, sample: np.ndarray, shards: int):
-        self.projector, self.shards = Projector(whole), shards
-        self.tree = SplitTree(sample, LEAVES_EACH * shards)
+    def __init__(self, sample: np.ndarray, shards: int):
+        self.tree, self.shards = SplitTree(sample, LEAVES_EACH * shards), shards
         self.leaves, counts = np.unique(self.tree.leaves(sample), return_counts=True)
         self.ends = np.concatenate([[0], np.cumsum(counts)]) * (shards / max(1, len(sample)))
 
-    def __call__(self, doc_ids: np.ndarray, documents: list[np.ndarray]) -> np.ndarray:
-        leaf = self.tree.leaves(self.projector.all(documents))
+    def __call__(self, doc_ids: np.ndarray, projected: np.ndarray) -> np.ndarray:
+        leaf = self.tree.leaves(projected)
         place = np.searchsorted(self.leaves, leaf)
         seen = np.minimum(place, len(self.leaves) - 1)
         width = np.where(self.leaves[seen] == leaf, self.ends[seen + 1] - self.ends[seen], 0.0)
@@ -300,11 +300,12 @@ class Dealer:
         return np.minimum((self.ends[place] + width * inside).astype(np.int64), self.shards - 1)
 
 
-def sampled_rows(encoded: DataFrame, whole: Statistics, kind: str) -> np.ndarray:
+def sampled_rows(encoded: DataFrame, whole: Statistics, kind: str, name: str) -> np.ndarray:
     """Projections of a sample of bounded size."""
+    shared = encoded.sparkSession.sparkContext.broadcast(whole)
 
     def project(batches):
-        own = Projector(whole)
+        own = worker_state("projector", name, lambda: Projector(shared.value))
         for batch in batches:
             rows = own.all([d[:-1] for d in documents_of(batch.column(0), kind)])
             yield pa.RecordBatch.from_arrays([pa.array([row.tobytes() for row in rows], pa.binary())], names=["row"])
@@ -319,12 +320,14 @@ def deal(encoded: DataFrame, whole: Statistics, kind: str) -> DataFrame:
     shards = max(1, -(-whole.documents // SHARD_DOCS))
     if shards == 1:
         return encoded.select(F.lit(0).cast("long").alias("shard"), "doc_id", "ids").repartition(1).sortWithinPartitions("doc_id", "ids")
-    shared = encoded.sparkSession.sparkContext.broadcast((whole, sampled_rows(encoded, whole, kind)))
+    name = uuid.uuid4().hex
+    shared = encoded.sparkSession.sparkContext.broadcast((whole, Dealer(sampled_rows(encoded, whole, kind, name), shards)))
 
     def place(batches):
-        dealer = Dealer(*shared.value, shards)
+        whole, dealer = shared.value
+        projector = worker_state("projector", name, lambda: Projector(whole))
         for batch in batches:
-            found = dealer(pc.fill_null(batch.column(0), 0).to_numpy(), [d[:-1] for d in documents_of(batch.column(1), kind)])
+            found = dealer(pc.fill_null(batch.column(0), 0).to_numpy(), projector.all([d[:-1] for d in documents_of(batch.column(1), kind)]))
             yield pa.RecordBatch.from_arrays([pa.array(found), batch.column(0), batch.column(1)], names=["shard", "doc_id", "ids"])
 
     return encoded.mapInArrow(place, "shard long, doc_id long, ids binary").repartition(shards, "shard").sortWithinPartitions("shard", "doc_id", "ids")
