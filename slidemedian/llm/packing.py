@@ -3,9 +3,10 @@
 Documents are dealt into shards by lexical content; each shard holds a BM25
 inverted index over the token ids of its documents, weighted by the counts of
 the whole table. A seed document opens a window; the index returns the unused
-neighbours of the seed, best first, and they fill the rest of the window. A neighbour that does not fit is cut; what is left of it seeds
-the next window. So every window but a shard's last is full, and the last is
-cut into pieces whose lengths are powers of two, which need no padding.
+neighbours of the seed, best first, and they fill the rest of the window. A
+neighbour that does not fit is cut; what is left of it seeds the next window.
+So every window but a shard's last is full, and the last is cut into pieces
+whose lengths are powers of two, which need no padding.
 
 Dealing: weighted terms of a document are projected to ``AXES`` numbers; a tree
 of splits, grown on a sample, gives its leaf; shards are ranges of leaves in

@@ -21,6 +21,7 @@ from ..plans.store import forget, fresh_path, settle
 
 __all__ = ["bucket_of", "forget", "fresh_path", "load", "look_up", "settle", "stateless_worker", "worker_state"]
 
+
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
@@ -69,9 +70,10 @@ def look_up(rows: DataFrame, entries: DataFrame, keys: list[str], weight: str, n
     """Left join of ``rows`` with their entry, as the struct column ``name``, whatever the skew of the keys.
 
     ``entries`` has one row for each value of ``keys`` and tells in ``weight``
-    how many rows have it; ``total`` is their sum where it is known. Keys with more than 1/``FREQUENT`` of all rows are
-    fewer than ``FREQUENT`` at any size, so they are broadcast; rows served by
-    them join nothing else, and spread over the partitions of the second join.
+    how many rows have it; ``total`` is their sum where it is known. Keys with
+    more than 1/``FREQUENT`` of all rows are fewer than ``FREQUENT`` at any
+    size, so they are broadcast; rows served by them join nothing else, and
+    spread over the partitions of the second join.
     """
     if total is None:
         total = entries.agg(F.sum(weight)).first()[0] or 0
@@ -79,7 +81,8 @@ def look_up(rows: DataFrame, entries: DataFrame, keys: list[str], weight: str, n
     payload = F.struct(*[c for c in entries.columns if c not in keys])
     frequent = entries.where(often).select(*keys, payload.alias("__hot"))
     own = F.xxhash64(*keys)
-    # The second key is a function of the first ones, not a constant, or the planner would drop it; rows that are served, or have no key, get one of their own and spread.
+    # The second key is a function of the first ones, not a constant, or the planner would drop it;
+    # rows that are served, or have no key, get one of their own and spread.
     rare = entries.where(~often).select(*[F.col(k).alias(f"__{k}") for k in keys], own.alias("__spread"), payload.alias("__cold"))
     served = rows.join(F.broadcast(frequent), keys, "left")
     asks = reduce(lambda a, b: a & b, [F.col("__hot").isNull(), *[F.col(k).isNotNull() for k in keys]])
