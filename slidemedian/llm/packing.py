@@ -82,19 +82,29 @@ def bm25(idf: np.ndarray, tf: np.ndarray, length, mean: float) -> np.ndarray:
     return idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length / max(mean, 1e-9)))
 
 
+def term_table(documents: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(term, document, how often) by document and term, from one sort of all ids."""
+    ids, sizes = np.concatenate(documents), [len(d) for d in documents]
+    bits = 8 * ids.itemsize if ids.itemsize <= 4 else 32
+    kind = np.uint32 if bits == 16 and len(documents) <= 1 << 16 else np.uint64
+    keys = np.sort((np.repeat(np.arange(len(documents), dtype=kind), sizes) << kind(bits)) | ids.astype(kind))
+    first = np.flatnonzero(np.concatenate([np.ones(min(1, len(keys)), dtype=bool), keys[1:] != keys[:-1]]))
+    keys, tf = keys[first], np.diff(first, append=len(keys)).astype(np.float64)
+    return (keys & kind((1 << bits) - 1)).astype(np.uint16 if bits == 16 else np.uint32), (keys >> kind(bits)).astype(np.int64), tf
+
+
 class LexicalIndex:
     """BM25 postings of one shard; terms are token ids. ``whole`` counts the table, else the shard does."""
 
     def __init__(self, documents: list[np.ndarray], whole: Statistics | None = None):
         whole = whole or statistics_of(documents)
-        terms, counts = zip(*(np.unique(d, return_counts=True) for d in documents), strict=True)
-        sizes = np.array([len(t) for t in terms])
-        lengths = np.array([len(d) for d in documents], dtype=np.float64)
-        flat, tf = np.concatenate(terms), np.concatenate(counts).astype(np.float64)
-        owner = np.repeat(np.arange(len(documents)), sizes)
-        vocabulary, place, held = np.unique(flat, return_inverse=True, return_counts=True)
+        flat, owner, tf = term_table(documents)
+        sizes, lengths = np.bincount(owner, minlength=len(documents)), np.array([len(d) for d in documents], dtype=np.float64)
+        counted = np.bincount(flat)
+        vocabulary = np.flatnonzero(counted)
+        held, place = counted[vocabulary], (np.cumsum(counted > 0) - 1)[flat]
         weight = bm25(whole.idf(vocabulary)[place], tf, lengths[owner], whole.mean)
-        order = np.argsort(place, kind="stable")
+        order = np.argsort(flat, kind="stable")  # by counting, where ids have 16 bits
         ends = np.cumsum(held)[:-1]
         self.owners, self.weights = np.split(owner[order].astype(np.intp), ends), np.split(weight[order], ends)
         self.first = np.concatenate([[0], np.cumsum(sizes)])
