@@ -6,6 +6,8 @@ chunk encoded by itself. Chunks repeat far more often than texts: a slice of
 texts is cut and its chunks numbered by Arrow, so that Python sees each
 different chunk of a slice once, and the encoder behind (a library, or the
 transducer of ``bpe_transducer``) only those that the worker does not remember.
+Before the library, chunks are cut further, into letters and what stands
+between them, and these units are what the worker remembers (``units``).
 The ids of the texts are then gathered by array operations. Texts with other
 white space next to a space go to the encoder whole.
 
@@ -28,7 +30,7 @@ _SPACES = r"\x09-\x0d\x1c-\x20\x{85}\x{a0}\x{1680}\x{2000}-\x{200a}\x{2028}\x{20
 #: A space next to other white space, or at the end.
 _UNSAFE = rf" [{_SPACES}]|[{_SPACES}] | \z"
 
-#: Chunks that a worker remembers at most, and the longest one that it remembers, in bytes (some 50 bytes each: 25 MB).
+#: Chunks or units that a worker remembers at most, and the longest one that it remembers, in bytes (some 50 bytes each: 25 MB).
 MEMO_CHUNKS, MEMO_LENGTH = 500_000, 64
 #: Bytes of text that are encoded in one go, unless one text has more, and that are taken to words by other operators; arrays take up to twenty times as much.
 ENCODED_BYTES, SLICE_BYTES = 8 << 20, 3 << 20
@@ -95,6 +97,20 @@ class ChunkMemo(WordMemo):
         ids, sizes = gathered(ids, sizes, self.admit(words))
         self.ids, self.sizes = np.concatenate([self.ids, ids]), np.concatenate([self.sizes, sizes])
 
+    def recall(self, words: pa.Array, encode: Callable[[pa.Array], Encoded]) -> Encoded:
+        """Of different words; ``encode`` gets those that are not held."""
+        place = self.find(words)
+        known = place >= 0
+        ids, sizes = gathered(self.ids, self.sizes, place[known])
+        if known.all():
+            return ids, sizes
+        missing = words.filter(pa.array(~known))
+        fresh_ids, fresh_sizes = encode(missing)
+        self.add(missing, fresh_ids, fresh_sizes)
+        number = np.empty(len(words), dtype=np.int64)
+        number[known], number[~known] = np.arange(len(sizes)), len(sizes) + np.arange(len(missing))
+        return gathered(np.concatenate([ids, fresh_ids]), np.concatenate([sizes, fresh_sizes]), number)
+
 
 def slices(texts: pa.Array, size: int = SLICE_BYTES) -> Iterator[pa.Array]:
     """Consecutive parts of about ``size`` bytes."""
@@ -106,6 +122,51 @@ def slices(texts: pa.Array, size: int = SLICE_BYTES) -> Iterator[pa.Array]:
         low = high
 
 
+#: Kinds of bytes: ASCII letters, ASCII white space, other ASCII characters, and the first of two bytes of U+00C0 to U+027F, which are letters but for the signs of ``_SIGNS``.
+_LETTER, _SPACE, _PLAIN, _LEAD = 1, 2, 3, 4
+_KINDS = np.array(
+    [_LETTER if chr(b).isalpha() else _SPACE if chr(b).isspace() else _PLAIN for b in range(128)] + [_LEAD if 0xC3 <= b <= 0xC9 else 0 for b in range(128, 256)],
+    dtype=np.uint8,
+)
+_SIGNS = tuple("\u00d7\u00f7".encode()[1::2])
+_LETTERS_ONLY = r"\A[A-Za-z\x{c0}-\x{d6}\x{d8}-\x{f6}\x{f8}-\x{27f}]+\z"
+
+
+def units(words: pa.Array) -> tuple[pa.Array, np.ndarray]:
+    """The parts of words without spaces, cut wherever the split pattern starts a new match whatever stands around, and the number of parts of each word.
+
+    A match that has a letter ends with the letters, so a letter and an ASCII
+    character that is none are cut apart. Letters start a match of their own
+    behind any character that is neither a letter, a space nor an apostrophe;
+    how white space of several characters is matched depends on what follows,
+    so it stays together with that.
+    """
+    offsets = np.frombuffer(words.buffers()[1], dtype=np.int32, count=len(words) + 1, offset=4 * words.offset)
+    data = np.frombuffer(words.buffers()[2] or b"", dtype=np.uint8)[offsets[0] : offsets[-1]]
+    begins = offsets[:-1] - offsets[0]
+    kinds = _KINDS[data]
+    opens, closes = (kinds == _LETTER) | (kinds == _LEAD), kinds == _LETTER
+    for sign in _SIGNS:
+        opens[:-1] &= (data[:-1] != 0xC3) | (data[1:] != sign)
+    closes[1:] |= opens[:-1] & (kinds[:-1] == _LEAD)
+    space, plain = kinds == _SPACE, kinds == _PLAIN
+    single = space.copy()
+    single[:1] = False
+    single[1:] &= plain[:-1] | closes[:-1]
+    single[begins[begins < len(data)]] = False
+    cut = np.zeros(len(data) + 1, dtype=bool)
+    cut[1:-1] = (closes[:-1] & (plain | space)[1:]) | (((plain & (data != 0x27)) | single)[:-1] & opens[1:])
+    cut[begins] = False
+    before = np.concatenate([[0], np.cumsum(cut)])
+    parts = 1 + before[offsets[1:] - offsets[0]] - before[begins]
+    firsts = np.cumsum(parts) - parts
+    starts = np.full(int(parts.sum()) + 1, len(data), dtype=np.int32)
+    inner = np.ones(len(starts), dtype=bool)
+    inner[firsts] = inner[-1] = False
+    starts[firsts], starts[inner] = begins, np.flatnonzero(cut)
+    return pa.Array.from_buffers(pa.string(), len(starts) - 1, [None, pa.py_buffer(starts), pa.py_buffer(data)]), parts
+
+
 def joined(parts: Sequence[bytes]) -> Encoded:
     return np.frombuffer(b"".join(parts), dtype="<u4"), np.fromiter(map(len, parts), dtype=np.int64, count=len(parts)) // 4
 
@@ -116,20 +177,6 @@ class ChunkEncoder:
     def __init__(self, encode_chunks: Callable[[pa.Array], Encoded], encode_whole: Callable[[list[str]], Encoded], whole_if: Sequence[str] = (), limit: int = MEMO_CHUNKS):
         self.encode_chunks, self.encode_whole, self.whole_if, self.memo = encode_chunks, encode_whole, whole_if, ChunkMemo(limit)
 
-    def _chunks(self, words: pa.Array) -> Encoded:
-        """Of different words."""
-        place = self.memo.find(words)
-        known = place >= 0
-        ids, sizes = gathered(self.memo.ids, self.memo.sizes, place[known])
-        if known.all():
-            return ids, sizes
-        missing = words.filter(pa.array(~known))
-        fresh_ids, fresh_sizes = self.encode_chunks(missing)
-        self.memo.add(missing, fresh_ids, fresh_sizes)
-        number = np.empty(len(words), dtype=np.int64)
-        number[known], number[~known] = np.arange(len(sizes)), len(sizes) + np.arange(len(missing))
-        return gathered(np.concatenate([ids, fresh_ids]), np.concatenate([sizes, fresh_sizes]), number)
-
     def _regular(self, texts: pa.Array) -> Encoded:
         """Of texts that may be cut at every space."""
         if not len(texts):
@@ -139,7 +186,7 @@ class ChunkEncoder:
         behind = np.ones(len(words), dtype=bool)
         behind[firsts] = False
         numbered = words.filter(pa.array(behind)).dictionary_encode()
-        ids, sizes = self._chunks(numbered.dictionary)
+        ids, sizes = self.memo.recall(numbered.dictionary, self.encode_chunks)
         head_ids, head_sizes = self.encode_whole(words.take(pa.array(firsts)).to_pylist())
         number = np.empty(len(words), dtype=np.int64)
         number[behind], number[firsts] = np.asarray(numbered.indices), len(sizes) + np.arange(len(firsts))
@@ -229,23 +276,57 @@ def _library(path: str, added: bool) -> ChunkEncoder:
 
     library = Tokenizer.from_file(path)
     library.encode_special_tokens = not added
-    mark = byte_alphabet()[0x20]
-    opens = np.zeros(library.get_vocab_size(), dtype=bool)
-    opens[[i for token, i in library.get_vocab().items() if token.startswith(mark)]] = True
+    opens = {mark: np.zeros(library.get_vocab_size(), dtype=bool) for mark in (" ", "\n")}
+    alphabet, vocabulary = byte_alphabet(), library.get_vocab()
+    for mark, those in opens.items():
+        those[[i for token, i in vocabulary.items() if token.startswith(alphabet[ord(mark)])]] = True
 
     def whole(texts: list[str]) -> Encoded:
         return joined([array("I", e.ids).tobytes() for e in library.encode_batch_fast(texts, add_special_tokens=False)])
 
-    def chunks(words: pa.Array) -> Encoded:
-        """Many in a text of their own: only the first token of a chunk starts with a space."""
+    def many(words: pa.Array, mark: str) -> Encoded:
+        """Many in a text of their own, each behind a mark that starts a token; that token's place tells where a word begins."""
         ends = pa.array([*range(0, len(words), CHUNKS_A_CALL), len(words)], pa.int32())
-        texts = pc.binary_join(pa.ListArray.from_arrays(ends, words), " ")
-        ids, _ = whole([" " + text for text in texts.to_pylist()])
-        cuts = np.flatnonzero(opens[ids])
-        return (ids, np.diff(cuts, append=len(ids))) if len(cuts) == len(words) else whole([" " + w for w in words.to_pylist()])
+        texts = pc.binary_join(pa.ListArray.from_arrays(ends, words), mark)
+        ids, _ = whole([mark + text for text in texts.to_pylist()])
+        cuts = np.flatnonzero(opens[mark][ids])
+        return ids, np.diff(cuts, append=len(ids))
+
+    def heads(words: pa.Array) -> Encoded:
+        """Words behind a space."""
+        ids, sizes = many(words, " ")
+        return (ids, sizes) if len(sizes) == len(words) else whole([" " + w for w in words.to_pylist()])
+
+    def tails(words: pa.Array) -> Encoded:
+        """Words behind another unit. Letters do not join a line feed, which has one token."""
+        alone = pc.match_substring_regex(words, _LETTERS_ONLY)
+        letters = np.asarray(alone.to_numpy(zero_copy_only=False), dtype=bool)
+        other_ids, other_sizes = whole(words.filter(pc.invert(alone)).to_pylist())
+        ids, sizes = many(words.filter(alone), "\n")
+        number = np.empty(len(words), dtype=np.int64)
+        number[letters], number[~letters] = np.arange(len(sizes)), len(sizes) + np.arange(len(other_sizes))
+        ids = ids[~opens["\n"][ids]]
+        return gathered(np.concatenate([ids, other_ids]), np.concatenate([sizes - 1, other_sizes]), number)
+
+    held = {True: (ChunkMemo(MEMO_CHUNKS), heads), False: (ChunkMemo(MEMO_CHUNKS // 4), tails)}
+
+    def chunks(words: pa.Array) -> Encoded:
+        """By their units, which repeat more often than chunks do."""
+        parts, counts = units(words)
+        firsts = np.cumsum(counts) - counts
+        first = np.zeros(len(parts), dtype=bool)
+        first[firsts] = True
+        number, ids, sizes = np.empty(len(parts), dtype=np.int64), [], []
+        for wanted, (memo, encode) in held.items():
+            numbered = parts.filter(pa.array(first == wanted)).dictionary_encode()
+            number[first == wanted] = np.asarray(numbered.indices) + sum(map(len, sizes))
+            for column, found in zip((ids, sizes), memo.recall(numbered.dictionary, encode), strict=True):
+                column.append(found)
+        out, length = gathered(np.concatenate(ids), np.concatenate(sizes), number)
+        return out, np.add.reduceat(length, firsts)
 
     contents = [token.content for token in library.get_added_tokens_decoder().values()] if added else []
-    return ChunkEncoder(chunks, whole, contents)
+    return ChunkEncoder(chunks, whole, contents, limit=0)  # units are remembered, so chunks need not be
 
 
 def library_encoder(path: str, added: bool = False) -> ChunkEncoder:

@@ -46,6 +46,8 @@ K1, B = 1.2, 0.75
 DENSE = 4
 #: Numbers that a document is projected to; documents on which the tree is grown; leaves for each shard; sampled documents that a split needs.
 AXES, TREE_SAMPLE, LEAVES_EACH, LEAST_SPLIT = 96, 20_000, 4, 8
+#: Most frequent terms that are projected by one product for many documents; documents and tokens that are projected at once.
+COMMON, PROJECTED_DOCS, PROJECTED_TOKENS = 1024, 1000, 1_000_000
 
 PIECES = T.StructType(
     [
@@ -82,12 +84,11 @@ def bm25(idf: np.ndarray, tf: np.ndarray, length, mean: float) -> np.ndarray:
     return idf * tf * (K1 + 1) / (tf + K1 * (1 - B + B * length / max(mean, 1e-9)))
 
 
-def term_table(documents: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """(term, document, how often) by document and term, from one sort of all ids."""
-    ids, sizes = np.concatenate(documents), [len(d) for d in documents]
+def term_table(ids: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(term, document, how often) by document and term, from one sort of the ids of documents of these sizes."""
     bits = 8 * ids.itemsize if ids.itemsize <= 4 else 32
-    kind = np.uint32 if bits == 16 and len(documents) <= 1 << 16 else np.uint64
-    keys = np.sort((np.repeat(np.arange(len(documents), dtype=kind), sizes) << kind(bits)) | ids.astype(kind))
+    kind = np.uint32 if bits == 16 and len(sizes) <= 1 << 16 else np.uint64
+    keys = np.sort((np.repeat(np.arange(len(sizes), dtype=kind), sizes) << kind(bits)) | ids.astype(kind))
     first = np.flatnonzero(np.concatenate([np.ones(min(1, len(keys)), dtype=bool), keys[1:] != keys[:-1]]))
     keys, tf = keys[first], np.diff(first, append=len(keys)).astype(np.float64)
     return (keys & kind((1 << bits) - 1)).astype(np.uint16 if bits == 16 else np.uint32), (keys >> kind(bits)).astype(np.int64), tf
@@ -98,8 +99,9 @@ class LexicalIndex:
 
     def __init__(self, documents: list[np.ndarray], whole: Statistics | None = None):
         whole = whole or statistics_of(documents)
-        flat, owner, tf = term_table(documents)
-        sizes, lengths = np.bincount(owner, minlength=len(documents)), np.array([len(d) for d in documents], dtype=np.float64)
+        lengths = np.array([len(d) for d in documents])
+        flat, owner, tf = term_table(np.concatenate(documents), lengths)
+        sizes = np.bincount(owner, minlength=len(documents))
         counted = np.bincount(flat)
         vocabulary = np.flatnonzero(counted)
         held, place = counted[vocabulary], (np.cumsum(counted > 0) - 1)[flat]
@@ -136,14 +138,39 @@ class Projector:
         # The root of the idf on both sides makes inner products weigh a shared term once by it.
         self.idf = np.sqrt(whole.idf(np.arange(len(whole.df))))
 
-    def one(self, terms: np.ndarray) -> np.ndarray:
-        own, tf = np.unique(terms, return_counts=True)
-        weight = bm25(self.idf[own], tf, len(terms), self.whole.mean).astype(np.float32)
-        norm = float(np.linalg.norm(weight))
-        return weight @ self.axes[own] / norm if norm else np.zeros(AXES, dtype=np.float32)
+        common = np.argsort(-whole.df, kind="stable")[:COMMON]
+        self.column = np.full(len(whole.df), -1)
+        self.column[common] = np.arange(len(common))
+        self.common = self.axes[common]
+
+    def some(self, documents: list[np.ndarray]) -> np.ndarray:
+        lengths = np.array([len(d) for d in documents])
+        terms, owner, tf = term_table(np.concatenate(documents), lengths)
+        weight = bm25(self.idf[terms], tf, lengths[owner], self.whole.mean)
+        norm = np.sqrt(np.bincount(owner, weight * weight, len(documents)))
+        weight = (weight / np.where(norm > 0, norm, 1.0)[owner]).astype(np.float32)
+        column = self.column[terms]
+        often = column >= 0
+        dense = np.zeros((len(documents), len(self.common)), dtype=np.float32)
+        dense[owner[often], column[often]] = weight[often]
+        out = dense @ self.common
+        terms, weight, ends = terms[~often], weight[~often], np.cumsum(np.bincount(owner[~often], minlength=len(documents)))
+        low = 0
+        for row, high in zip(out, ends.tolist(), strict=True):
+            if high > low:
+                row += weight[low:high] @ self.axes[terms[low:high]]
+            low = high
+        return out
 
     def all(self, documents: list[np.ndarray]) -> np.ndarray:
-        return np.array([self.one(d) for d in documents], dtype=np.float32).reshape(-1, AXES)
+        out, part, tokens = [np.zeros((0, AXES), dtype=np.float32)], [], 0
+        for document in documents:
+            part.append(document)
+            tokens += len(document)
+            if tokens >= PROJECTED_TOKENS or len(part) == PROJECTED_DOCS:
+                out.append(self.some(part))
+                part, tokens = [], 0
+        return np.concatenate([*out, self.some(part)] if part else out)
 
 
 class SplitTree:
@@ -251,12 +278,12 @@ class TermCounts:
         if size > len(self.df):
             self.df = np.concatenate([self.df, np.zeros(size - len(self.df), dtype=np.int64)])
 
-    def count(self, terms: np.ndarray) -> None:
-        own = np.unique(terms)
-        if len(own):
-            self._widen(int(own[-1]) + 1)
-            self.df[own] += 1
-        self.documents, self.length = self.documents + 1, self.length + len(terms)
+    def count(self, ids: np.ndarray, sizes: np.ndarray) -> None:
+        """Documents one after the other, without their end ids."""
+        df = np.bincount(term_table(ids, sizes)[0])
+        self._widen(len(df))
+        self.df[: len(df)] += df
+        self.documents, self.length = self.documents + len(sizes), self.length + len(ids)
 
     def packed(self) -> bytes:
         return np.array([self.documents, self.length, *self.df], dtype="<i8").tobytes()
@@ -368,11 +395,8 @@ def pack_documents(docs: DataFrame, vocabulary: str, window: int = WINDOW, end_i
         for batch in batches:
             low = 0
             for ids, sizes in encoder.encode_slices(batch.column(1)):
-                ids, sizes = with_end(ids.astype(kind), sizes, end_id)
-                begun = 0
-                for end in np.cumsum(sizes).tolist():
-                    counts.count(ids[begun : end - 1])
-                    begun = end
+                counts.count(ids := ids.astype(kind), sizes)
+                ids, sizes = with_end(ids, sizes, end_id)
                 yield pa.RecordBatch.from_arrays([batch.column(0).slice(low, len(sizes)), binary_array(ids, sizes), pa.nulls(len(sizes), pa.binary())], names=["doc_id", "ids", "counts"])
                 low += len(sizes)
         yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.binary()), pa.array([counts.packed()], pa.binary())], names=["doc_id", "ids", "counts"])

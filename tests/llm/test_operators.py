@@ -54,6 +54,34 @@ def crc(ids):
     return zlib.crc32(np.array(ids, dtype="<u4").tobytes())
 
 
+def test_units_of_chunks_have_the_ids_of_whole_texts():
+    rng = np.random.default_rng(11)
+    letters = [*"abstrevlmdZ", "the", "é", "ß", "Ø", "\u0237", "\u027f", "\u0301", "×", "÷", "ª", "ж", "数", "€", "²", "😀"]
+    others = [*"''.,!&$<|>_-0189\n\r\t\x1c\x1f\x00\x7f", "\n\n", "\u0085", "\u00a0", "\u3000", "\u2028"]
+    texts = ["".join(rng.choice([*letters, *others, " ", " "], size=rng.integers(1, 30))) for _ in range(4000)]
+    texts += [f"go it{a}{b}{c} on it{a}{b}" for a in others for b in others for c in ("s", "Re", "é", "×", "1")]
+    words = [w for t in texts for w in t.split(" ")]
+    parts, counts = encoding.units(pa.array(words, pa.string()).slice(3))
+    at = np.cumsum(counts) - counts
+    assert ["".join(parts.slice(low, n).to_pylist()) for low, n in zip(at.tolist(), counts.tolist(), strict=True)] == words[3:]
+    assert encoding.units(pa.array(["theandsh&&&", "", "st.\nRéan", "a's", "x\n\nY", "×a", "ß÷"]))[0].to_pylist() == ["theandsh", "&&&", "", "st", ".\n", "Réan", "a", "'s", "x", "\n\nY", "×a", "ß÷"]
+    for added in (False, True):
+        ids, sizes = zip(*encoding._library(JSON, added).encode_slices(pa.array(texts, pa.string())), strict=True)
+        ends = np.cumsum(np.concatenate(sizes))
+        for text, found in zip(texts, np.split(np.concatenate(ids), ends[:-1]), strict=True):
+            assert found.tolist() == library_ids(text, added), text
+
+
+def test_units_that_repeat_reach_the_library_once(monkeypatch):
+    sent = []
+    encoder = encoding._library(JSON, True)
+    seen = encoding.joined
+    monkeypatch.setattr(encoding, "joined", lambda parts: sent.append(sum(map(len, parts)) // 4) or seen(parts))
+    for tail in ("", ",", ".", "!!", ".\nOn"):
+        list(encoder.encode_slices(pa.array([" ".join(["x", *(f"{a}{b}zzq{tail}" for a in "abcdefgh" for b in "klmnopqr")])])))
+    assert sum(sent) < 1.2 * sent[0] + 100, sent
+
+
 def test_library_encoder_equals_the_library(docs):
     encoder = encoding.library_encoder(JSON)
     for _, text in texts_of(docs):
@@ -217,6 +245,31 @@ def test_lexical_index_scores_all_shared_terms_by_counts_of_the_table():
     assert packing.LexicalIndex(documents, whole).scores(0)[1] == pytest.approx(wanted, rel=1e-5)
 
 
+def test_terms_are_counted_and_projected_for_many_documents_at_once(monkeypatch):
+    rng = np.random.default_rng(5)
+    documents = [np.minimum(rng.zipf(1.3, size=n) - 1, 50_000).astype("<u2") for n in [*rng.integers(0, 400, size=300), 0, 1, 3000]]
+    counts = packing.TermCounts()
+    counts.count(np.concatenate(documents[:200]), np.array([len(d) for d in documents[:200]]))
+    counts.count(np.zeros(0, dtype="<u2"), np.zeros(2, dtype=np.int64))
+    counts.count(np.concatenate(documents[200:]), np.array([len(d) for d in documents[200:]]))
+    df = np.bincount(np.concatenate([np.unique(d) for d in documents]))
+    assert (counts.documents, counts.length) == (len(documents) + 2, sum(map(len, documents))) and counts.df.tolist() == df.tolist()
+    whole = packing.Statistics(len(documents), float(np.mean([len(d) for d in documents])), df)
+    monkeypatch.setattr(packing, "COMMON", 30)
+    projector = packing.Projector(whole)
+    wanted = np.zeros((len(documents), packing.AXES))
+    for row, document in zip(wanted, documents, strict=True):
+        terms, tf = np.unique(document, return_counts=True)
+        weight = packing.bm25(np.sqrt(whole.idf(terms)), tf, len(document), whole.mean)
+        if len(terms):
+            row += weight @ projector.axes[terms] / np.linalg.norm(weight)
+    for docs_each, tokens_each in ((1000, 1_000_000), (7, 500), (1, 1)):
+        monkeypatch.setattr(packing, "PROJECTED_DOCS", docs_each)
+        monkeypatch.setattr(packing, "PROJECTED_TOKENS", tokens_each)
+        assert np.abs(projector.all(documents) - wanted).max() < 1e-5
+    assert projector.all([]).shape == (0, packing.AXES)
+
+
 def test_packing_finds_neighbours_across_the_whole_table(spark, monkeypatch):
     monkeypatch.setattr(packing, "SHARD_DOCS", 40)
     rng = random.Random(2)
